@@ -24,18 +24,25 @@ def dft_code(n: int, k: int) -> np.ndarray:
     return np.exp(-2j * np.pi * p * q / n) / np.sqrt(n)
 
 
+def _redrawn(draw, k: int, what: str, tries: int = 200) -> np.ndarray:
+    """The first draw of full rank."""
+    for _ in range(tries):
+        g = draw()
+        if np.linalg.matrix_rank(g) == k:
+            return g
+    raise BadCode(f"no full-rank {what} in {tries} draws")
+
+
 def sign_code(n: int, k: int, seed: int = 0) -> np.ndarray:
-    return np.random.default_rng(seed).choice([-1.0, 1.0], size=(k, n))
+    """Random signs, drawn again while rank deficient."""
+    rng = np.random.default_rng(seed)
+    return _redrawn(lambda: rng.choice([-1.0, 1.0], size=(k, n)), k, "sign code")
 
 
-def sparse_code(n: int, k: int, density: float = 0.1, seed: int = 0, tries: int = 200) -> np.ndarray:
-    """Random 0/1 generator; drawn again while it is rank deficient (every problem must be in some lane)."""
+def sparse_code(n: int, k: int, density: float = 0.1, seed: int = 0) -> np.ndarray:
+    """Random 0/1 generator, drawn again while rank deficient (every problem must be in some lane)."""
     rng = np.random.default_rng(seed)
-    for _ in range(tries):
-        g = (rng.random((k, n)) < density).astype(float)
-        if np.linalg.matrix_rank(g) == k:
-            return g
-    raise BadCode(f"no full-rank 0/1 code of density {density} in {tries} draws")
+    return _redrawn(lambda: (rng.random((k, n)) < density).astype(float), k, f"0/1 code of density {density}")
 
 
 def gaussian_code(n: int, k: int, seed: int = 0) -> np.ndarray:
