@@ -19,7 +19,7 @@ from softlanes.llm.shared import load
 
 # Spellings that count as the same word.
 SPELLINGS = [
-    ("licence", "license"), ("licences", "licenses"), ("licenced", "licensed"), ("sub license", "sublicense"),
+    ("licence", "license"), ("licences", "licenses"), ("licenced", "licensed"), ("sublicence", "sublicense"), ("sublicences", "sublicenses"), ("sub license", "sublicense"),
     ("non commercial", "noncommercial"), ("copyright holder", "copyright owner"), ("copyright holders", "copyright owners"),
     ("organisation", "organization"), ("merchantibility", "merchantability"), ("whilst", "while"),
 ]
