@@ -6,6 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from softlanes.functions.hashing import hash_uniform, hash_uniform_sql
+from softlanes.functions.register import register_all
 from softlanes.operators import stragglers
 from softlanes.plans import sqlgen
 from softlanes.plans.ranking import walk
@@ -257,3 +258,31 @@ def empty_columns(spark, d):
     """Nodes without an incoming edge: their column is empty."""
     e = graphs.anchor(spark, d)
     return e.select(F.col("src").alias("i")).distinct().join(e.select(F.col("dst").alias("i")), "i", "left_anti")
+
+
+@rel("udtf_dft_rows", "SELECT p::INT AS p, q::INT AS q, round(cos(2 * pi() * p * q / 6) / sqrt(6), 9) + 0.0 AS re FROM range(5) a(p), range(6) b(q)")
+def udtf_dft(spark, d):
+    register_all(spark)
+    return spark.sql("SELECT p, q, round(re, 9) + 0.0D AS re FROM dft_rows(6, 5)")
+
+
+@rel("udtf_straggler_law", f"SELECT q::INT AS q, (1 + floor({hash_uniform_sql('q', '44')} * 20))::INT AS steps FROM range(40) t(q)")
+def udtf_law(spark, d):
+    register_all(spark)
+    return spark.sql("SELECT * FROM straggler_law('uniform', 40, 44, 20.0)")
+
+
+@rel("udf_vec_axpy", "SELECT vec_id, round(list_sum(list_transform(embedding, lambda x: 2 * x::DOUBLE + x::DOUBLE)), 5) AS s FROM embeddings")
+def udf_axpy(spark, d):
+    register_all(spark)
+    load(spark, d, "embeddings", "vec_id", "embedding").createOrReplaceTempView("lanes_embeddings")
+    return spark.sql("""SELECT vec_id, round(aggregate(vec_axpy(2.0D, cast(embedding AS array<double>), cast(embedding AS array<double>)), 0.0D, (s, x) -> s + x), 5) AS s
+        FROM lanes_embeddings""")
+
+
+@rel("udaf_vec_sum", "SELECT label, round(sum(embedding[1]::DOUBLE), 6) AS first, round(sum(embedding[64]::DOUBLE), 6) AS last FROM embeddings WHERE vec_id < 100 GROUP BY 1")
+def udaf_sum(spark, d):
+    register_all(spark)
+    e = load(spark, d, "embeddings", "vec_id", "embedding", "label").where("vec_id < 100")
+    e.select("label", F.col("embedding").cast("array<double>").alias("x")).createOrReplaceTempView("lanes_vectors")
+    return spark.sql("SELECT label, round(element_at(s, 1), 6) AS first, round(element_at(s, 64), 6) AS last FROM (SELECT label, vec_sum(x) AS s FROM lanes_vectors GROUP BY label)")
