@@ -8,13 +8,20 @@ import math
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from softlanes.functions.hashing import hash_uniform_value
 from softlanes.sources.session import ship_package
 
 
-@pandas_udf("array<double>")
+# type objects, not DDL: a DDL string is parsed by a session, and this module is imported before there is one
+ARRAY = T.ArrayType(T.DoubleType())
+GENERATOR = T.StructType([T.StructField("p", T.IntegerType()), T.StructField("q", T.IntegerType()), T.StructField("re", T.DoubleType()), T.StructField("im", T.DoubleType())])
+LANES = T.StructType([T.StructField("q", T.IntegerType()), T.StructField("steps", T.IntegerType())])
+
+
+@pandas_udf(ARRAY)
 def vec_axpy(a: pd.Series, x: pd.Series, y: pd.Series) -> pd.Series:
     """``a * x + y`` on array columns, batch by batch; a null in any argument gives null."""
     return pd.Series([
@@ -23,14 +30,14 @@ def vec_axpy(a: pd.Series, x: pd.Series, y: pd.Series) -> pd.Series:
     ], index=x.index)
 
 
-@pandas_udf("array<double>")
+@pandas_udf(ARRAY)
 def vec_sum(x: pd.Series) -> np.ndarray:
     """Sum of arrays in a group. It has no partial form, so it is for groups of bounded size only."""
     kept = [np.asarray(v, float) for v in x if v is not None]
     return np.sum(kept, axis=0).tolist() if kept else []
 
 
-@udtf(returnType="p int, q int, re double, im double")
+@udtf(returnType=GENERATOR)
 class DftRows:
     """``dft_rows(n, k)``: the Fourier generator."""
 
@@ -41,7 +48,7 @@ class DftRows:
                 yield p, q, math.cos(angle) / math.sqrt(n), -math.sin(angle) / math.sqrt(n)
 
 
-@udtf(returnType="q int, steps int")
+@udtf(returnType=LANES)
 class StragglerLaw:
     """``straggler_law(law, n, seed, deadline)``: step counts of n lanes; laws 'exponential', 'uniform', 'two_point'."""
 

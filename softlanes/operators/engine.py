@@ -6,8 +6,8 @@ share the operator. Layouts:
 * ``long``: rows (node, column); a join and an aggregation per step.
 * ``wide``: one row per node with the columns as an array. The operator carries a row per node for itself,
   with the forcing and a flag, so a step is one join and one aggregation: running columns add products and
-  forcing, frozen ones copy themselves. Operator and state stay partitioned by node between checkpoints, so
-  only partial sums are shuffled.
+  forcing, frozen ones copy themselves. Operator and state are bucketed by node, the lineage is cut every few
+  steps by writing the state in the same buckets, and only partial sums are shuffled.
 * ``lane``: every task has the whole operator and iterates its columns alone, for operators of a checked size.
 * ``block``: two-dimensional blocks of the operator meet blocks of the state, cogrouped.
 * ``snapshot``: by linearity, the un-encoded problems are run once and every lane is mixed from their iterates
@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from softlanes.operators.codes import real_columns, to_df
 from softlanes.operators.systems import AffineSystem, multiply_terms
-from softlanes.sources.session import materialise, shared_folder
+from softlanes.sources.session import bucketed, materialise
 
 LANE_EDGES = 20_000_000
 CHUNK = 64
@@ -124,20 +124,17 @@ def _run_long(system, forcing, start, steps, cut):
 
 def _run_wide(system, forcing, start, steps, cut):
     spark = system.op.sparkSession
-    context = spark.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(shared_folder(spark))
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     nodes = system.nodes.select("i")
     out = None
     for a in range(0, len(steps), CHUNK):  # few enough columns for one generated aggregation
         own = steps[a : a + CHUNK]
         width = len(own)
         pick = lambda v: v.where((F.col("p") >= a) & (F.col("p") < a + width)).select("i", (F.col("p") - a).alias("p"), "v")  # noqa: B023, E731
-        parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
         own_rows = to_wide(pick(forcing), nodes, width).select(F.col("i").alias("j"), "i", F.lit(0.0).alias("w"), F.col("x").alias("f"))
         entries = system.op.select("j", "i", "w", F.lit(None).cast("array<double>").alias("f")).unionByName(own_rows)
-        entries = entries.repartition(parts, "j").sortWithinPartitions("j").checkpoint()
-        state = to_wide(pick(start), nodes, width).repartition(parts, "i").sortWithinPartitions("i").checkpoint()
+        entries = bucketed(entries, "j", parts, "operator")
+        state = bucketed(to_wide(pick(start), nodes, width), "i", parts, "state")
         for t in range(1, max(own) + 1):
             joined = entries.join(state.select(F.col("i").alias("k"), "x"), F.col("j") == F.col("k")).select("i", "w", "f", "x")
             mine = F.col("f").isNotNull()
@@ -147,8 +144,8 @@ def _run_wide(system, forcing, start, steps, cut):
                 for c in range(width)
             ]
             state = joined.groupBy("i").agg(*[s.alias(f"c{c}") for c, s in enumerate(sums)]).select("i", F.array(*[f"c{c}" for c in range(width)]).alias("x"))
-            if t % cut == 0:
-                state = state.checkpoint()
+            if t % cut == 0 and t < max(own):
+                state = bucketed(state, "i", parts, "state", placed=True)
         part = to_long(state).select("i", (F.col("p") + a).cast("int").alias("p"), "v")
         out = part if out is None else out.unionByName(part)
     return out

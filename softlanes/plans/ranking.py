@@ -21,8 +21,8 @@ PAIR = ["BUILDING", "MACHINERY"]
 
 
 def walk(spark, sf_dir, graph="purchase", d=D, **options):
-    """The damped walk on a graph with its operator and nodes written once."""
-    s = systems.restart_walk_system(graphs.EDGES[graph](spark, sf_dir), d, **options)
+    """The damped walk on a graph; edges, operator and nodes are each written once."""
+    s = systems.restart_walk_system(materialise(graphs.EDGES[graph](spark, sf_dir), "edges"), d, **options)
     return systems.AffineSystem(materialise(s.op, "op"), s.drive, materialise(s.nodes, "nodes"))
 
 
@@ -94,7 +94,7 @@ QUERIES["restart_outdegree_3"] = (
 
 def nation_matrix(spark, sf_dir):
     """Laplacian of the nation trade (in millions) plus the identity: diagonally dominant."""
-    edges = graphs.nation_trade(spark, sf_dir).select("src", "dst", (F.col("weight") / 1e6).alias("weight"))
+    edges = materialise(graphs.nation_trade(spark, sf_dir).select("src", "dst", (F.col("weight") / 1e6).alias("weight")), "trade")
     nodes = systems.nodes_of(edges)
     return materialise(systems.laplacian(edges).unionByName(nodes.select("i", F.col("i").alias("j"), F.lit(1.0).alias("w"))).groupBy("i", "j").agg(F.sum("w").alias("w")), "matrix")
 
@@ -187,7 +187,8 @@ QUERIES["bandlimited_cosine"] = (
 
 def bandlimited_nation(spark, sf_dir):
     """Nation trade's Laplacian basis, monthly signals, a quarter of the nations hidden: iteration and closed form."""
-    basis = materialise(systems.laplacian_basis(systems.laplacian(graphs.nation_trade(spark, sf_dir)), 4), "basis")
+    trade = materialise(graphs.nation_trade(spark, sf_dir), "trade")
+    basis = materialise(systems.laplacian_basis(systems.laplacian(trade), 4), "basis")
     seen = materialise(month_signal(spark, sf_dir, 12), "seen")
     run = systems.bandlimited_iterate(basis, seen, 4, 40)
     exact = systems.bandlimited_exact(basis, seen, 4)

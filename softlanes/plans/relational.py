@@ -197,7 +197,7 @@ def except_all(spark, d):
     return r.exceptAll(a).groupBy("l_suppkey", "l_partkey").agg(F.count("*").alias("n"))
 
 
-@rel("rel_json_props", "SELECT event_type, sum(CAST(json_extract_string(props, '$.k') AS BIGINT)) AS total, count(*) AS n FROM events GROUP BY 1")
+@rel("rel_json_props", "SELECT event_type, sum(CAST(json_extract_string(props, '$.k') AS BIGINT))::BIGINT AS total, count(*) AS n FROM events GROUP BY 1")
 def json_props(spark, d):
     e = load(spark, d, "events", "event_type", "props")
     return e.groupBy("event_type").agg(F.sum(F.get_json_object("props", "$.k").cast("long")).alias("total"), F.count("*").alias("n"))

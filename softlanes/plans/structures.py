@@ -24,7 +24,7 @@ def _edges(name, digits):
     return run, f"SELECT src, dst, round(weight, {digits}) AS weight FROM ({graphs.EDGE_SQL[name]})"
 
 
-for _name, _digits in [("purchase", 6), ("purchase_weighted", 6), ("supply", 6), ("transition", 6), ("nation", 2), ("anchor", 6), ("knn", 6), ("random", 6)]:
+for _name, _digits in [("purchase", 6), ("purchase_weighted", 6), ("supply", 6), ("transition", 6), ("nation", 4), ("anchor", 6), ("knn", 6), ("random", 6)]:
     QUERIES[f"edges_{_name}"] = _edges(_name, _digits)
 
 

@@ -44,3 +44,16 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     path = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def bucketed(df: DataFrame, key: str, parts: int, label: str, placed: bool = False) -> DataFrame:
+    """``df`` as a table of ``parts`` buckets by ``key``, sorted within them, kept in the shared folder.
+
+    Joins and aggregations on ``key`` read it where it lies: unlike a checkpoint, a bucketed table tells the
+    planner how it is partitioned. ``placed``: its rows are partitioned by ``key`` already.
+    """
+    spark = df.sparkSession
+    name = f"lanes_{label}_{uuid.uuid4().hex}"
+    rows = df if placed else df.repartition(parts, key)
+    rows.write.bucketBy(parts, key).sortBy(key).option("path", f"{shared_folder(spark)}/{name}").saveAsTable(name)
+    return spark.table(name)

@@ -24,7 +24,9 @@ def rows(pdf):
     def norm(v):
         if v is None or (isinstance(v, float) and math.isnan(v)) or str(v) in ("NaT", "<NA>"):
             return None
-        return round(float(v), 7) + 0.0 if isinstance(v, float) else (int(v) if hasattr(v, "__int__") and not isinstance(v, str) else str(v))
+        if isinstance(v, float):  # whole numbers beside nulls come as floats from either engine
+            return int(v) if v == int(v) else round(float(v), 7)
+        return int(v) if hasattr(v, "__int__") and not isinstance(v, str) else str(v)
 
     cols = sorted(pdf.columns)
     return cols, sorted(str([norm(v) for v in r]) for r in pdf[cols].astype(object).values.tolist())
