@@ -23,7 +23,13 @@ from pyspark.sql import functions as F
 
 from softlanes.llm.shared import load, materialise, shared_folder
 
-ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+#: Keyed state on disk. Changelogs are written instead of whole snapshots, and files are not allocated ahead, which
+#: for many small partitions of state would take megabytes each.
+STATE = {
+    "spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider",
+    "spark.sql.streaming.stateStore.rocksdb.changelogCheckpointing.enabled": "true",
+    "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false",
+}
 
 
 def normalised(text: Column) -> Column:
@@ -49,8 +55,9 @@ def stateful_groups(keyed_folder: str, schema, spark, state_folder: str) -> Data
     The sink writes each trigger's updates as Parquet; the last update of a digest is its state.
     """
     out = f"{state_folder}/updates"
-    before = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
-    spark.conf.set("spark.sql.streaming.stateStore.providerClass", ROCKS)
+    before = {k: spark.conf.get(k, None) for k in STATE}
+    for k, v in STATE.items():
+        spark.conf.set(k, v)
     try:
         grouped = (
             spark.readStream.schema(schema).parquet(keyed_folder)
@@ -66,7 +73,8 @@ def stateful_groups(keyed_folder: str, schema, spark, state_folder: str) -> Data
         )
         query.awaitTermination()
     finally:
-        spark.conf.set("spark.sql.streaming.stateStore.providerClass", before)
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
     fields = "digest string, keep struct<no_id: boolean, doc_id: bigint, _file: string, _row: bigint>, group_size long, trigger int"
     updates = spark.read.schema(fields).parquet(out)
     triggers = [r.trigger for r in updates.select("trigger").distinct().collect()]
