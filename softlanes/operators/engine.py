@@ -31,6 +31,7 @@ from softlanes.sources.session import bucketed, materialise
 
 LANE_EDGES = 20_000_000
 CHUNK = 64
+BUCKET_ENTRIES = 100_000
 
 
 @dataclass
@@ -124,7 +125,8 @@ def _run_long(system, forcing, start, steps, cut):
 
 def _run_wide(system, forcing, start, steps, cut):
     spark = system.op.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # as many buckets as shuffles have partitions, so that sums meet them in place; fewer for a small operator
+    parts = min(int(spark.conf.get("spark.sql.shuffle.partitions")), 1 + system.op.count() // BUCKET_ENTRIES)
     nodes = system.nodes.select("i")
     out = None
     for a in range(0, len(steps), CHUNK):  # few enough columns for one generated aggregation
