@@ -15,9 +15,11 @@ table gives no rows; extra columns are ignored.
 
 from __future__ import annotations
 
-import os
+import unicodedata
 import zlib
+from array import array
 from bisect import bisect_left, insort
+from contextlib import contextmanager
 
 import numpy as np
 import public_tokenizers
@@ -26,48 +28,68 @@ import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from softlanes.llm.bpe import slices
+from softlanes.llm.bpe import printable_bytes, slices
 from softlanes.llm.shared import load, materialise
 
-CACHED_CHUNKS = 300_000
+CACHED_CHUNKS, CACHED_PIECES = 350_000, 200_000
 SALTS = 64
 # Code points of Unicode white space past the controls 9 to 13.
 _WHITE = [0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
 _SPACE = regex.compile("[\\t-\\r" + "".join(map(chr, _WHITE)) + "]+")
 _ODD = regex.compile(r"[\x1c-\x1f]")
-_LOADED: dict[str, tuple] = {}
+_LOADED: dict[str, ChunkIds] = {}
+# How this vocabulary's file splits normalised text.
+_PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+_PRINTABLE = {b: c for c, b in printable_bytes().items() if chr(b) != c}
 
 
-def chunk_encoder(path: str):
-    """The library's tokenizer and a cache of ids by chunk between white space.
+class ChunkIds(dict):
+    """Ids (little-endian unsigned 32-bit integers) by chunk between white space, filled as chunks are met.
 
-    This vocabulary drops white space before merging and no pattern or normaliser of it looks across
-    white space, so a text's ids are its chunks' ids in order.
+    The vocabulary drops white space before merging, and no pattern or normaliser of it looks across white
+    space, so a text's ids are its chunks' ids in order. Latin chunks are normalised and split here and merged
+    by the library's model, piece by piece; any other chunk goes through the library's whole tokenizer.
     """
-    if path not in _LOADED:
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
+
+    def __init__(self, path: str):
+        super().__init__()
         from tokenizers import Tokenizer
 
-        own = Tokenizer.from_file(path)
-        own.no_truncation()
-        own.no_padding()
-        _LOADED[path] = (own, {})
-    return _LOADED[path]
+        self.whole = Tokenizer.from_file(path)
+        self.whole.no_truncation()
+        self.whole.no_padding()
+        self.model = self.whole.model
+        self.pieces: dict[str, bytes] = {}
+
+    def __missing__(self, chunk: str) -> bytes:
+        latin = chunk.isascii() or max(chunk) < "\u0250"
+        if not latin or "<|" in chunk:
+            ids = array("I", self.whole.encode(chunk, add_special_tokens=False).ids).tobytes()
+        else:
+            known = self.pieces
+            plain = chunk.lower() if chunk.isascii() else unicodedata.normalize("NFC", chunk).lower()
+            ids = b"".join([known[p] if p in known else self._piece(p) for p in _PIECES.findall(plain)])
+        if len(self) >= CACHED_CHUNKS:  # memory stays bounded; what is forgotten is merged again
+            self.clear()
+        self[chunk] = ids
+        return ids
+
+    def _piece(self, piece: str) -> bytes:
+        text = piece.encode().decode("latin-1").translate(_PRINTABLE)
+        ids = array("I", [t.id for t in self.model.tokenize(text)]).tobytes()
+        if len(self.pieces) >= CACHED_PIECES:
+            self.pieces.clear()
+        self.pieces[piece] = ids
+        return ids
 
 
 def encode_texts(path: str, texts: list[str]) -> list[bytes]:
-    """Ids of whole texts as little-endian unsigned 32-bit integers, by the tokenizers library."""
-    own, cache = chunk_encoder(path)
-    if len(cache) > CACHED_CHUNKS:
-        cache.clear()
+    """Ids of whole texts as little-endian unsigned 32-bit integers, as the tokenizers library gives them."""
+    if path not in _LOADED:
+        _LOADED[path] = ChunkIds(path)
+    ids = _LOADED[path]
     # str.split() also splits at four control characters that are no white space to the tokenizer
-    chunks = [_SPACE.split(t) if _ODD.search(t) else t.split() for t in texts]
-    new = list({c for cs in chunks for c in cs} - cache.keys())
-    for i in range(0, len(new), 20_000):
-        some = new[i : i + 20_000]
-        for chunk, got in zip(some, own.encode_batch_fast(some, add_special_tokens=False)):
-            cache[chunk] = np.array(got.ids, "<u4").tobytes()
-    return [b"".join([cache[c] for c in cs]) for cs in chunks]
+    return [b"".join([ids[c] for c in (_SPACE.split(t) if _ODD.search(t) else t.split())]) for t in texts]
 
 
 def token_pieces(df: DataFrame, path: str, capacity: int = 2048, end_id: int = 0, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
@@ -245,8 +267,22 @@ def pack(pieces: DataFrame, capacity: int = 2048) -> DataFrame:
     )
 
 
+@contextmanager
+def arrow_batches(spark, rows: int):
+    """Batches of at most ``rows`` rows between Spark and Python while the body's actions run: whole texts are long,
+    and both sides hold a batch in memory."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 def pack_documents(df: DataFrame, path: str, capacity: int = 2048) -> DataFrame:
-    pieces = materialise(token_pieces(df, path, capacity), "pieces")
+    with arrow_batches(df.sparkSession, 500):
+        pieces = materialise(token_pieces(df, path, capacity), "pieces")
     return pack(pieces, capacity).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
