@@ -4,12 +4,15 @@ Distinct vectors are dealt to overlapping cluster shards (each to its ``overlap`
 on a bounded sample; shards that are overfull are clustered again). Every shard builds a flat proximity
 graph, its adjacency lists robust-pruned so that long edges stay; the lists of a vector from all its shards
 are united. Then every vector is searched for from its shard's medoid: greedily until the neighbourhood
-is reached, then expanding every node in range until no node in range is left. Pairs are verified by
-their cosine in double precision, and the recall of links is audited against brute force on sampled
-queries; where it is short, the build is repeated with one more overlap.
+is reached, then expanding every node in range until no node in range is left. The expansion follows the
+united lists out of the shard: every node has one cell, its first shard, and a vector visits the cells of
+the nodes found in range and of those they list, round by round, until no cell is new; a vector that
+is found visits the cell of its finder too. A visit compares the vector with the whole cell in double precision,
+so each pair counts once at either end, wherever it was found. The recall of links is audited against brute
+force on sampled queries; where it is short, the build is repeated with one more overlap.
 
 Exactly equal vectors are one node with a weight; pairs are counted at the node, never written out, and a
-shard writes a spanning forest of its links. A pair of vectors that share several shards counts in the first.
+visited cell writes a spanning forest of its links.
 
 Edge cases: null, empty and zero vectors and vectors with null or non-finite components have no links and
 are their own component; vectors of another dimension than a shard's are never compared with it; repeated
@@ -28,6 +31,7 @@ from softlanes.llm.shared import connected_components, load, materialise
 SHARD = 1200
 MOST_SHARD = 6000
 MOST_CENTROIDS = 4096
+MOST_VISITS = 16384  # vectors that visit a cell in one task
 MARGIN = 1e-6  # single-precision slack of the search before the check in double precision
 
 
@@ -187,29 +191,32 @@ def overlapping_shards(nodes: DataFrame, overlap: int, seed: int = 1) -> DataFra
     return rows
 
 
-def united_graph(shards: DataFrame) -> DataFrame:
-    """``(node, near array<long>)``: each node's pruned lists from all its shards."""
+def united_graph(shards: DataFrame, threshold: float) -> DataFrame:
+    """``(node, cell, near array<long>, out array<long>)``: each node's first shard, its pruned lists from all its
+    shards, and the cells of those listed that a vector in range of the node can have in range too."""
+    wide = 2 * threshold * threshold - 1 - MARGIN if threshold > 0 else -2.0  # twice the angle
+    cells = shards.groupBy("node").agg(F.min("shard").alias("cell"))
 
     def build(pdf: pd.DataFrame) -> pd.DataFrame:
-        ids = pdf["node"].to_numpy()
-        graph = pruned_graph(unit(_matrix(pdf["v"])).astype(np.float32))
-        return pd.DataFrame({"node": ids, "near": [ids[g[g >= 0]] for g in graph]})
+        ids, cell = pdf["node"].to_numpy(), pdf["cell"].to_numpy()
+        x = unit(_matrix(pdf["v"])).astype(np.float32)
+        graph = pruned_graph(x)
+        lists = [g[g >= 0] for g in graph]
+        out = [np.unique(cell[g[x[g] @ x[i] >= wide]]) for i, g in enumerate(lists)]
+        return pd.DataFrame({"node": ids, "cell": cell, "near": pd.Series([ids[g] for g in lists], dtype=object), "out": pd.Series(out, dtype=object)})
 
-    lists = shards.groupBy("shard").applyInPandas(build, "node long, near array<long>")
-    return lists.groupBy("node").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("near"))  # degree x shards at most
+    lists = shards.join(cells, "node").groupBy("shard").applyInPandas(build, "node long, cell long, near array<long>, out array<long>")
+    united = [F.array_distinct(F.flatten(F.collect_list(c))).alias(c) for c in ("near", "out")]  # degree x shards at most
+    return lists.groupBy("node").agg(F.min("cell").alias("cell"), *united)
 
 
-def search_links(shards: DataFrame, graph: DataFrame, threshold: float) -> DataFrame:
-    """``(node, links, root)`` per node and shard: weight of the nodes it links to there, and its tree in the shard."""
-    homes = shards.groupBy("node").agg(F.sort_array(F.collect_list("shard")).alias("homes"))  # overlap long
-    rows = shards.join(graph, "node").join(homes, "node")
+def search_cells(shards: DataFrame, graph: DataFrame, threshold: float) -> DataFrame:
+    """``(node, cells array<long>)`` per node and shard: the cells of the nodes found in range there and of those they list."""
 
-    def search(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        shard = key[0]
+    def search(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("node", ignore_index=True)
-        ids, weight = pdf["node"].to_numpy(), pdf["n"].to_numpy()
-        exact = unit(_matrix(pdf["v"]))
-        x = exact.astype(np.float32)
+        ids = pdf["node"].to_numpy()
+        x = unit(_matrix(pdf["v"])).astype(np.float32)
         n = len(ids)
         width = max(1, max(map(len, pdf["near"])))
         adjacency = np.full((n, 2 * width), -1, np.int64)
@@ -227,28 +234,95 @@ def search_links(shards: DataFrame, graph: DataFrame, threshold: float) -> DataF
                     fill[t] += 1
         start = int((x @ x.mean(axis=0)).argmax())
         found = range_search(x, adjacency, np.arange(n), start, threshold - MARGIN)
-        homes = [set(h) for h in pdf["homes"]]
-        links, root = np.zeros(n, np.int64), np.arange(n)
-        pairs_a, pairs_b = [], []
-        for i, near in enumerate(found):
-            near = near[np.einsum("ij,j->i", exact[near], exact[i]) >= threshold]
-            pairs_a.append(np.full(len(near), i))
-            pairs_b.append(near)
-        a, b = np.concatenate(pairs_a), np.concatenate(pairs_b)
-        code = np.unique(np.r_[a * n + b, b * n + a])  # a link found from one end counts at both
-        a, b = code // n, code % n
-        ours = np.array([min(homes[i] & homes[j]) == shard for i, j in zip(a.tolist(), b.tolist())], bool) if len(a) else np.empty(0, bool)
-        np.add.at(links, a[ours], weight[b[ours]])
-        while len(a):
-            low = root.copy()
-            np.minimum.at(low, a, root[b])
-            low = low[low]
-            if (low == root).all():
-                break
-            root = low
-        return pd.DataFrame({"node": ids, "links": links, "root": ids[root]})
-
-    return rows.groupBy("shard").applyInPandas(search, "node long, links long, root long")
+        targets, leads = _leads([np.append(o, c) for o, c in zip(pdf["out"], pdf["cell"])])
+        some = [i for i, near in enumerate(found) if len(near)]
+        return pd.DataFrame({"node": ids[some], "cells": pd.Series([targets[leads[found[i]].any(axis=0)] for i in some], dtype=object)})
+
+    return shards.join(graph, "node").groupBy("shard").applyInPandas(search, "node long, cells array<long>")
+
+
+def _leads(lists) -> tuple[np.ndarray, np.ndarray]:
+    """(distinct values, boolean matrix of which list has which)."""
+    lengths = [len(o) for o in lists]
+    values, at = np.unique(np.concatenate([np.asarray(o, np.int64) for o in lists]), return_inverse=True)
+    has = np.zeros((len(lengths), len(values)), bool)
+    has[np.repeat(np.arange(len(lengths)), lengths), at] = True
+    return values, has
+
+
+def _merged(root: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """``root`` (smallest place of each tree) after the links a - b."""
+    while True:
+        ra, rb = root[a], root[b]
+        apart = ra != rb
+        if not apart.any():
+            return root
+        a, b, ra, rb = a[apart], b[apart], ra[apart], rb[apart]
+        root = root.copy()
+        np.minimum.at(root, np.maximum(ra, rb), np.minimum(ra, rb))
+        while (root[root] != root).any():
+            root = root[root]
+
+
+def compared(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, weight: np.ndarray, threshold: float, each=None):
+    """(links of each q, roots of x's rows then q's as ids): every row of ``q`` against every row of ``x``, both of unit
+    length; ``each(first row of q, hits)`` is called by block."""
+    links, root = np.zeros(len(q_ids), np.int64), np.arange(len(ids) + len(q_ids))
+    step = max(1, min(512, 4_000_000 // max(1, len(ids))))
+    for a in range(0, len(q_ids), step):
+        hit = (q[a : a + step] @ x.T >= threshold) & (q_ids[a : a + step, None] != ids[None, :])
+        links[a : a + step] = (hit * weight[None, :]).sum(axis=1)
+        row, col = np.nonzero(hit)
+        root = _merged(root, len(ids) + a + row, col)
+        if each:
+            each(a, hit)
+    return links, np.r_[ids, q_ids][root]
+
+
+def visit_cells(asked: DataFrame, placed: DataFrame, threshold: float) -> DataFrame:
+    """``(node, links, root, cells)``: each of ``asked(node, cell)`` compared with all of ``placed(node, v, n, cell, out)``
+    in the cell: weight linked to, its tree, and the cells that come up; members that are found tell the finders' cells."""
+    parts = asked.groupBy("cell").agg(F.ceil(F.count("*") / MOST_VISITS).cast("int").alias("parts"))
+    queries = asked.join(parts, "cell").select("node", "cell", F.pmod(F.xxhash64("node"), "parts").cast("int").alias("part")).join(
+        placed.select("node", F.col("v").alias("q"), F.col("cell").alias("home")), "node")
+    members = placed.join(parts, "cell").select(
+        "node", F.col("v").alias("x"), "n", "out", "cell", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"))
+
+    def visit(queries: pd.DataFrame, members: pd.DataFrame) -> pd.DataFrame:
+        if not len(queries) or not len(members):
+            return pd.DataFrame({"node": [], "links": [], "root": [], "cells": pd.Series([], dtype=object)})
+        q_ids, ids = queries["node"].to_numpy(), members["node"].to_numpy()
+        targets, leads = _leads(members["out"])
+        home, place = np.unique(queries["home"].to_numpy(), return_inverse=True)
+        finders, cells = np.zeros((len(ids), len(home)), bool), []
+
+        def each(a: int, hit: np.ndarray) -> None:
+            row, col = np.nonzero(hit)
+            finders[col, place[a + row]] = True
+            cells.extend(targets[r] for r in hit.astype(np.float32) @ leads.astype(np.float32) > 0)
+
+        links, root = compared(q_ids, unit(_matrix(queries["q"])), ids, unit(_matrix(members["x"])), members["n"].to_numpy(), threshold, each)
+        met = np.flatnonzero(finders.any(axis=1))
+        return pd.DataFrame({
+            "node": np.r_[q_ids, ids[met]], "links": np.r_[links, np.zeros(len(met), np.int64)], "root": np.r_[root[len(ids) :], root[met]],
+            "cells": pd.Series([*cells, *(home[finders[i]] for i in met)], dtype=object),
+        })
+
+    both = queries.groupBy("cell", "part").cogroup(members.groupBy("cell", "part"))
+    return both.applyInPandas(visit, "node long, links long, root long, cells array<long>")
+
+
+def follow_links(start: DataFrame, graph: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
+    """``(node, links, root)`` per visit of a node to a cell, from the cells of ``start`` on until no visit is new."""
+    placed = materialise(nodes.join(graph.select("node", "cell", "out"), "node"), "vector-cells")
+    asked = materialise(start.select("node", F.explode("cells").alias("cell")).distinct(), "vector-visits")
+    every, found = asked, nodes.sparkSession.createDataFrame([], "node long, links long, root long")
+    while not asked.isEmpty():
+        got = materialise(visit_cells(asked, placed, threshold), "vector-links")
+        found = found.unionByName(got.select("node", "links", "root"))
+        asked = materialise(got.select("node", F.explode("cells").alias("cell")).distinct().join(every, ["node", "cell"], "left_anti"), "vector-visits")
+        every = every.unionByName(asked)
+    return found
 
 
 def audited_recall(nodes: DataFrame, counted: DataFrame, threshold: float, queries: int = 200) -> float:
@@ -283,8 +357,8 @@ def near_duplicate_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str
     recall = 0.0
     for more in range(3):
         shards = overlapping_shards(nodes.select("node", "v", "n"), overlap + more)
-        graph = materialise(united_graph(shards), "vector-graph")
-        found = materialise(search_links(shards, graph, threshold), "vector-links")
+        graph = materialise(united_graph(shards, threshold), "vector-graph")
+        found = follow_links(search_cells(shards, graph, threshold), graph, nodes.select("node", "v", "n"), threshold)
         counted = found.groupBy("node").agg(F.sum("links").alias("links"))
         recall = audited_recall(nodes.select("node", "v", "n"), counted, threshold)
         if recall >= least_recall:

@@ -118,6 +118,16 @@ def test_vectors_equal_brute_force(spark, monkeypatch):
     assert (out.kept == (out.index == out.component_id)).all()
 
 
+def test_links_of_a_dense_group_cut_over_many_shards(spark, monkeypatch):
+    monkeypatch.setattr(vectors, "SHARD", 40)
+    rng = np.random.default_rng(8)
+    x = [*rng.normal(size=(300, 16)), *(np.ones(16) + 0.2 * rng.normal(size=(400, 16)))]
+    out = vectors.near_duplicate_vectors(embeddings(spark, x), least_recall=0.0).toPandas().set_index("vec_id").sort_index()  # first build
+    count, label = brute_vectors(x)
+    assert sum(count) > 100_000 and out.n_links.sum() <= sum(count)
+    assert out.n_links.sum() > 0.99 * sum(count) and out.component_id.tolist() == label
+
+
 def test_empty_vectors(spark):
     assert vectors.near_duplicate_vectors(embeddings(spark, [])).count() == 0
 
