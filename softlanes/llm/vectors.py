@@ -9,7 +9,8 @@ united lists out of the shard: every node has one cell, its first shard, and a v
 the nodes found in range and of those they list, round by round, until no cell is new; a vector that
 is found visits the cell of its finder too. A visit compares the vector with the whole cell in double precision,
 so each pair counts once at either end, wherever it was found. The recall of links is audited against brute
-force on sampled queries; where it is short, the build is repeated with one more overlap.
+force on sampled queries; where it is short, the build is repeated with one more overlap, and where three
+builds are short, the whole table is compared exactly, block by block, which always ends with every link.
 
 Exactly equal vectors are one node with a weight; pairs are counted at the node, never written out, and a
 visited cell writes a spanning forest of its links.
@@ -32,6 +33,7 @@ SHARD = 1200
 MOST_SHARD = 6000
 MOST_CENTROIDS = 4096
 MOST_VISITS = 16384  # vectors that visit a cell in one task
+BLOCK_NUMBERS = 4_000_000  # numbers of a block of vectors that goes to every task in the exact comparison
 MARGIN = 1e-6  # single-precision slack of the search before the check in double precision
 
 
@@ -349,6 +351,36 @@ def audited_recall(nodes: DataFrame, counted: DataFrame, threshold: float, queri
     return 1.0 if not r.t else r.f / r.t
 
 
+def exact_links(nodes: DataFrame, threshold: float) -> DataFrame:
+    """``(node, links, root)`` of all pairs: each block of vectors goes to every task and meets the whole table there,
+    which is streamed; only counts and spanning forests are written."""
+    found = nodes.sparkSession.createDataFrame([], "node long, links long, root long")
+    sized = materialise(nodes.withColumn("d", F.size("v")), "vector-sizes")
+    for r in sized.groupBy("d").count().collect():
+        own = sized.where(F.col("d") == r.d).select("node", "v", "n")
+        blocks = max(1, -(-r["count"] * r.d // BLOCK_NUMBERS))
+        for b in range(blocks):
+            picked = own.where(F.pmod(F.xxhash64("node"), F.lit(blocks)) == b).toPandas()
+            if len(picked):
+                shared = nodes.sparkSession.sparkContext.broadcast((picked["node"].to_numpy(), unit(_matrix(picked["v"])), picked["n"].to_numpy()))
+                found = found.unionByName(materialise(own.mapInPandas(_against(shared, threshold), "node long, links long, root long"), "vector-exact"))
+                shared.unpersist()
+    return found
+
+
+def _against(shared, threshold: float):
+    def run(batches):
+        ids, x, weight = shared.value
+        for pdf in batches:
+            if len(pdf):
+                q_ids = pdf["node"].to_numpy()
+                links, root = compared(q_ids, unit(_matrix(pdf["v"])), ids, x, weight, threshold)
+                met = np.flatnonzero(root[: len(ids)] != ids)
+                yield pd.DataFrame({"node": np.r_[q_ids, ids[met]], "links": np.r_[links, np.zeros(len(met), np.int64)], "root": np.r_[root[len(ids) :], root[met]]})
+
+    return run
+
+
 def near_duplicate_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str = "embedding", threshold: float = 0.9, overlap: int = 3, least_recall: float = 0.97) -> DataFrame:
     """``(vec_id, n_links, component_id, kept, audited_recall)``, one row per row of ``df``."""
     members, classes = distinct_vectors(df, vec_id, embedding)
@@ -363,6 +395,10 @@ def near_duplicate_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str
         recall = audited_recall(nodes.select("node", "v", "n"), counted, threshold)
         if recall >= least_recall:
             break
+    else:
+        found = exact_links(nodes.select("node", "v", "n"), threshold)
+        counted = found.groupBy("node").agg(F.sum("links").alias("links"))
+        recall = audited_recall(nodes.select("node", "v", "n"), counted, threshold)
     parts = connected_components(found.select(F.col("node").alias("a"), F.col("root").alias("b")))
     per_node = (
         nodes.join(counted, "node", "left").join(parts, "node", "left")

@@ -128,6 +128,18 @@ def test_links_of_a_dense_group_cut_over_many_shards(spark, monkeypatch):
     assert out.n_links.sum() > 0.99 * sum(count) and out.component_id.tolist() == label
 
 
+def test_short_audits_end_in_an_exact_comparison(spark, monkeypatch):
+    monkeypatch.setattr(vectors, "BLOCK_NUMBERS", 1000, raising=False)
+    search = vectors.search_cells
+    monkeypatch.setattr(vectors, "search_cells", lambda *a: search(*a).where("false"))  # every build finds nothing
+    rng = np.random.default_rng(10)
+    x = [*rng.normal(size=(100, 16)), *(np.ones(16) + 0.2 * rng.normal(size=(60, 16))), [1.0, 2.0], [2.0, 4.1], None]
+    x += [x[0], x[120], x[120]]
+    out = vectors.near_duplicate_vectors(embeddings(spark, x)).toPandas().set_index("vec_id").sort_index()
+    count, label = brute_vectors(x)
+    assert out.n_links.tolist() == count and out.component_id.tolist() == label and (out.audited_recall == 1).all()
+
+
 def test_empty_vectors(spark):
     assert vectors.near_duplicate_vectors(embeddings(spark, [])).count() == 0
 
