@@ -1,7 +1,10 @@
 """Canonical digest lookup of licence texts.
 
 A text is lower-cased, loses its copyright lines and punctuation, has equivalent spellings unified, and
-is hashed with SHA-256; entire texts are hash-joined to the digests of known licence texts. One-line
+is hashed with SHA-256; entire texts are hash-joined to the digests of known licence texts, each also under
+its usual titles, without its numbers or its appendix. The legal codes of CC BY 4.0 and CC BY-NC 4.0 are not
+among them (their notices are): pass them in ``known``. A line is a copyright line where a sign, a year, "by" or a
+name follows; a wrapped sentence that happens to begin with the word stays. One-line
 notices are whole texts too: every line of a document is canonicalised the same way and looked up among
 the digests of known notices, inside the row, so that nothing is shuffled.
 
@@ -12,6 +15,9 @@ which the result replaces.
 
 from __future__ import annotations
 
+import pkgutil
+import re
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -65,14 +71,75 @@ TEXTS = {
 }
 
 
+_BSD_HEAD = (
+    "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the "
+    "following conditions are met:\n\n1. Redistributions of source code must retain the above copyright notice, this list of "
+    "conditions and the following disclaimer.\n\n2. Redistributions in binary form must reproduce the above copyright notice, "
+    "this list of conditions and the following disclaimer in the documentation and/or other materials provided with the "
+    "distribution.\n\n"
+)
+_BSD_NAMES = "3. Neither the name of {} nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.\n\n"
+_BSD_TAIL = (
+    'THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS" AND ANY EXPRESS OR IMPLIED WARRANTIES, '
+    "INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE "
+    "DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT {} OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, "
+    "SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR "
+    "SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, "
+    "WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE "
+    "OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE."
+)
+# Files of ``license_texts`` by licence id.
+FILES = {
+    "Apache-2.0": "Apache-2.0", "GPL-3.0": "GPL-3.0", "GPL-2.0": "GPL-2.0", "LGPL-3.0": "LGPL-3.0", "LGPL-2.1": "LGPL-2.1",
+    "MPL-2.0": "MPL-2.0", "MPL-1.1": "MPL-1.1", "CC0-1.0": "CC0-1.0", "BSD-3-Clause": "BSD-3-Clause-Regents",
+}
+# Titles the short texts go by.
+TITLES = {
+    "MIT": ["MIT License", "The MIT License", "The MIT License (MIT)", "MIT License (MIT)"],
+    "ISC": ["ISC License", "The ISC License", "ISC License (ISC)", "The ISC License (ISC)"],
+    "0BSD": ["BSD Zero Clause License", "Zero-Clause BSD", "Zero-Clause BSD License", "BSD 0-Clause License"],
+    "BSD-2-Clause": ["BSD 2-Clause License", "The BSD 2-Clause License", 'BSD 2-Clause "Simplified" License', "Simplified BSD License"],
+    "BSD-3-Clause": ["BSD 3-Clause License", "The BSD 3-Clause License", 'BSD 3-Clause "New" or "Revised" License', "New BSD License", "BSD License"],
+}
+
+
+def whole_texts() -> list[tuple[str, str]]:
+    """(licence id, text) of every whole text in its usual forms."""
+    short = [(k, text.removeprefix("MIT License\n\n")) for k, text in TEXTS.items()]
+    short += [("BSD-2-Clause", _BSD_HEAD + _BSD_TAIL.format(who)) for who in ("HOLDER", "OWNER", "HOLDERS")]
+    short += [
+        ("BSD-3-Clause", _BSD_HEAD + _BSD_NAMES.format(name) + _BSD_TAIL.format(who))
+        for name in ("the copyright holder", "the copyright holders") for who in ("HOLDER", "OWNER", "HOLDERS")
+    ]
+    out = []
+    for k, file in FILES.items():
+        text = pkgutil.get_data("softlanes.llm", f"license_texts/{file}.txt").decode()
+        if k in TITLES:
+            short.append((k, text.replace("All rights reserved.", "", 1)))
+            continue
+        ending = re.split(r"(?<=END OF TERMS AND CONDITIONS)\s", text, maxsplit=1)[0]
+        out += [(k, text), (k, ending), (k, ending.replace("END OF TERMS AND CONDITIONS", ""))]
+    for k, text in short:
+        bodies = [text, re.sub(r"(?m)^\s*\d\. ", "", text)] if k.startswith("BSD") else [text]
+        out += [(k, f"{title}\n\n{rights}{body}") for body in bodies for title in ("", *TITLES[k]) for rights in ("", "All rights reserved.\n\n")]
+    return out
+
+
 def known_texts() -> list[tuple[str, str]]:
     """(licence id, text): whole texts first, then notices, which are whole texts of one line."""
-    return [*TEXTS.items(), *((k, line) for k, lines in NOTICES.items() for line in lines)]
+    return [*whole_texts(), *((k, line) for k, lines in NOTICES.items() for line in lines)]
+
+
+_YEAR = r"[\[<{(]?\s*(?i:\d{4}|year|yyyy)"
+_NAME = r"(?!(?i:holder|owner|notice|licen[cs]e|law|treat|statement|and|or|permission|right|interest|protect|infring)[a-z]*)\p{Lu}[\p{Ll}.]"
+COPYRIGHT_LINE = (
+    rf"(^|\n)[^\p{{L}}\p{{N}}\n]*((?i:copyright)[ \t:,]*(©|\((?i:c)\)|{_YEAR}|(?i:by)\b|{_NAME})|©|\((?i:c)\)[ \t]*({_YEAR}|(?i:copyright)))[^\n]*"
+)
 
 
 def canonical(text: Column) -> Column:
-    text = F.lower(F.coalesce(text, F.lit("")))
-    text = F.regexp_replace(text, r"(^|\n)[^\p{L}\p{N}\n]*(copyright|©|\(c\))[^\n]*", "\n")
+    text = F.regexp_replace(F.coalesce(text, F.lit("")), COPYRIGHT_LINE, "\n")
+    text = F.lower(text)
     text = F.concat(F.lit(" "), F.regexp_replace(text, r"[^\p{L}\p{N}]+", " "), F.lit(" "))
     for other, usual in SPELLINGS:
         text = F.replace(text, F.lit(f" {other} "), F.lit(f" {usual} "))

@@ -2,8 +2,10 @@
 
 import hashlib
 import re
+import textwrap
 import zlib
 from collections import Counter
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
@@ -55,6 +57,19 @@ def test_license_canon(spark):
     assert licenses.scan_licenses(docs(spark, [])).count() == 0
 
 
+def test_whole_license_texts_titles_and_wrapped_lines(spark):
+    head, mit = "Copyright (c) 2021 A. Person\n\n", licenses.TEXTS["MIT"].removeprefix("MIT License\n\n")
+    folder = Path(licenses.__file__).parent / "license_texts"
+    whole = [(f.stem.removesuffix("-Regents"), f.read_text()) for f in sorted(folder.glob("*.txt"))]
+    bsd3 = licenses._BSD_HEAD + licenses._BSD_NAMES.format("the copyright holder") + licenses._BSD_TAIL.format("HOLDER")
+    wrapped = mit.replace("AUTHORS OR COPYRIGHT", "AUTHORS OR\nCOPYRIGHT").replace("above copyright", "above\ncopyright")
+    whole += [("MIT", "The MIT License (MIT)\n\n" + head + mit), ("MIT", head + mit), ("MIT", "MIT License\n\nCopyright Jane Doe\n" + wrapped)]
+    whole += [("BSD-3-Clause", "BSD 3-Clause License\n\n" + head + bsd3), ("BSD-3-Clause", head + bsd3.replace("1. ", "* ").replace("2. ", "* ").replace("3. ", "* "))]
+    whole += [("Apache-2.0", "\n".join(textwrap.wrap(dict(whole)["Apache-2.0"].split("APPENDIX")[0], 61))), (None, bsd3 + " more")]
+    got = {r.doc_id: r.license for r in licenses.scan_licenses(docs(spark, [(i, t) for i, (_, t) in enumerate(whole)])).collect()}
+    assert [got[i] for i in range(len(whole))] == [k for k, _ in whole]
+
+
 def brute(rows):
     norm = [(i, re.sub(r"[\x20\x09-\x0D]+", " ", t or "")) for i, t in rows]
     groups = {}
