@@ -306,7 +306,8 @@ def bandlimited_operator(basis: DataFrame, hidden: DataFrame) -> AffineSystem:
 
 
 def bandlimited_exact(basis: DataFrame, observed: DataFrame, width: int) -> DataFrame:
-    """Closed form: coefficients that fit the observed rows by least squares, applied to all nodes.
+    """Closed form: coefficients that fit the observed rows by least squares, applied to all nodes; the smallest
+    such coefficients, to which the iteration from zero tends too, where fewer rows than ``width`` are observed.
 
     The Gram matrix of the observed rows is ``width**2`` sums for each instant; only those reach the driver.
     """
@@ -317,7 +318,7 @@ def bandlimited_exact(basis: DataFrame, observed: DataFrame, width: int) -> Data
     rows = []
     for r in seen.groupBy("p").agg(*sums, *rhs).collect():
         g = np.array(r[1 : 1 + width * width]).reshape(width, width)
-        rows.append((r[0], np.linalg.solve(g, np.array(r[1 + width * width :])).tolist()))
+        rows.append((r[0], np.linalg.lstsq(g, np.array(r[1 + width * width :]), rcond=1e-12)[0].tolist()))
     coef = spark.createDataFrame(rows, "p int, c array<double>")
     return basis.crossJoin(F.broadcast(coef)).select(
         "i", "p", F.aggregate(F.zip_with("u", "c", lambda a, b: a * b), F.lit(0.0), lambda s, t: s + t).alias("v")

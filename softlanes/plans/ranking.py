@@ -163,12 +163,19 @@ def cosine_basis(spark, n=25, width=WIDTH):
     ], "i bigint, u array<double>")
 
 
-def month_signal(spark, sf_dir, months=4):
-    return graphs.in_month(spark, sf_dir).where((F.col("p") < months) & (F.col("i") % 4 != 0)).select("i", "p", (F.col("v") / 1e6).alias("v"))
+def month_signal(spark, sf_dir, months=None):
+    """Observed nations of every month in orders, or of the first ``months``, in millions."""
+    every = graphs.in_month(spark, sf_dir).where(F.col("i") % 4 != 0)
+    kept = every if months is None else every.where(F.col("p") < months)
+    return kept.select("i", "p", (F.col("v") / 1e6).alias("v"))
+
+
+def cosine_completion(months=None):
+    return lambda spark, sf_dir: _r9(systems.bandlimited_iterate(cosine_basis(spark), materialise(month_signal(spark, sf_dir, months), "seen"), WIDTH, 6))
 
 
 QUERIES["bandlimited_cosine"] = (
-    lambda spark, sf_dir: _r9(systems.bandlimited_iterate(cosine_basis(spark), materialise(month_signal(spark, sf_dir), "seen"), WIDTH, 6)),
+    cosine_completion(4),  # the months of its SQL; all of them below
     with_(
         "u AS MATERIALIZED (SELECT i, c, sqrt((CASE WHEN c = 0 THEN 1 ELSE 2 END) / 25.0) * cos(pi() * (i + 0.5) * c / 25) AS u FROM range(25) a(i), range(5) b(c))",
         """o AS MATERIALIZED (SELECT c_nationkey::BIGINT AS i, ((year(o_orderdate) - 1995) * 12 + month(o_orderdate) - 1)::INT AS p, sum(o_totalprice) / 1e6 AS v
@@ -189,7 +196,7 @@ def bandlimited_nation(spark, sf_dir):
     """Nation trade's Laplacian basis, monthly signals, a quarter of the nations hidden: iteration and closed form."""
     trade = materialise(graphs.nation_trade(spark, sf_dir), "trade")
     basis = materialise(systems.laplacian_basis(systems.laplacian(trade), 4), "basis")
-    seen = materialise(month_signal(spark, sf_dir, 12), "seen")
+    seen = materialise(month_signal(spark, sf_dir), "seen")
     run = systems.bandlimited_iterate(basis, seen, 4, 40)
     exact = systems.bandlimited_exact(basis, seen, 4)
     return run.join(exact.withColumnRenamed("v", "exact"), ["i", "p"])
@@ -205,6 +212,7 @@ def bandlimited_knn(spark, sf_dir):
     return systems.bandlimited_exact(basis, signal.where(F.col("i") % 4 != 0), 10).join(signal.withColumnRenamed("v", "truth"), ["i", "p"])
 
 
+QUERIES["bandlimited_cosine_all_months"] = (cosine_completion(), None)
 QUERIES["bandlimited_nation"] = (bandlimited_nation, None)
 QUERIES["bandlimited_knn"] = (bandlimited_knn, None)
 

@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from softlanes import schemas
 from softlanes.operators import baselines, codes, decode, engine, metrics, scoring, stragglers, systems, weights
+from softlanes.plans import catalogue, ranking
 from softlanes.sources import graphs, tables
 from softlanes.sources.session import materialise
 
@@ -99,6 +100,20 @@ def test_jacobi_and_ridge_fixed_points(spark):
         assert np.allclose(got, systems.solve_ridge_exact(dense, target, lam), atol=1e-8), variant
 
 
+def test_bandlimited_queries_cover_every_month(spark, small):
+    month = graphs.in_month(spark, small).where("i % 4 <> 0").toPandas()
+    nation = catalogue.queries()["bandlimited_nation"](spark, small).toPandas()
+    assert set(nation.p) == set(month.p) and len(nation) == 25 * month.p.nunique()
+    u = np.array(ranking.cosine_basis(spark).orderBy("i").toPandas()["u"].tolist())
+    got = frame(catalogue.queries()["bandlimited_cosine_all_months"](spark, small))
+    for p, own in month.groupby("p"):
+        x = np.zeros(25)
+        for _ in range(6):
+            x[own.i] = own.v / 1e6
+            x = u @ (u.T @ x)
+        assert np.allclose(got[p], x, atol=1e-8)
+
+
 def test_bandlimited_completion(spark):
     q, _ = np.linalg.qr(np.random.default_rng(3).normal(size=(10, 2)))
     basis = spark.createDataFrame([(i, q[i].tolist()) for i in range(10)], "i long, u array<double>")
