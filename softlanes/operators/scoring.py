@@ -15,7 +15,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from softlanes.operators import baselines, codes, decode
+from softlanes.operators import baselines, codes, decode, engine
 from softlanes.operators.engine import _block_of, csr, csr_apply
 from softlanes.operators.systems import AffineSystem
 from softlanes.sources.session import materialise
@@ -35,8 +35,13 @@ class Plan:
 
 
 def error_blocks(system: AffineSystem, inputs: DataFrame, problems: int, most: int, start_value: float | None = None, tol: float = 1e-17, converge: int = 400) -> DataFrame:
-    """``(b, g, data)``: residuals of a group of problems at steps 0..most, then the solution, on a block of nodes, as bytes."""
+    """``(b, g, data)``: residuals of a group of problems at steps 0..most, then the solution, on a block of nodes, as bytes.
+
+    An operator too large for each task runs on the wide layout.
+    """
     spark = system.op.sparkSession
+    if engine.choose_layout(system.op) != "lane":
+        return _wide_error_blocks(system, inputs, problems, most, start_value, tol, converge)
     matrix = csr(system.op, system.nodes)
     shared = spark.sparkContext.broadcast(matrix)
     s0 = 1.0 / max(1, len(matrix[0])) if start_value is None else start_value
@@ -64,6 +69,33 @@ def error_blocks(system: AffineSystem, inputs: DataFrame, problems: int, most: i
     return materialise(rows.groupBy("g").applyInPandas(work, "b int, g int, data binary"), "errors")
 
 
+def _wide_error_blocks(system, inputs, problems, most, start_value, tol, converge) -> DataFrame:
+    spark = system.op.sparkSession
+    n = max(1, system.nodes.count())
+    s0 = 1.0 / n if start_value is None else start_value
+    ps = F.broadcast(spark.range(problems).select(F.col("id").cast("int").alias("p")))
+    start = materialise(system.nodes.select("i").crossJoin(ps).select("i", "p", F.lit(s0).alias("v")), "start")
+    forcing = materialise(system.forcing(inputs).select("i", "p", "v"), "forcing")
+    shots = engine.snapshots(system, forcing, start, problems, list(range(most + 1)))
+    shots[most + 1] = engine.solve_converged(system, inputs, problems, tol=tol, most=converge)
+    every = None
+    for l, shot in shots.items():
+        own = shot.select("i", "p", "v", F.lit(l).alias("l"))
+        every = own if every is None else every.unionByName(own)
+    block = F.pmod(F.xxhash64("i"), F.lit(-(-n // BLOCK))).cast("int")
+
+    def work(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        b, g = key
+        ids, row = np.unique(pdf["i"].to_numpy(), return_inverse=True)
+        x = np.zeros((most + 2, len(ids), min(GROUP, problems - g * GROUP)))
+        x[pdf["l"].to_numpy(), row, pdf["p"].to_numpy() - g * GROUP] = pdf["v"].to_numpy()
+        x[:-1] -= x[-1]
+        return pd.DataFrame({"b": [b], "g": [g], "data": [x.tobytes()]})
+
+    rows = every.withColumn("b", block).withColumn("g", F.floor(F.col("p") / GROUP).cast("int"))
+    return materialise(rows.groupBy("b", "g").applyInPandas(work, "b int, g int, data binary"), "errors")
+
+
 def _assembled(pdf: pd.DataFrame, problems: int, marks: int) -> np.ndarray:
     parts = []
     for g, data in sorted(zip(pdf["g"], pdf["data"])):

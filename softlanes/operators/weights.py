@@ -7,6 +7,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from softlanes.operators import engine
 from softlanes.operators.engine import _block_of, csr, csr_apply, solve_converged
 from softlanes.operators.systems import AffineSystem, multiply
 from softlanes.sources.session import materialise
@@ -25,12 +26,15 @@ def tau_geometric(rho: float, most: int, scale: float = 1.0) -> np.ndarray:
     return scale * rho ** (2.0 * np.arange(most + 1))
 
 
-def tau_monte_carlo(system: AffineSystem, probes: DataFrame, most: int, layout: str = "lane") -> DataFrame:
+def tau_monte_carlo(system: AffineSystem, probes: DataFrame, most: int, layout: str = "auto") -> DataFrame:
     """``tau(l, value)``: mean over probes of the squared norm of their residual after l steps, all l in one sweep.
 
     "lane": each task iterates some probes over the whole operator (checked size). "long": a product per step.
+    "auto": "lane" where the operator fits each task, else "long".
     """
     spark = system.op.sparkSession
+    if layout == "auto":
+        layout = "lane" if engine.choose_layout(system.op) == "lane" else "long"
     if layout == "long":
         state, parts = materialise(probes, "probe"), []
         m = max(1, probes.select("p").distinct().count())
@@ -58,8 +62,22 @@ def tau_monte_carlo(system: AffineSystem, probes: DataFrame, most: int, layout:
 
 
 def psi_monte_carlo(system: AffineSystem, probes: DataFrame, most: int) -> DataFrame:
-    """``psi(a, b, value)``: mean inner product of a common probe's residuals after a and b steps."""
+    """``psi(a, b, value)``: mean inner product of a common probe's residuals after a and b steps.
+
+    An operator too large for each task is applied step by step, and the residuals of all steps meet by node and probe.
+    """
     spark = system.op.sparkSession
+    if engine.choose_layout(system.op) != "lane":
+        state = materialise(probes.select("i", "p", "v"), "probe")
+        m, every = max(1, state.select("p").distinct().count()), state.select("i", "p", "v", F.lit(0).alias("l"))
+        for l in range(1, most + 1):
+            state = materialise(multiply(system.op, state).select("i", "p", "v"), "probe")
+            every = every.unionByName(state.select("i", "p", "v", F.lit(l).alias("l")))
+        own = every.groupBy("i", "p").agg(F.collect_list(F.struct("l", "v")).alias("x"))  # most + 1 entries
+        pairs = own.select(F.explode("x").alias("s"), "x").select("s", F.explode("x").alias("t")).groupBy(
+            F.col("s.l").alias("a"), F.col("t.l").alias("b")).agg((F.sum(F.col("s.v") * F.col("t.v")) / m).alias("value"))
+        grid = spark.createDataFrame([(a, b) for a in range(most + 1) for b in range(most + 1)], "a int, b int")
+        return grid.join(pairs, ["a", "b"], "left").select("a", "b", F.coalesce("value", F.lit(0.0)).alias("value"))
     shared = spark.sparkContext.broadcast(csr(system.op, system.nodes))
 
     def sweep(pdf: pd.DataFrame) -> pd.DataFrame:

@@ -67,7 +67,7 @@ def restart_taste(spark, sf_dir):
     taste = materialise(graphs.in_taste(spark, sf_dir, 40), "taste")
     ps = sorted(r.p for r in taste.select("p").distinct().collect())  # at most 40
     system = walk(spark, sf_dir)
-    return _r9(engine.run_lanes(system, system.forcing(taste), systems.initial_state(system, ps), [5] * 40, "lane").join(
+    return _r9(engine.run_lanes(system, system.forcing(taste), systems.initial_state(system, ps), [5] * 40, "auto").join(
         F.broadcast(spark.createDataFrame([(p,) for p in ps], "p int")), "p").select("i", "p", "v"))
 
 

@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from softlanes.functions.hashing import hash_uniform, hash_uniform_sql
+from softlanes.sources.session import materialise
 from softlanes.sources.tables import load
 
 SEGMENTS = ["AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"]
@@ -101,13 +102,27 @@ MOST_VECTORS = 200_000
 def nearest_vectors(spark: SparkSession, sf_dir: str, k: int = 8) -> DataFrame:
     """Symmetric graph of the ``k`` largest cosines of each vector (vectors have unit norm).
 
-    Blocks of vectors meet the whole matrix in one product each, and only ``k`` rows of each vector leave a
-    task. The matrix goes to every task, so its size is checked; beyond the bound it must be sharded first.
+    Blocks of vectors meet a matrix of at most ``MOST_VECTORS`` others in one product each, and only ``k`` rows of
+    each vector leave a task. More vectors are met matrix by matrix, and the best ``k`` of all are kept.
     """
     e = load(spark, sf_dir, "embeddings", "vec_id", "embedding")
-    if e.count() > MOST_VECTORS:
-        raise ValueError(f"exact neighbours need at most {MOST_VECTORS} vectors in one matrix; shard them first")
-    whole = e.toPandas()
+    parts = max(1, -(-e.count() // MOST_VECTORS))
+    found = None
+    for part in range(parts):
+        whole = e.where(F.pmod(F.xxhash64("vec_id"), F.lit(parts)) == part).toPandas()
+        if parts > 1 and not len(whole):
+            continue
+        near = e.mapInPandas(_nearest_in(whole, k), "a long, b long, c double")
+        near = materialise(near, "nearest") if parts > 1 else near
+        found = near if found is None else found.unionByName(near)
+    if parts > 1:
+        best = Window.partitionBy("a").orderBy(F.desc("c"), "b")
+        found = found.withColumn("r", F.row_number().over(best)).where(F.col("r") <= k)
+    pairs = found.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).distinct().withColumn("weight", F.lit(1.0))
+    return both_ways(pairs)
+
+
+def _nearest_in(whole, k: int):
     ids = whole["vec_id"].to_numpy()
     matrix = np.stack(whole["embedding"].to_numpy()).astype(np.float64) if len(whole) else np.empty((0, 0))
 
@@ -117,12 +132,12 @@ def nearest_vectors(spark: SparkSession, sf_dir: str, k: int = 8) -> DataFrame:
                 own = pdf.iloc[a : a + 512]
                 cos = np.round(np.stack(own["embedding"].to_numpy()).astype(np.float64) @ matrix.T, 9)
                 cos[own["vec_id"].to_numpy()[:, None] == ids[None, :]] = -np.inf
-                order = np.lexsort((np.broadcast_to(ids, cos.shape), -cos), axis=1)[:, : min(k, len(ids) - 1)]
-                yield pd.DataFrame({"a": own["vec_id"].to_numpy().repeat(order.shape[1]), "b": ids[order].ravel()})
+                order = np.lexsort((np.broadcast_to(ids, cos.shape), -cos), axis=1)[:, :k]
+                best = np.take_along_axis(cos, order, 1).ravel()
+                rows = pd.DataFrame({"a": own["vec_id"].to_numpy().repeat(order.shape[1]), "b": ids[order].ravel(), "c": best})
+                yield rows[best > -np.inf]
 
-    ranked = e.mapInPandas(nearest, "a long, b long")
-    pairs = ranked.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).distinct().withColumn("weight", F.lit(1.0))
-    return both_ways(pairs)
+    return nearest
 
 
 def random_graph(spark: SparkSession, n: int = 500, p: float = 0.1, seed: int = 7) -> DataFrame:

@@ -100,6 +100,32 @@ def test_jacobi_and_ridge_fixed_points(spark):
         assert np.allclose(got, systems.solve_ridge_exact(dense, target, lam), atol=1e-8), variant
 
 
+def test_large_operators_run_without_being_collected(spark, ring, inputs, monkeypatch):
+    system = systems.restart_walk_system(ring)
+    probes = materialise(system.nodes.crossJoin(spark.range(2)).select("i", F.col("id").cast("int").alias("p"), (F.col("i") - 3.0 * F.col("id")).alias("v")), "probes")
+
+    def results():
+        blocks = scoring.error_blocks(system, inputs, 2, 4, converge=200)
+        return [*scoring.moments(blocks, 2, 4, [0, 1]), weights.table_of(weights.tau_monte_carlo(system, probes, 3)), weights.square_of(weights.psi_monte_carlo(system, probes, 3))]
+
+    want = results()
+
+    def refuse(*a):
+        raise ValueError("collected")
+
+    monkeypatch.setattr(engine, "choose_layout", lambda op: "wide")
+    for module in (engine, scoring, weights):
+        monkeypatch.setattr(module, "csr", refuse)
+    for got, right in zip(results(), want):
+        assert np.allclose(got, right, atol=1e-12)
+
+
+def test_nearest_vectors_in_several_matrices(spark, small, monkeypatch):
+    want = sorted(map(tuple, graphs.nearest_vectors(spark, small).collect()))
+    monkeypatch.setattr(graphs, "MOST_VECTORS", 150)
+    assert sorted(map(tuple, graphs.nearest_vectors(spark, small).collect())) == want
+
+
 def test_bandlimited_queries_cover_every_month(spark, small):
     month = graphs.in_month(spark, small).where("i % 4 <> 0").toPandas()
     nation = catalogue.queries()["bandlimited_nation"](spark, small).toPandas()
