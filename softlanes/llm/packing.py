@@ -6,7 +6,7 @@ dominate every other set with their largest piece (a piece that nothing fits bes
 perfect complement, the best pair where only one more piece fits, the best triple where only two fit and
 no other pair is larger in both parts), each as often as the counts allow. Best-fit decreasing packs what
 remains, also on counts. Pieces of one length are interchangeable, so rows get their places by their rank
-within the length, which is found with salted windows: no length is gathered into one task.
+within the length, which is found with windows salted by the count of the length: no length is gathered into one task.
 
 Edge cases: null counts as an empty text, which is one separator token; longer texts are cut into
 ``capacity`` pieces, the last may be shorter; repeated rows are packed as often as they occur; an empty
@@ -15,7 +15,7 @@ table gives no rows; extra columns are ignored.
 
 from __future__ import annotations
 
-import unicodedata
+import json
 import zlib
 from array import array
 from bisect import bisect_left, insort
@@ -31,65 +31,125 @@ from pyspark.sql import functions as F
 from softlanes.llm.bpe import printable_bytes, slices
 from softlanes.llm.shared import load, materialise
 
-CACHED_CHUNKS, CACHED_PIECES = 350_000, 200_000
-SALTS = 64
-# Code points of Unicode white space past the controls 9 to 13.
-_WHITE = [0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
-_SPACE = regex.compile("[\\t-\\r" + "".join(map(chr, _WHITE)) + "]+")
-_ODD = regex.compile(r"[\x1c-\x1f]")
-_LOADED: dict[str, ChunkIds] = {}
-# How this vocabulary's file splits normalised text.
-_PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+PER_SALT = 65_536  # pieces of one length that are ranked in one task
+CACHED_RUNS = 300_000  # of each of two generations
+LONGEST_CACHED = 48
+_LOADED: dict[str, RunIds] = {}
+# How this vocabulary's file normalises and splits text.
+_PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+_NORMALISED = ["NFC", "Replace", "Lowercase"]
+_FIND = regex.compile(_PIECES)
+_CUT = regex.compile("[^\\x00-\u024f]|\u0130")
 _PRINTABLE = {b: c for c, b in printable_bytes().items() if chr(b) != c}
+# classes of characters; what lies past _LATIN, and a letter whose lower case is two characters, is never cut from its neighbours
+_LETTER, _DIGIT, _MARK, _WHITE, _OTHER = range(5)
+_LATIN, _TWO_LOWER = 0x250, 0x130
+_KINDS = [(r"\p{L}", _LETTER), (r"\p{N}", _DIGIT), (r"\s", _WHITE), ("", _MARK)]
+_CLASSES = np.array([next(k for pattern, k in _KINDS if regex.match(pattern, chr(c))) if c != _TWO_LOWER else _OTHER for c in range(_LATIN)], np.uint8)
+_BYTES = np.concatenate([_CLASSES[:128], np.full(128, _OTHER, np.uint8)])
+_LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
 
-class ChunkIds(dict):
-    """Ids (little-endian unsigned 32-bit integers) by chunk between white space, filled as chunks are met.
+def runs(raw: np.ndarray) -> np.ndarray:
+    """Starts of the runs that UTF-8 bytes are cut into: of letters, of marks, of white space, and single digits.
 
-    The vocabulary drops white space before merging, and no pattern or normaliser of it looks across white
-    space, so a text's ids are its chunks' ids in order. Latin chunks are normalised and split here and merged
-    by the library's model, piece by piece; any other chunk goes through the library's whole tokenizer.
+    No piece of the vocabulary's pattern reaches over a cut. A lone apostrophe stays with the letters after it
+    (the pattern has contractions), and whatever is not Latin, or may hold a special token, is cut at white
+    space only.
+    """
+    kind = _BYTES[raw]
+    lead = np.flatnonzero((raw >= 0xC2) & (raw <= 0xC9))
+    code = (raw[lead].astype(np.int64) & 31) << 6 | raw[lead + 1] & 63
+    lead, code = lead[code < _LATIN], code[code < _LATIN]
+    kind[lead] = kind[lead + 1] = _CLASSES[code]
+    cut = np.r_[True, kind[1:] != kind[:-1]] | ((kind == _DIGIT) & (raw & 0xC0 != 0x80))
+    lone = np.flatnonzero((raw[:-1] == 39) & cut[:-1] & cut[1:] & (kind[1:] == _LETTER))
+    cut[lone + 1] = False
+    whole = np.r_[np.flatnonzero(kind == _OTHER), np.flatnonzero((raw[:-1] == 60) & (raw[1:] == 124))]
+    if len(whole):
+        white = kind == _WHITE
+        edge = np.r_[True, white[1:] != white[:-1]]
+        chunk = np.cumsum(edge) - 1
+        kept = np.zeros(chunk[-1] + 1, bool)
+        kept[chunk[whole]] = True
+        cut &= edge | ~kept[chunk]
+    return np.flatnonzero(cut)
+
+
+class RunIds:
+    """Ids (little-endian unsigned 32-bit integers) of whole texts, with each distinct run of a batch looked up once.
+
+    The runs of a batch are dictionary-encoded; ids of distinct runs come from two generations of a cache, of
+    which only the older is ever forgotten, or are split and merged by the library's model; other than Latin
+    runs go through the library's whole tokenizer. All runs' ids are then gathered from flat arrays.
     """
 
     def __init__(self, path: str):
-        super().__init__()
         from tokenizers import Tokenizer
 
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        steps = [s.get("type") for s in (spec["normalizer"] or {}).get("normalizers", [])]
+        splits = [s.get("pattern", {}).get("Regex") for s in (spec["pre_tokenizer"] or {}).get("pretokenizers", [])]
+        if steps != _NORMALISED or splits != [_PIECES, None] or any("<|" not in t["content"] for t in spec["added_tokens"]):
+            raise ValueError("this packing cuts text as word_bpe_49k.json does; the file splits or normalises otherwise")
         self.whole = Tokenizer.from_file(path)
         self.whole.no_truncation()
         self.whole.no_padding()
         self.model = self.whole.model
-        self.pieces: dict[str, bytes] = {}
-
-    def __missing__(self, chunk: str) -> bytes:
-        latin = chunk.isascii() or max(chunk) < "\u0250"
-        if not latin or "<|" in chunk:
-            ids = array("I", self.whole.encode(chunk, add_special_tokens=False).ids).tobytes()
-        else:
-            known = self.pieces
-            plain = chunk.lower() if chunk.isascii() else unicodedata.normalize("NFC", chunk).lower()
-            ids = b"".join([known[p] if p in known else self._piece(p) for p in _PIECES.findall(plain)])
-        if len(self) >= CACHED_CHUNKS:  # memory stays bounded; what is forgotten is merged again
-            self.clear()
-        self[chunk] = ids
+        self.young: dict[bytes, bytes] = {}
+        self.old: dict[bytes, bytes] = {}
+
+    def of_run(self, run: bytes) -> bytes:
+        ids = self.old.get(run)
+        if ids is None:
+            text = run.decode("utf-8", "surrogatepass")
+            if run.isalpha():  # Latin letters without marks: one piece, which the vocabulary spells as it is
+                pieces = [text.lower()]
+            elif "<|" not in text and _CUT.search(text) is None:
+                pieces = [p.encode().decode("latin-1").translate(_PRINTABLE) for p in _FIND.findall(text.lower())]
+            else:
+                pieces = None
+            if pieces is None:
+                ids = array("I", self.whole.encode(text, add_special_tokens=False).ids).tobytes()
+            else:
+                ids = array("I", [t.id for p in pieces for t in self.model.tokenize(p)]).tobytes()
+        if len(run) <= LONGEST_CACHED:
+            if len(self.young) >= CACHED_RUNS:
+                self.old, self.young = self.young, {}
+            self.young[run] = ids
         return ids
 
-    def _piece(self, piece: str) -> bytes:
-        text = piece.encode().decode("latin-1").translate(_PRINTABLE)
-        ids = array("I", [t.id for t in self.model.tokenize(text)]).tobytes()
-        if len(self.pieces) >= CACHED_PIECES:
-            self.pieces.clear()
-        self.pieces[piece] = ids
-        return ids
+    def encode(self, texts: list[str]) -> list[bytes]:
+        parts = [t.encode("utf-8", "surrogatepass") for t in texts]
+        joined = b"\n".join([*parts, b""])  # texts are cut from each other by white space
+        if not joined:
+            return []
+        raw = np.frombuffer(joined if b"<|" in joined else joined.translate(_LOWER), np.uint8)
+        start = runs(raw)
+        ends = np.append(start, len(raw)).astype(np.int32)
+        coded = pa.Array.from_buffers(pa.binary(), len(start), [None, pa.py_buffer(ends), pa.py_buffer(raw)]).dictionary_encode()
+        young, of_run = self.young, self.of_run
+        known = [young[r] if r in young else of_run(r) for r in coded.dictionary.to_pylist()]
+        place = coded.indices.to_numpy()
+        size = np.fromiter(map(len, known), np.int32, len(known)) // 4
+        first, flat = np.cumsum(size, dtype=np.int32) - size, np.frombuffer(b"".join(known), "<u4")
+        own = size[place]
+        until = np.cumsum(own, dtype=np.int32)
+        ids = flat[np.repeat(first[place] - until + own, own) + np.arange(until[-1], dtype=np.int32)]
+        at = np.cumsum([0, *(len(p) + 1 for p in parts)])
+        bounds = np.r_[0, until][np.searchsorted(start, at)].tolist()
+        return [ids[a:b].tobytes() for a, b in zip(bounds, bounds[1:])]
 
 
 def encode_texts(path: str, texts: list[str]) -> list[bytes]:
-    """Ids of whole texts as little-endian unsigned 32-bit integers, as the tokenizers library gives them."""
+    """Ids of whole texts as little-endian unsigned 32-bit integers, as the tokenizers library gives them.
+
+    ``path`` must be a file that splits as ``word_bpe_49k.json`` does; any other raises ValueError.
+    """
     if path not in _LOADED:
-        _LOADED[path] = ChunkIds(path)
-    ids = _LOADED[path]
-    # str.split() also splits at four control characters that are no white space to the tokenizer
-    return [b"".join([ids[c] for c in (_SPACE.split(t) if _ODD.search(t) else t.split())]) for t in texts]
+        _LOADED[path] = RunIds(path)
+    return _LOADED[path].encode(texts)
 
 
 def token_pieces(df: DataFrame, path: str, capacity: int = 2048, end_id: int = 0, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
@@ -251,8 +311,11 @@ def pack(pieces: DataFrame, capacity: int = 2048) -> DataFrame:
         packing_plan(counts, capacity) or [(0, 0, 0, 1, 0, 0)],
         "p_length long, first long, end long, repeats long, base long, p_offset long",
     )
-    salted = pieces.withColumn("_salt", F.col("_metadata.row_index") % SALTS)
-    held = salted.groupBy("length", "_salt").count()  # <= capacity * SALTS rows
+    salts = spark.createDataFrame([(n, -(-c // PER_SALT)) for n, c in counts.items()] or [(0, 1)], "length long, _salts long")
+    salted = pieces.withColumn("_at", F.xxhash64("_metadata.row_index", "doc_id")).join(F.broadcast(salts), "length").withColumn(
+        "_salt", F.pmod("_at", "_salts")
+    ).drop("_at", "_salts")
+    held = salted.groupBy("length", "_salt").count()  # <= capacity + pieces / PER_SALT rows
     start = held.withColumn("_start", F.sum("count").over(Window.partitionBy("length").orderBy("_salt")) - F.col("count"))
     inside = Window.partitionBy("length", "_salt").orderBy("doc_id", "piece")
     ranked = salted.withColumn("_in", F.row_number().over(inside) - 1).join(start.drop("count"), ["length", "_salt"])

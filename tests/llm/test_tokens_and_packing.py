@@ -40,6 +40,23 @@ def test_chunks_equal_the_library():
         assert np.frombuffer(ids, "<u4").tolist() == want.ids, repr(text)
 
 
+def test_runs_are_cut_where_the_library_cuts(monkeypatch):
+    rng, ref = random.Random(5), Tokenizer.from_file(WORD)
+    alphabet = "ab'sStTrRe vVmMlLdD 09.,\n²½é'İΣ日 <|>\u0301\x1c\x85 "
+    texts = ["".join(rng.choice(alphabet) for _ in range(rng.randint(0, 80))) for _ in range(3000)]
+    want = [np.array(e.ids, "<u4").tobytes() for e in ref.encode_batch(texts, add_special_tokens=False)]
+    assert packing.encode_texts(WORD, texts) == want
+    monkeypatch.setattr(packing, "CACHED_RUNS", 7)
+    small = packing.RunIds(WORD)
+    assert [x for i in range(0, 3000, 500) for x in small.encode(texts[i : i + 500])] == want
+    assert small.encode([]) == []
+
+
+def test_a_file_that_splits_otherwise_is_refused():
+    with pytest.raises(ValueError, match="splits or normalises"):
+        packing.encode_texts(BYTE, ["a"])
+
+
 def test_cache_size_changes_nothing(monkeypatch):
     texts = odd_texts()
     a = bpe.MergeTable(BYTE).encode_batch(texts)
@@ -107,7 +124,7 @@ def test_plans_fill_without_gaps_and_reduction_keeps_the_optimum(seed):
     assert sum(n for n, _ in fixed) + least_bins(left, cap) == least_bins(sizes, cap)
 
 
-def test_documents_are_packed_whole(spark):
+def test_documents_are_packed_whole(spark, monkeypatch):
     rng = random.Random(1)
     rows = [(i, " ".join(rng.choice(["one", "two", "three"]) for _ in range(rng.choice([0, 3, 90, 700, 2047, 2048, 5000])))) for i in range(120)] + [(200, None), (3, ""), (3, "")]
     out = packing.pack_documents(materialise(spark.createDataFrame(rows, DOCS).withColumn("length", F.lit("clash")), "d"), WORD).toPandas()
@@ -129,4 +146,8 @@ def test_documents_are_packed_whole(spark):
             rooms.remove(min(fits))
         rooms.append((min(fits) if fits else 2048) - size)
     assert out.sequence_id.nunique() <= len(rooms)
+    monkeypatch.setattr(packing, "PER_SALT", 3)
+    many = packing.pack_documents(spark.createDataFrame(rows, DOCS), WORD).toPandas()
+    assert sorted(many.length) == sorted(out.length) and many.sequence_id.nunique() == out.sequence_id.nunique()
+    assert not many.duplicated(["sequence_id", "offset"]).any() and (many.groupby("sequence_id").length.sum() <= 2048).all()
     assert packing.pack_documents(spark.createDataFrame([], DOCS), WORD).count() == 0
