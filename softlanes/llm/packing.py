@@ -20,6 +20,7 @@ import zlib
 from array import array
 from bisect import bisect_left, insort
 from contextlib import contextmanager
+from math import isqrt
 
 import numpy as np
 import public_tokenizers
@@ -31,7 +32,6 @@ from pyspark.sql import functions as F
 from softlanes.llm.bpe import printable_bytes, slices
 from softlanes.llm.shared import load, materialise
 
-PER_SALT = 65_536  # pieces of one length that are ranked in one task
 CACHED_RUNS = 300_000  # of each of two generations
 LONGEST_CACHED = 48
 _LOADED: dict[str, RunIds] = {}
@@ -311,11 +311,11 @@ def pack(pieces: DataFrame, capacity: int = 2048) -> DataFrame:
         packing_plan(counts, capacity) or [(0, 0, 0, 1, 0, 0)],
         "p_length long, first long, end long, repeats long, base long, p_offset long",
     )
-    salts = spark.createDataFrame([(n, -(-c // PER_SALT)) for n, c in counts.items()] or [(0, 1)], "length long, _salts long")
+    salts = spark.createDataFrame([(n, 1 + isqrt(c)) for n, c in counts.items()] or [(0, 1)], "length long, _salts long")
     salted = pieces.withColumn("_at", F.xxhash64("_metadata.row_index", "doc_id")).join(F.broadcast(salts), "length").withColumn(
         "_salt", F.pmod("_at", "_salts")
     ).drop("_at", "_salts")
-    held = salted.groupBy("length", "_salt").count()  # <= capacity + pieces / PER_SALT rows
+    held = salted.groupBy("length", "_salt").count()  # about the root of the pieces of a length
     start = held.withColumn("_start", F.sum("count").over(Window.partitionBy("length").orderBy("_salt")) - F.col("count"))
     inside = Window.partitionBy("length", "_salt").orderBy("doc_id", "piece")
     ranked = salted.withColumn("_in", F.row_number().over(inside) - 1).join(start.drop("count"), ["length", "_salt"])

@@ -146,7 +146,7 @@ def test_documents_are_packed_whole(spark, monkeypatch):
             rooms.remove(min(fits))
         rooms.append((min(fits) if fits else 2048) - size)
     assert out.sequence_id.nunique() <= len(rooms)
-    monkeypatch.setattr(packing, "PER_SALT", 3)
+    monkeypatch.setattr(packing, "isqrt", lambda n: n // 3)
     many = packing.pack_documents(spark.createDataFrame(rows, DOCS), WORD).toPandas()
     assert sorted(many.length) == sorted(out.length) and many.sequence_id.nunique() == out.sequence_id.nunique()
     assert not many.duplicated(["sequence_id", "offset"]).any() and (many.groupby("sequence_id").length.sum() <= 2048).all()
