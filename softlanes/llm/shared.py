@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from softlanes.sources.session import materialise, shared_folder, ship_package
 
-__all__ = ["connected_components", "held_out_fold", "load", "materialise", "shared_folder", "text_crc32"]
+__all__ = ["connected_components", "held_out_fold", "load", "located", "materialise", "shared_folder", "smallest_row", "text_crc32"]
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -15,6 +15,34 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def _plain_scan(df: DataFrame) -> bool:
+    """Whether every row of ``df`` is one row of a Parquet file: nothing but selections over one scan."""
+    plan = df._jdf.queryExecution().analyzed()
+    while plan.nodeName() in ("Project", "Filter", "SubqueryAlias"):
+        plan = plan.children().head()
+    if plan.nodeName() != "LogicalRelation" or plan.relation().getClass().getSimpleName() != "HadoopFsRelation":
+        return False
+    return plan.relation().fileFormat().getClass().getSimpleName() == "ParquetFileFormat"
+
+
+def located(df: DataFrame, label: str) -> tuple[DataFrame, str]:
+    """``df`` with a column ``struct(file, row)`` that says where each row's content lies, and that column's name,
+    which ``df`` has not. Rows that are no rows of files yet are written first: a locator must not change when
+    the plan runs again."""
+    taken, name = {c.lower() for c in df.columns}, "_at"
+    while name in taken:
+        name += "_"
+    if not _plain_scan(df):
+        df = materialise(df, label)
+    place = df.metadataColumn("_metadata")
+    return df.withColumn(name, F.struct(place["file_path"].alias("file"), place["row_index"].alias("row"))), name
+
+
+def smallest_row(doc_id: str, at: str) -> F.Column:
+    """Orders rows by id, nulls last, then by where they lie: the smallest of a group stays."""
+    return F.struct(F.col(doc_id).isNull().alias("no_id"), F.col(doc_id).alias("doc_id"), F.col(at).alias("at"))
+
+
 def held_out_fold(doc_id) -> F.Column:
     """True for the fold never learnt from: crc32 of the id as text, remainder 0 by 5 (null id: held out)."""
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0, F.lit(True))

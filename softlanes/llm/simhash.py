@@ -13,8 +13,8 @@ links where it is large, never all pairs.
 
 Edge cases: null and empty texts have fingerprint zero, which links like any other; a text of fewer
 words than a shingle is one shingle; repeated rows share their component; rows without an id get the
-smallest id of their component, null if it has none; an empty table gives no rows; extra columns are kept
-by ``drop_near_duplicates``.
+smallest id of their component, null if it has none; an empty table gives no rows; extra columns of any name
+are kept by ``drop_near_duplicates``.
 """
 
 from __future__ import annotations
@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from softlanes.llm.shared import connected_components, load, materialise
+from softlanes.llm.shared import connected_components, load, located, materialise, smallest_row
 
 WIDE = 2048
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -51,14 +51,19 @@ def fingerprint(text: str | None, shingle: int = 3, seed: int = 42) -> int:
 
 
 def fingerprints(df: DataFrame, text: str = "text", doc_id: str = "doc_id", shingle: int = 3) -> DataFrame:
-    """``(doc_id long, fp long)``: the fingerprint as a signed long, one row per row of ``df``."""
+    """``(doc_id long, at, fp long)``: each row's locator and its fingerprint as a signed long, one row per row of
+    ``df``, which comes from ``located`` where the locator's column is called ``_at``; elsewhere it is null."""
+    at = F.col("_at") if "_at" in df.columns else F.lit(None)
+    place = "struct<file: string, row: bigint>"
 
     def run(batches):
         for batch in batches:
-            fps = np.array([fingerprint(t.as_py(), shingle) for t in batch.column(1)], dtype=np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64())], names=["doc_id", "fp"])
+            fps = np.array([fingerprint(t.as_py(), shingle) for t in batch.column(2)], dtype=np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fps, pa.int64())], names=["doc_id", "at", "fp"])
 
-    return df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return df.select(F.col(doc_id).cast("long").alias("doc_id"), at.cast(place).alias("at"), F.col(text).alias("text")).mapInArrow(
+        run, f"doc_id long, at {place}, fp long"
+    )
 
 
 def covering_masks(positions: list[int], radius: int) -> list[int]:
@@ -175,29 +180,33 @@ def near_links(distinct: DataFrame, radius: int = 3) -> DataFrame:
 
 
 def components(prints: DataFrame, radius: int = 3) -> DataFrame:
-    """``(fp, component_id)`` for every distinct fingerprint of ``prints(doc_id, fp)``."""
-    distinct = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "simhash-fp")
+    """``(fp, component_id, stays)`` for every distinct fingerprint of ``prints(doc_id, at, fp)``: the smallest id
+    of its component and the locator of the row that stays, of the smallest id and then the smallest locator."""
+    distinct = materialise(prints.groupBy("fp").agg(F.min(smallest_row("doc_id", "at")).alias("first")), "simhash-fp")
     links = connected_components(near_links(distinct.select("fp"), radius))
     rooted = distinct.join(links.withColumnRenamed("node", "fp"), "fp", "left").select(
-        "fp", "first_id", F.coalesce("component", "fp").alias("root")
+        "fp", "first", F.coalesce("component", "fp").alias("root")
     )
-    least = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    return rooted.join(least, "root").select("fp", "component_id")
+    least = rooted.groupBy("root").agg(F.min("first").alias("least"))
+    return rooted.join(least, "root").select("fp", F.col("least.doc_id").alias("component_id"), F.col("least.at").alias("stays"))
 
 
 def near_dup_components(df: DataFrame, text: str = "text", doc_id: str = "doc_id", shingle: int = 3, radius: int = 3) -> DataFrame:
     """``(doc_id, fingerprint, component_id)``, one row per row of ``df``."""
-    prints = materialise(fingerprints(df, text, doc_id, shingle), "simhash")
+    prints = materialise(fingerprints(df.select(doc_id, text), text, doc_id, shingle), "simhash")
     return prints.join(components(prints, radius), "fp").select(
         "doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
     )
 
 
-def drop_near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """``df`` with the document of the smallest id of each component; columns stay as they are."""
-    found = near_dup_components(df, text, doc_id)
-    gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return df.join(gone, df[doc_id] == gone["_gone"], "left_anti")
+def drop_near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id", shingle: int = 3, radius: int = 3) -> DataFrame:
+    """``df`` with one row of each component, that of the smallest id; of repeated or missing ids the first row by its
+    place. Columns stay as they are."""
+    rows, at = located(df, "simhash-in")
+    narrow = rows.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"), F.col(at).alias("_at"))
+    prints = materialise(fingerprints(narrow, shingle=shingle), "simhash")
+    gone = prints.join(components(prints, radius), "fp").where("at <> stays").select(F.col("at").alias(at))
+    return rows.join(gone, at, "left_anti").select(*[F.col(f"`{c}`") for c in df.columns])
 
 
 def op5_covering_simhash(spark, sf_dir: str) -> DataFrame:

@@ -64,7 +64,7 @@ def test_components_equal_brute_force(spark, monkeypatch, wide):
     if wide:
         monkeypatch.setattr(simhash, "WIDE", 20)
     prints = random_prints(400, 1, wide)
-    rows = spark.createDataFrame([(i, simhash._signed(p)) for i, p in enumerate(prints)], "doc_id long, fp long")
+    rows = spark.createDataFrame([(i, simhash._signed(p)) for i, p in enumerate(prints)], "doc_id long, fp long").withColumn("at", F.lit(None).cast("struct<file: string, row: bigint>"))
     got = {r.fp: r.component_id for r in simhash.components(rows).collect()}
     links = [(i, j) for i in range(400) for j in range(i) if (prints[i] ^ prints[j]).bit_count() <= 3]
     want = labels_of(400, links)
@@ -89,6 +89,22 @@ def test_odd_documents(spark):
     assert simhash.near_dup_components(df.where("false")).count() == 0
 
 
+def test_drop_keeps_one_row_of_each_component(spark):
+    words = [f"w{i}" for i in range(400)]
+    near = lambda k: " ".join([*words[:200], f"other{k}", *words[201:]])
+    rows = [(5, " ".join(words)), (5, near(1)), (None, near(2)), (None, "alone"), (None, "alone"), (7, "alone too"), (7, "alone too"), (9, None), (8, "")]
+    fps = [simhash.fingerprint(t) for _, t in rows]
+    links = [(i, j) for i in range(len(rows)) for j in range(i) if (fps[i] ^ fps[j]).bit_count() <= 3]
+    label = labels_of(len(rows), links)
+    want = sorted(min((rows[i][0] is None, rows[i][0] or 0) for i in range(len(rows)) if label[i] == k) for k in set(label))
+    plain = spark.createDataFrame([(i, t, n) for n, (i, t) in enumerate(rows)], "doc_id long, text string, n long").withColumns({c: F.lit(c) for c in ("_at", "_metadata", "_gone", "fp")})
+    grouped = plain.groupBy("n", "_at", "_metadata", "_gone", "fp").agg(F.first("doc_id").alias("doc_id"), F.first("text").alias("text"))
+    for df in (plain, materialise(plain, "d"), grouped, materialise(plain, "d").join(plain.select("n"), "n")):
+        out = simhash.drop_near_duplicates(df)
+        assert out.columns == df.columns
+        assert sorted((r.doc_id is None, r.doc_id or 0) for r in out.collect()) == want
+
+
 def embeddings(spark, x, ids=None):
     return spark.createDataFrame([(int(i if ids is None else ids[i]), None if v is None else [None if a is None else float(a) for a in v]) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
 

@@ -90,19 +90,55 @@ def test_exact_dedup(spark, rows, weak):
     assert all(r.doc_id == r.keep_id for r in out if r.kept)
 
 
-def test_drop_keeps_columns(spark):
-    df = docs(spark, ODD).withColumn("digest", F.lit(1)).withColumn("_extra", F.lit(2))
-    out = exact_dedup.drop_duplicates(materialise(df, "d"))
-    assert out.columns == df.columns and out.count() == brute(ODD)[1]
+def kept_brute(rows, groups_of):
+    """Row numbers that stay: of each group the smallest id, no id last; any one row where ids repeat."""
+    best = {}
+    for i, (doc_id, text) in enumerate(rows):
+        best.setdefault(groups_of(text), []).append((doc_id is None, doc_id or 0))
+    return Counter((k, min(v)) for k, v in best.items())
+
+
+def shapes(spark, rows):
+    """The same rows straight from files, in memory, aggregated, joined and exploded, with columns of all clashing names."""
+    extra = {c: F.lit(c) for c in ("_file", "_row", "_metadata", "_gone", "_at", "_AT_", "digest", "norm", "fp", "at", "keep")}
+    plain = spark.createDataFrame([(i, t, n) for n, (i, t) in enumerate(rows)], "doc_id long, text string, n long")
+    yield materialise(plain, "d").withColumns(extra)
+    yield materialise(plain.withColumns(extra), "d")
+    yield plain.withColumns(extra)
+    yield plain.groupBy("n").agg(F.first("doc_id").alias("doc_id"), F.first("text").alias("text")).withColumns(extra)
+    yield materialise(plain, "d").join(plain.select("n", F.lit(1).alias("m")), "n").withColumns(extra)
+    one = materialise(plain.groupBy().agg(F.collect_list(F.struct("doc_id", "text", "n")).alias("all")), "d")
+    yield one.select(F.explode("all").alias("x")).select("x.*").withColumns(extra)
+
+
+@pytest.mark.parametrize("shape", range(6))
+def test_drop_keeps_one_row_of_each_text_and_all_columns(spark, shape):
+    df = list(shapes(spark, ODD))[shape]
+    norm = lambda t: re.sub(r"[\x20\x09-\x0D]+", " ", t or "")
+    out = exact_dedup.drop_duplicates(df)
+    assert out.columns == df.columns
+    assert Counter((norm(r.text), (r.doc_id is None, r.doc_id or 0)) for r in out.collect()) == kept_brute(ODD, norm)
 
 
 def test_state_goes_on_over_runs(spark, tmp_path):
-    fields = "doc_id long, digest string, text_sha256 string, _file string, _row long"
-    folder = str(tmp_path / "keyed")
-    for n, ids in enumerate([[5, 6], [2, 9]]):
-        spark.createDataFrame([(i, "d", "s", "f", i) for i in ids], fields).write.mode("append").parquet(folder)
-        got = exact_dedup.stateful_groups(folder, fields, spark, str(tmp_path / "state")).collect()
-        assert [(r["keep"].doc_id, r.group_size) for r in got] == [[(5, 2)], [(2, 4)]][n]
+    folder = str(tmp_path / "state")
+    first = exact_dedup.drop_duplicates(docs(spark, [(5, "a  b"), (6, "a b"), (7, "c")]), state_folder=folder).collect()
+    assert sorted(r.doc_id for r in first) == [5, 7]
+    got = {r.doc_id: r for r in exact_dedup.dedup_decisions(docs(spark, [(2, "c"), (9, "a b"), (10, "new")]), state_folder=folder).collect()}
+    assert [(got[i].keep_id, got[i].group_size, got[i].kept) for i in (2, 9, 10)] == [(2, 2, True), (5, 3, False), (10, 1, True)]
+
+
+def test_bytes_are_compared_across_runs(spark, tmp_path):
+    weak = {"digest": lambda norm: F.length(norm), "state_folder": str(tmp_path / "state")}
+    exact_dedup.dedup_decisions(docs(spark, [(1, "ab"), (2, "cd")]), **weak).collect()
+    got = {r.doc_id: r for r in exact_dedup.dedup_decisions(docs(spark, [(3, "cd"), (4, "ef"), (5, "ab")]), **weak).collect()}
+    assert [(got[i].keep_id, got[i].group_size, got[i].kept) for i in (3, 4, 5)] == [(2, 2, False), (4, 1, True), (1, 2, False)]
+
+
+def test_many_hits_are_joined_by_shuffle(spark, monkeypatch):
+    monkeypatch.setattr(exact_dedup, "BROADCAST_HITS", 0)
+    out = exact_dedup.dedup_decisions(docs(spark, ODD), digest=lambda norm: F.length(norm) % 2).collect()
+    assert Counter((r.doc_id, r.keep_id, r.group_size, r.text_sha256) for r in out) == brute(ODD)[0]
 
 
 def test_components(spark):
