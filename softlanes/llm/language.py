@@ -3,7 +3,7 @@
 The network reads a whole text byte by byte, in windows of ``WINDOW`` bytes, from both ends; it labels
 every position, and the document's probabilities are the mean over its positions. It is trained here, in
 numpy, by back-propagation through time, on a bounded sample of labelled documents (``per_language`` rows
-of each language, three windows of each; documented bounds). Prediction covers every byte of every text.
+of each of the ``most_languages`` commonest languages, three windows of each; documented bounds). Prediction covers every byte of every text.
 
 Edge cases: null texts and texts without a letter are ``und`` with score 0, and so is everything where
 nothing can be learnt; documents without an id are held out; repeated rows give repeated results; an
@@ -177,22 +177,27 @@ def predict(net: Recurrent, texts: list[str], at_once: int = 2048) -> np.ndarray
     return out / np.maximum(1, np.array([len(r) for r in raw]))[:, None]
 
 
-def training_windows(df: DataFrame, per_language: int = 600, width: int = 64) -> tuple[np.ndarray, np.ndarray, list[str]]:
-    """Three windows of each of at most ``per_language`` labelled documents of a language, chosen by hash."""
+def training_windows(df: DataFrame, per_language: int = 600, width: int = 64, most_languages: int = 256) -> tuple[np.ndarray, np.ndarray, list[str]]:
+    """Three windows of each of at most ``per_language`` labelled documents of a language, chosen by hash, of the
+    ``most_languages`` languages with the most documents."""
     coin = F.xxhash64("doc_id", F.lit(11))
-    rank = Window.partitionBy("lang").orderBy(coin, "doc_id", "a")
     n = F.length("text")
     cut = lambda part: F.substring(F.col("text"), (n * part).cast("int") + 1, F.lit(width))
-    known = df.select("doc_id", "lang", "text").where(~held_out_fold(F.col("doc_id")) & F.col("lang").isNotNull())
-    # of a language with n rows those whose coin is among the first few shares of 1/n can be chosen: what each
-    # task sends to the ranking stays as it is, however many tasks and rows there are
-    known = known.join(known.groupBy("lang").agg(F.count("*").alias("_n")), "lang").where(
-        (coin.cast("double") + 2.0**63) / 2.0**64 * F.col("_n") < 4 * per_language
-    ).where(F.col("text").rlike(HAS_LETTER))
-    rows = (
-        known.select("doc_id", "lang", cut(0.0).alias("a"), cut(0.35).alias("b"), cut(0.7).alias("c"))
-        .withColumn("k", F.row_number().over(rank)).where(F.col("k") <= per_language).orderBy("lang", "k").collect()
+    known = df.where(~held_out_fold(F.col("doc_id")) & F.col("lang").isNotNull())
+    counted = known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most_languages).collect()
+    counts = df.sparkSession.createDataFrame([(r.lang, r["count"]) for r in counted], "lang string, _n long")
+    # Of a language with n rows only those whose coin is among the first few shares of 1/n can be chosen. They are found
+    # where they lie, cut to their windows, and ranked in two levels, so no language's rows or texts meet in one task.
+    near = (
+        known.join(F.broadcast(counts), "lang").where((coin.cast("double") + 2.0**63) / 2.0**64 * F.col("_n") < 4 * per_language)
+        .where(F.col("text").rlike(HAS_LETTER))
+        .select("lang", coin.alias("coin"), "doc_id", cut(0.0).alias("a"), cut(0.35).alias("b"), cut(0.7).alias("c"))
+        .withColumn("part", F.pmod(F.xxhash64("coin", "a"), F.lit(16)))
     )
+    order = ["coin", "doc_id", "a", "b", "c"]
+    for keys in (["lang", "part"], ["lang"]):
+        near = near.withColumn("k", F.row_number().over(Window.partitionBy(*keys).orderBy(*order))).where(F.col("k") <= per_language)
+    rows = near.orderBy("lang", "k").collect()
     languages = sorted({r.lang for r in rows})
     texts, labels = [], []
     for r in rows:
