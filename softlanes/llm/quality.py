@@ -126,15 +126,21 @@ def _summed(rows: DataFrame, part, length: int) -> np.ndarray:
     return sum((np.frombuffer(r.part) for r in parts), np.zeros(length))
 
 
-def fit(stats: DataFrame, labels: DataFrame, max_rows: int = 100_000, cosines: int = 160, ridge: float = 1e-3, width: float = 1.0, seed: int = 7) -> QualityModel:
-    """Learn from ``stats(doc_id, x)`` and ``labels(doc_id, y)``, outside the held-out fold."""
+def training_labels(labels: DataFrame, max_rows: int) -> DataFrame:
+    """``(doc_id, y)`` outside the held-out fold: at most ``max_rows``, chosen by hash. This bound lets every join with it
+    broadcast it, so no document is shuffled for training."""
+    known = labels.where(F.col("doc_id").isNotNull() & F.col("y").isNotNull() & ~held_out_fold(F.col("doc_id")))
+    known = materialise(known.groupBy("doc_id").agg(F.avg(F.col("y").cast("double")).alias("y")), "quality-labels")
+    n, coin = known.count(), F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30))
+    if n <= max_rows:
+        return known
+    return materialise(known.where(coin < int((1 << 30) * 1.1 * max_rows / n)).orderBy(coin, "doc_id").limit(max_rows), "quality-labels")
+
+
+def fit(stats: DataFrame, known: DataFrame, cosines: int = 160, ridge: float = 1e-3, width: float = 1.0, seed: int = 7) -> QualityModel:
+    """Learn from ``stats(doc_id, x)`` and ``known(doc_id, y)``, which ``training_labels`` chose."""
     d = len(STATISTICS)
-    known = labels.where("doc_id IS NOT NULL AND y IS NOT NULL").groupBy("doc_id").agg(F.avg("y").alias("y"))
-    rows = stats.join(known.where(~held_out_fold(F.col("doc_id"))), "doc_id")
-    rows = materialise(rows.select("doc_id", "x", F.col("y").cast("double").alias("y")), "quality-train")
-    n = rows.count()
-    if n > max_rows:
-        rows = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int((1 << 30) * max_rows / n))
+    rows = materialise(stats.join(F.broadcast(known), "doc_id").select("doc_id", "x", "y"), "quality-train")
     moments = _summed(rows, lambda x, y: np.concatenate([[len(x), y.sum()], x.sum(0), (x * x).sum(0)]), 2 + 2 * d)
     count, good = moments[:2]
     mean = moments[2 : 2 + d] / max(1, count)
@@ -185,15 +191,16 @@ def scored(stats: DataFrame, model: QualityModel, threshold: float = 0.3) -> Dat
     return out.select("doc_id", held_out_fold(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
-def quality_scores(df: DataFrame, labels: DataFrame, **settings) -> DataFrame:
+def quality_scores(df: DataFrame, labels: DataFrame, max_rows: int = 100_000, **settings) -> DataFrame:
     stats = materialise(document_statistics(df), "quality-stats")
-    return scored(stats, fit(stats, labels, **settings))
+    return scored(stats, fit(stats, training_labels(labels, max_rows), **settings))
 
 
-def keep_good(df: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
-    """``df`` without the documents that the classifier rejects; scores are taken in the row, nothing is joined."""
-    stats = materialise(document_statistics(df), "quality-stats")
-    model = fit(stats, labels)
+def keep_good(df: DataFrame, labels: DataFrame, threshold: float = 0.3, max_rows: int = 100_000) -> DataFrame:
+    """``df`` without the documents that the classifier rejects; scores are taken in the row, nothing is joined.
+    Statistics are taken of the bounded training rows first, then once of every row."""
+    known = training_labels(labels, max_rows)
+    model = fit(document_statistics(df.join(F.broadcast(known.select("doc_id")), "doc_id", "left_semi")), known)
 
     @F.pandas_udf("double")
     def score(texts):
