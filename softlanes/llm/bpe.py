@@ -2,8 +2,10 @@
 
 Symbols of many words lie in one flat array. A round looks up every adjacent pair by binary search in
 the sorted pair keys, takes the lowest rank of each word, merges it wherever the word has it, and drops
-words that have none left. Words met before come from a cache of bounded size; the result does not depend
-on it. Whole texts are encoded, in slices of a few megabytes of documents.
+words that have none left. A word of over ``LONG`` bytes would hold up the rounds of all others, each of which
+reads it whole: its pairs wait in a heap by rank and place instead, and its symbols are a linked list. Words met
+before come from a cache of bounded size; the result does not depend on it. Whole texts are encoded, in slices of
+a few megabytes of documents.
 
 Edge cases: null counts as empty; empty texts have no ids; special tokens in a text become their ids, as
 the file's own settings have it; repeated rows give repeated results; extra columns are ignored.
@@ -13,6 +15,8 @@ from __future__ import annotations
 
 import hashlib
 import json
+from heapq import heapify, heappop, heappush
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -24,6 +28,7 @@ from pyspark.sql import functions as F
 from softlanes.llm.shared import load
 
 CACHED_WORDS = 300_000
+LONG = 400
 SLICE_CHARS = 2_000_000
 _NONE = np.iinfo(np.int64).max
 
@@ -61,6 +66,39 @@ class MergeTable:
         self.words = regex.compile(public_tokenizers.PATTERN)
         self.split = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
         self.cache: dict[str, bytes] = {}
+        self.by_key: dict[int, tuple[int, int]] = {}
+
+    def merge_long(self, word: bytes) -> bytes:
+        """Ids of one word of any length, in about n log n steps."""
+        if not self.by_key:
+            self.by_key = dict(zip(self.keys.tolist(), zip(self.ranks.tolist(), self.made.tolist())))
+        size, by_key, n = self.size, self.by_key, len(word)
+        symbols = self.of_byte[np.frombuffer(word, np.uint8)].tolist()
+        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+
+        def entry(i: int) -> int:
+            """Rank, then place, as one number; -1 where the symbol and the next make no pair."""
+            j = after[i]
+            known = by_key.get(symbols[i] * size + symbols[j]) if j < n else None
+            return -1 if known is None else known[0] * n + i
+
+        waiting = [e for e in map(entry, range(n)) if e >= 0]
+        heapify(waiting)
+        while waiting:
+            at = heappop(waiting)
+            i = at % n
+            if symbols[i] < 0 or entry(i) != at:
+                continue  # merged away, or another pair by now
+            j = after[i]
+            symbols[i] = by_key[symbols[i] * size + symbols[j]][1]
+            symbols[j] = -1
+            after[i] = after[j]
+            if after[i] < n:
+                before[after[i]] = i
+            for k in (before[i], i):
+                if k >= 0 and (e := entry(k)) >= 0:
+                    heappush(waiting, e)
+        return np.array([x for x in symbols if x >= 0], "<u4").tobytes()
 
     def merge(self, words: list[bytes]) -> list[bytes]:
         """Ids of each word (not empty), as little-endian unsigned 32-bit integers."""
@@ -105,8 +143,9 @@ class MergeTable:
     def encode_batch(self, texts: list[str]) -> list[bytes]:
         """Ids of whole texts, as little-endian unsigned 32-bit integers."""
         cache = self.cache
-        if len(cache) > CACHED_WORDS:
-            cache.clear()
+        if len(cache) > CACHED_WORDS:  # the older half goes
+            for w in list(islice(cache, len(cache) // 2 + 1)):
+                del cache[w]
         found = []
         for text in texts:
             if self.split is not None and any(s in text for s in self.special):
@@ -114,14 +153,15 @@ class MergeTable:
                 found.append([x for i, part in enumerate(parts) for x in ([(part,)] if i % 2 else self.words.findall(part))])
             else:
                 found.append(self.words.findall(text))
-        for new in self._blocks({w for ws in found for w in ws if w.__class__ is str} - cache.keys()):
-            cache.update(zip(new, self.merge([w.encode("utf-8", "surrogatepass") for w in new])))
+        new = {w: w.encode("utf-8", "surrogatepass") for w in {w for ws in found for w in ws if w.__class__ is str} - cache.keys()}
+        cache.update((w, self.merge_long(b)) for w, b in new.items() if len(b) > LONG)
+        for block in self._blocks([w for w, b in new.items() if len(b) <= LONG]):
+            cache.update(zip(block, self.merge([new[w] for w in block])))
         special = {(s,): int(i).to_bytes(4, "little") for s, i in self.special.items()}
         return [b"".join([cache[w] if w.__class__ is str else special[w] for w in ws]) for ws in found]
 
     @staticmethod
-    def _blocks(words: set[str], at_once: int = 100_000):
-        words = list(words)
+    def _blocks(words: list[str], at_once: int = 100_000):
         for i in range(0, len(words), at_once):
             yield words[i : i + at_once]
 

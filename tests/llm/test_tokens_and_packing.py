@@ -3,6 +3,7 @@
 import collections
 import hashlib
 import random
+import time
 import zlib
 
 import numpy as np
@@ -33,6 +34,19 @@ def test_encoding_equals_the_library():
         assert mine.decode(ids) == ref.decode(want.ids, skip_special_tokens=False)
 
 
+def test_long_words_equal_the_library_in_little_time():
+    rng, ref = random.Random(2), Tokenizer.from_file(BYTE)
+    texts = ["".join(rng.choice(letters) for _ in range(n)) for letters, n in [("thean", 200_000), ("a", 50_001), ("日本語のé", 20_000), ("abcdefghij", bpe.LONG), ("ab", bpe.LONG + 1)]]
+    mine = bpe.MergeTable(BYTE)
+    began = time.process_time()
+    got = mine.encode_batch(texts)
+    assert time.process_time() - began < 20
+    for text, ids, want in zip(texts, got, ref.encode_batch(texts, add_special_tokens=False)):
+        assert np.frombuffer(ids, "<u4").tolist() == want.ids
+    short = ["abcabcab", "aaaaaaa", "theethe"]
+    assert [mine.merge_long(w.encode()) for w in short] == mine.merge([w.encode() for w in short])
+
+
 def test_chunks_equal_the_library():
     texts = odd_texts()
     ref = Tokenizer.from_file(WORD)
