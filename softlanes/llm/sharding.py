@@ -1,9 +1,13 @@
 """Sampled splitters: range-partition records into shards of near-equal bytes.
 
 A size-weighted sample of keys gives quantile boundaries of many fine ranges; the exact bytes of each
-range are then counted, ranges that are overfull are subdivided, and consecutive ranges are dealt to
-shards by their exact cumulative bytes. Everything is DataFrame functions; what reaches the driver is
-one array of at most ``fine_ranges`` boundaries and one row per overfull range.
+range are then counted, ranges that are overfull are subdivided, and consecutive pieces are dealt to
+shards by their exact cumulative bytes. A group of equal keys moves as a whole unless it alone exceeds
+``whole_share`` of a shard; a larger one is cut into consecutive pieces. Balance: a shard's bytes differ from
+the mean by no more than the largest piece, that is ``max(whole_share of a shard, two fine ranges, the
+largest record)`` (``test_shards`` holds it to that). Everything is DataFrame functions; what reaches the driver
+is one array of at most ``fine_ranges`` boundaries, one row per overfull range and one per key that fills more
+than a fine range, of which there are no more than fine ranges.
 
 Edge cases: null text has size 8; a null id or a null key sorts as its own value; repeated rows are
 separate records; an empty table gives no rows; columns of the input named like results raise no clash,
@@ -15,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from softlanes.llm.shared import load, materialise, text_crc32
+from softlanes.llm.shared import load, located, materialise, text_crc32
 
 MAX_RANGES = 1 << 14
 
@@ -65,30 +69,48 @@ def plan_ranges(keyed: DataFrame, fine_ranges: int, per_range: int) -> tuple[Dat
     return ranges, splits, total
 
 
+def subdivided(keyed: DataFrame, ranges: DataFrame, splits: list[int], target: float, limit: float) -> DataFrame:
+    """Add ``_r``, the range of each row, and ``_u``, its piece there: rows of a range that holds over two targets are
+    dealt by their key's hash, keys over a target get pieces of their own, one up to ``limit`` bytes, more beyond."""
+    where = keyed.withColumn("_r", locate(F.col("_k"), splits))
+    over = {r._r: int(r._bytes) for r in ranges.where(F.col("_bytes") > 2 * target).collect()}
+    if not over:
+        return where.withColumn("_u", F.lit(0).cast("long"))
+    spark, pieces = keyed.sparkSession, lambda n: max(1, -(-int(n) // int(target + 1)))
+    hot = (
+        where.where(F.col("_r").isin(*over)).groupBy("_r", "_k").agg(F.sum("_s").alias("_bytes")).where(F.col("_bytes") > target).collect()
+    )
+    rest = dict(over)
+    for r in hot:
+        rest[r._r] -= int(r._bytes)
+    first, own = {r: pieces(n) for r, n in rest.items()}, []
+    for r in sorted(hot, key=lambda r: (r._r, r._k)):
+        parts = 1 if r._bytes <= limit else pieces(r._bytes)
+        own.append((r._k, first[r._r], parts))
+        first[r._r] += parts
+    cuts = F.from_json(F.lit("[" + ",".join(str(pieces(rest[r])) if r in rest else "1" for r in range(len(splits) + 1)) + "]"), "array<int>")
+    hot_keys = spark.createDataFrame(own, "_k long, _first long, _parts long")
+    plain = F.pmod(F.xxhash64(F.lit(5), "_k"), F.coalesce(F.get(cuts, F.col("_r")), F.lit(1)).cast("long"))
+    cut = F.col("_first") + F.pmod(F.xxhash64(F.lit(5), "_t", "_k"), F.col("_parts"))
+    return where.join(F.broadcast(hot_keys), "_k", "left").withColumn("_u", F.coalesce(cut, plain)).drop("_first", "_parts")
+
+
 def sampled_splitter_shards(
-    df: DataFrame, n_shards: int, key: Column, size: Column, tie: Column, *, fine_per_shard: int = 48, per_range: int = 16
+    df: DataFrame, n_shards: int, key: Column, size: Column, tie: Column, *, fine_per_shard: int = 192, per_range: int = 16, whole_share: float = 0.02
 ) -> DataFrame:
     """Add ``shard int``, ``slot long`` and ``range_id long`` to ``df``.
 
-    ``key`` is the long to range-partition by, ``size`` its weight in bytes, ``tie`` a long that
-    orders and subdivides records of one key (a hot key is cut into sub-ranges of hashed ``tie``).
-    Slots are gapless from 0 in each shard, in order of (range, sub-range, key, tie).
+    ``key`` is the long to range-partition by, ``size`` its weight in bytes, ``tie`` a long that orders records
+    of one key and cuts a key that is too large for one piece, so it should tell repeated rows apart.
+    Slots are gapless from 0 in each shard, in order of (range, piece, key, tie).
     """
     fine = min(MAX_RANGES, max(2, n_shards * fine_per_shard))
     keyed = df.withColumns({"_k": F.coalesce(key, F.lit(0)), "_s": size.cast("long"), "_t": F.coalesce(tie, F.lit(0))})
     ranges, splits, total = plan_ranges(keyed.select("_k", "_s", "_t"), fine, per_range)
     target = max(1.0, total / fine)
-    # overfull ranges: as many sub-ranges of the hashed tie-breaker as they hold targets
-    over = {r._r: min(MAX_RANGES, -(-int(r._bytes) // int(target + 1))) for r in ranges.where(F.col("_bytes") > 2 * target).collect()}
-    where = keyed.withColumn("_r", locate(F.col("_k"), splits))
-    if over:
-        cuts = F.from_json(F.lit("[" + ",".join(str(over.get(r, 1)) for r in range(len(splits) + 1)) + "]"), "array<int>")
-        parts = F.coalesce(F.get(cuts, F.col("_r")), F.lit(1))
-        where = where.withColumn("_u", F.pmod(F.xxhash64(F.lit(5), "_t", "_k"), parts.cast("long")))
-    else:
-        where = where.withColumn("_u", F.lit(0).cast("long"))
+    where = subdivided(keyed, ranges, splits, target, max(target, whole_share * total / n_shards))
     held = where.groupBy("_r", "_u").agg(F.sum("_s").alias("_bytes"), F.count("*").alias("_n"))
-    # at most fine + sum of sub-ranges rows, both bounded by parameters: one task orders them
+    # pieces: at most a few times the fine ranges, a parameter, so one task orders them
     line = Window.orderBy("_r", "_u")
     before = F.sum("_bytes").over(line) - F.col("_bytes")
     shard = F.least(F.lit(n_shards - 1), F.floor((before + F.col("_bytes") / 2) * n_shards / F.lit(max(1, total))).cast("int"))
@@ -107,7 +129,7 @@ def sampled_splitter_shards(
 
 def op1_sampled_splitters(spark, sf_dir: str) -> DataFrame:
     """All documents in 24 shards of near-equal bytes; equal texts share a key, so they stay together
-    unless their range is overfull."""
+    unless they alone fill over a fiftieth of a shard."""
     text = F.coalesce(F.col("text"), F.lit(""))
     narrow = load(spark, sf_dir, "documents").select(
         "doc_id",
@@ -115,8 +137,8 @@ def op1_sampled_splitters(spark, sf_dir: str) -> DataFrame:
         text_crc32(F.col("text")).alias("text_crc32"),
         F.xxhash64(text).alias("text_key"),
     )
-    narrow = materialise(narrow, "shard-keys")
-    done = sampled_splitter_shards(narrow, 24, F.col("text_key"), F.col("size"), F.col("doc_id"))
+    narrow, at = located(materialise(narrow, "shard-keys"), "shard-keys")
+    done = sampled_splitter_shards(narrow, 24, F.col("text_key"), F.col("size"), F.xxhash64("doc_id", at))
     return done.select(
         "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot",
         F.lit(None).cast("int").alias("grown_shard"),

@@ -11,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from softlanes.llm import exact_dedup, licenses, sharding
-from softlanes.llm.shared import connected_components, materialise
+from softlanes.llm.shared import connected_components, located, materialise
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -33,10 +33,24 @@ def test_shards_are_near_equal_with_gapless_slots(spark):
         assert sorted(g.slot) == list(range(len(g)))
 
 
-def test_equal_texts_stay_together_where_they_fit(spark):
-    rows = [(i, f"text {i // 2} " * 20) for i in range(2000)]
-    out = sharding.sampled_splitter_shards(docs(spark, rows).select("doc_id", "text"), 4, F.xxhash64("text"), F.octet_length("text"), F.col("doc_id")).toPandas()
-    assert (out.groupby("text").shard.nunique() == 1).all()
+def test_shards_keep_the_stated_balance_and_whole_groups(spark):
+    rows = [(i, f"text {i // 2} " * 20) for i in range(4000)] + [(i, "hot " * 40) for i in range(4000, 6000)] + [(i, f"copy {i % 9} " * 9) for i in range(6000, 6180)]
+    rows += [(7000, "same row " * 30)] * 900 + [(8000, "very long " * 3000)]
+    df, at = located(docs(spark, rows).select("doc_id", "text"), "d")
+    out = sharding.sampled_splitter_shards(df, 6, F.xxhash64("text"), F.octet_length("text") + 8, F.xxhash64("doc_id", at)).toPandas()
+    out["size"] = out.text.str.len() + 8
+    held, total = out.groupby("shard")["size"].sum(), out["size"].sum()
+    piece = max(0.02 * total / 6, 2 * total / (6 * 192), out["size"].max())
+    assert len(out) == len(rows) and (held - total / 6).abs().max() <= piece
+    groups = out.groupby("text").agg(size=("size", "sum"), shards=("shard", "nunique"))
+    assert (groups[groups["size"] <= 0.02 * total / 6].shards == 1).all()
+    assert (groups.shards <= groups["size"] / (total / 6) + 2).all()
+
+
+def test_registered_shards_are_near_equal(spark):
+    out = sharding.op1_sampled_splitters(spark, "/root/testdata/sf0.01").toPandas()
+    held = out.groupby("shard")["size"].sum()
+    assert (held - held.mean()).abs().max() <= max(0.02 * held.mean(), out["size"].max())
 
 
 @pytest.mark.parametrize("rows", [[], [(1, "one")], ODD])
