@@ -130,20 +130,23 @@ def known_texts() -> list[tuple[str, str]]:
     return [*whole_texts(), *((k, line) for k, lines in NOTICES.items() for line in lines)]
 
 
-_YEAR = r"[\[<{(]?\s*(?i:\d{4}|year|yyyy)"
-_NAME = r"(?!(?i:holder|owner|notice|licen[cs]e|law|treat|statement|and|or|permission|right|interest|protect|infring)[a-z]*)\p{Lu}[\p{Ll}.]"
+_YEAR = r"[\[<{(]?[ \t]*(?i:\d{4}|year|yyyy)"
+_NO_NAME = r"(?i:holder|owner|notice|licen[cs]e|law|treat|statement|and|or|permission|right|interest|protect|infring)"
+_NAME = r"\p{Lu}[\p{Ll}.]"
+_MARKED = rf"(©|\((?i:c)\)|{_YEAR}|(?i:by)\b"
 COPYRIGHT_LINE = (
-    rf"(^|\n)[^\p{{L}}\p{{N}}\n]*((?i:copyright)[ \t:,]*(©|\((?i:c)\)|{_YEAR}|(?i:by)\b|{_NAME})|©|\((?i:c)\)[ \t]*({_YEAR}|(?i:copyright)))[^\n]*"
+    rf"(^|\n)[^\p{{L}}\p{{N}}\n]*((?i:copyright)[ \t:,]*{_MARKED}|(?!{_NO_NAME}[a-z]*){_NAME})|©|\((?i:c)\)[ \t]*({_YEAR}|(?i:copyright)))[^\n]*"
 )
 
 
 def canonical(text: Column) -> Column:
+    """Words of ``text`` without its copyright lines, in lower case, spellings unified, one space between them."""
     text = F.regexp_replace(F.coalesce(text, F.lit("")), COPYRIGHT_LINE, "\n")
-    text = F.lower(text)
-    text = F.concat(F.lit(" "), F.regexp_replace(text, r"[^\p{L}\p{N}]+", " "), F.lit(" "))
+    # two spaces between words: every word has its own on either side, so neighbours are both found in one pass
+    text = F.concat(F.lit(" "), F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}]+", "  "), F.lit(" "))
     for other, usual in SPELLINGS:
-        text = F.replace(text, F.lit(f" {other} "), F.lit(f" {usual} "))
-    return F.trim(text)
+        text = F.replace(text, F.lit(f" {other.replace(' ', '  ')} "), F.lit(f" {usual.replace(' ', '  ')} "))
+    return F.trim(F.replace(text, F.lit("  "), F.lit(" ")))
 
 
 def canonical_digest(text: Column) -> Column:
@@ -178,11 +181,17 @@ def op2_license_scan(spark, sf_dir: str) -> DataFrame:
 
 
 def oracle_op2() -> str:
+    """The scan line by line: a line goes where a mark or a year follows the word, or a name that is no common word."""
+
     def sql(text: str) -> str:
-        out = rf"regexp_replace(lower(coalesce({text}, '')), '(^|\n)[^\p{{L}}\p{{N}}\n]*(copyright|©|\(c\))[^\n]*', chr(10), 'g')"
-        out = rf"' ' || regexp_replace({out}, '[^\p{{L}}\p{{N}}]+', ' ', 'g') || ' '"
-        for other, usual in SPELLINGS:
-            out = f"replace({out}, ' {other} ', ' {usual} ')"
+        head = r"^[^\p{L}\p{N}]*"
+        word = head + r"(?i:copyright)[ \t:,]*"
+        marked = rf"{head}((?i:copyright)[ \t:,]*{_MARKED})|©|\((?i:c)\)[ \t]*({_YEAR}|(?i:copyright)))"
+        goes = f"(regexp_matches(l, '{marked}') OR (regexp_matches(l, '{word}{_NAME}') AND NOT regexp_matches(l, '{word}{_NO_NAME}')))"
+        out = f"array_to_string(list_filter(string_split(coalesce({text}, ''), chr(10)), lambda l: NOT {goes}), chr(10))"
+        out = rf"' ' || regexp_replace(lower({out}), '[^\p{{L}}\p{{N}}]+', ' ', 'g') || ' '"
+        for other, usual in SPELLINGS:  # neighbours share a space: the second pass finds what the first passed over
+            out = f"replace(replace({out}, ' {other} ', ' {usual} '), ' {other} ', ' {usual} ')"
         return f"sha256(trim({out}, ' '))"
 
     quote = lambda x: "'" + x.replace("'", "''") + "'"

@@ -7,6 +7,7 @@ import zlib
 from collections import Counter
 from pathlib import Path
 
+import duckdb
 import pytest
 from pyspark.sql import functions as F
 
@@ -84,6 +85,22 @@ def test_whole_license_texts_titles_and_wrapped_lines(spark):
     assert [got[i] for i in range(len(whole))] == [k for k, _ in whole]
 
 
+def test_scan_equals_its_sql_on_spellings_and_copyright_lines(spark, tmp_path):
+    lines = [
+        "licence licence licence", "the sub-licence  sub licence,licences", "non commercial non-commercial whilst whilst", "LICENCE", "copyright holder copyright holders copyright holder",
+        "Copyright (c) 2020 X", "copyright holders and contributors", "  * Copyright 1999", "Copyright Jane Doe", "COPYRIGHT HOLDERS BE LIABLE", "© Me", "(c) 2001 Y", "(c) the licensee keeps",
+        "Copyright by all", "Copyright bystanders", "Copyright: [yyyy] name", "Copyright", "2020 follows", "Copyright And More", "Released under the MIT Licence.", "日本 ライセンス", "",
+    ]
+    rows = [(i, x) for i, x in enumerate([*lines, "\n".join(lines), "\n".join(reversed(lines)), None, "\r\n".join(lines), ("word " * 40_000) + "licence"])]
+    docs(spark, rows).coalesce(1).write.parquet(str(tmp_path / "documents.parquet"))
+    got = licenses.op2_license_scan(spark, str(tmp_path)).collect()
+    duck = duckdb.connect()
+    duck.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    assert sorted(map(tuple, got), key=str) == sorted(duck.sql(licenses.oracle_op2()).fetchall(), key=str)
+    word = licenses.canonical(F.lit("Licence licence\nlicence"))
+    assert spark.range(1).select(word.alias("w")).first().w == "license license license"
+
+
 def brute(rows):
     norm = [(i, re.sub(r"[\x20\x09-\x0D]+", " ", t or "")) for i, t in rows]
     groups = {}
