@@ -1,5 +1,9 @@
 """Quality classifier, language network, URL rules: held-out accuracy, gradients, odd input."""
 
+import random
+from collections import Counter
+from itertools import combinations
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -111,3 +115,39 @@ def test_mined_rules_block(spark):
     assert sorted(got) == [(0, "block"), (1, "allow"), (1, "allow")]
     rules = urls.mine_rules(labels.select(urls.tokens_of(urls.host_of(F.col("url")), urls.path_of(F.col("url"))).alias("tokens"), "bad")).collect()
     assert rules and all(r.confidence >= 0.6 for r in rules)
+
+
+def brute_rules(rows, least, confidence):
+    """Every token set of every URL, counted; those that predict the bad label and have no part that does."""
+    seen, hits = Counter(), Counter()
+    for tokens, bad in rows:
+        for k in range(1, len(tokens) + 1):
+            for part in combinations(sorted(tokens), k):
+                seen[part] += 1
+                hits[part] += bad
+    base = sum(bad for _, bad in rows) / len(rows)
+    good = {p: hits[p] / seen[p] for p in seen if hits[p] >= least and hits[p] / seen[p] >= confidence and hits[p] / seen[p] > base}
+    return {p: c for p, c in good.items() if not any(q in good for k in range(1, len(p)) for q in combinations(p, k))}
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_mined_rules_equal_brute_force(spark, seed):
+    rng = random.Random(seed)
+    rows = []
+    for _ in range(300):
+        tokens = rng.sample("abcdefgh", rng.randint(0, 6))
+        rows.append((tokens, rng.random() < (0.9 if {"a", "b", "c", "d"} <= set(tokens) or {"e", "f"} <= set(tokens) else 0.25)))
+    labelled = spark.createDataFrame([*rows, (["a"], None)], "tokens array<string>, bad boolean")
+    got = {tuple(r.tokens): r.confidence for r in urls.mine_rules(labelled, support=0.02, confidence=0.7).collect()}
+    assert got == pytest.approx(brute_rules(rows, 6, 0.7)) and max(map(len, got)) >= 2
+
+
+def test_mining_of_long_urls_and_odd_labels(spark):
+    long = [f"t{i}" for i in range(400)]
+    rules = urls.mine_rules(spark.createDataFrame([(long, True)] * 30 + [(["x"], False)] * 300, "tokens array<string>, bad boolean"))
+    assert rules.count() == 12
+    assert urls.mine_rules(spark.createDataFrame([([], True)] * 30, "tokens array<string>, bad boolean")).count() == 0
+    empty = spark.createDataFrame([], "page_id long, url string")
+    assert urls.judge_urls(empty, spark.createDataFrame([], "url string, bad boolean")).count() == 0
+    far = spark.createDataFrame([(1, "http://com/en/" + "x" * 200_000)], "page_id long, url string")
+    assert urls.judge_urls(far, spark.createDataFrame([], "url string, bad boolean")).first().verdict == "block"
