@@ -32,7 +32,9 @@ from softlanes.llm.shared import connected_components, load, materialise
 SHARD = 1200
 MOST_SHARD = 6000
 MOST_CENTROIDS = 4096
-MOST_VISITS = 16384  # vectors that visit a cell in one task
+MOST_VISITS = 16384  # vectors that visit a cell, or are dealt to centroids, in one task
+DEPTHS = 3  # rounds of clustering
+SPREAD = 1 + MOST_CENTROIDS  # numbers kept free for a shard's own shards
 BLOCK_NUMBERS = 4_000_000  # numbers of a block of vectors that goes to every task in the exact comparison
 MARGIN = 1e-6  # single-precision slack of the search before the check in double precision
 
@@ -147,49 +149,65 @@ def distinct_vectors(df: DataFrame, vec_id: str, embedding: str) -> tuple[DataFr
     return members, nodes
 
 
-def _assign(rows: DataFrame, centroids: dict[int, tuple[np.ndarray, int]], overlap: int) -> DataFrame:
-    """Explode ``rows(node, v, n, shard)`` to the nearest centroids of their shard's entry (centroids, first new shard);
-    shards without an entry stay."""
+def _fit_centroids(crowded: DataFrame, seed: int) -> DataFrame:
+    """``(shard, count, centroids binary)`` of the shards of ``crowded(node, v, shard, count, k)``, each fitted in a task of
+    its own on about ``40 k`` of its vectors."""
 
-    def run(batches):
-        for pdf in batches:
-            for shard, own in pdf.groupby("shard", sort=False):
-                if shard not in centroids:
-                    yield own
-                    continue
-                c, base = centroids[shard]
-                near = unit(_matrix(own["v"])).astype(np.float32) @ c.T
-                k = min(overlap, c.shape[0])
-                at = np.argpartition(-near, k - 1, axis=1)[:, :k]
-                again = own.loc[own.index.repeat(k)].copy()
-                again["shard"] = base + at.ravel()
-                yield again
+    def fit(pdf: pd.DataFrame) -> pd.DataFrame:
+        c = kmeans(unit(_matrix(pdf["v"])).astype(np.float32), int(pdf["k"].iloc[0]), seed)
+        return pd.DataFrame({"shard": pdf["shard"].iloc[:1], "count": pdf["count"].iloc[:1], "centroids": [c.tobytes()]})
+
+    coin = F.pmod(F.xxhash64("node", F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
+    return crowded.where(coin < 40.0 * F.col("k") / F.col("count")).groupBy("shard").applyInPandas(fit, "shard long, count long, centroids binary")
+
+
+def _assign(crowded: DataFrame, centroids: DataFrame, overlap: int) -> DataFrame:
+    """``crowded(node, v, n, shard)`` dealt to the ``overlap`` nearest centroids of its shard: new shards under the old one's
+    number. A shard's rows meet its centroids in parts of about ``MOST_VISITS`` rows."""
 
-    return rows.mapInPandas(run, "node long, v array<double>, n long, shard long")
+    def deal(rows: pd.DataFrame, fitted: pd.DataFrame) -> pd.DataFrame:
+        if not len(rows):
+            return rows[["node", "v", "n", "shard"]]
+        base = int(rows["shard"].iloc[0]) * SPREAD + 1
+        if not len(fitted):  # no vector was picked: the shard is divided further down, or by hash
+            return rows.assign(shard=base)[["node", "v", "n", "shard"]]
+        x = unit(_matrix(rows["v"])).astype(np.float32)
+        near = x @ np.frombuffer(fitted["centroids"].iloc[0], np.float32).reshape(-1, x.shape[1]).T
+        k = min(overlap, near.shape[1])
+        again = rows.loc[rows.index.repeat(k), ["node", "v", "n"]].copy()
+        again["shard"] = base + np.argpartition(-near, k - 1, axis=1)[:, :k].ravel()
+        return again
+
+    parts = F.ceil(F.col("count") / MOST_VISITS).cast("int")
+    placed = crowded.select("node", "v", "n", "shard", F.pmod(F.xxhash64("node", F.lit(3)), parts).cast("int").alias("part"))
+    spread = centroids.select("shard", "centroids", F.explode(F.sequence(F.lit(0), parts - 1)).alias("part"))
+    both = placed.groupBy("shard", "part").cogroup(spread.groupBy("shard", "part"))
+    return both.applyInPandas(deal, "node long, v array<double>, n long, shard long")
 
 
 def overlapping_shards(nodes: DataFrame, overlap: int, seed: int = 1) -> DataFrame:
-    """``(node, v, n, shard)``: clusters of about ``SHARD`` nodes, each node in ``overlap`` of them."""
-    rows = nodes.select("node", "v", "n", (-F.size("v")).cast("long").alias("shard"))  # one shard per dimension
-    base = 0
-    for depth in range(4):
-        sizes = rows.groupBy("shard").count().where(F.col("count") > (MOST_SHARD if depth else SHARD)).collect()
-        if not sizes:
-            break
-        centroids = {}
-        for r in sizes:
-            k = min(MOST_CENTROIDS, max(2, -(-r["count"] * (overlap if depth == 0 else 1) // SHARD)))
-            share = min(1.0, 40 * k / r["count"])
-            picked = rows.where(F.col("shard") == r.shard).where(
-                F.pmod(F.xxhash64("node", F.lit(seed + depth)), F.lit(1 << 30)) < int(share * (1 << 30))
-            ).select("v").toPandas()
-            if len(picked) > 1:
-                c = kmeans(unit(_matrix(picked["v"])).astype(np.float32), k, seed + depth)
-                centroids[r.shard] = (c, base)
-                base += len(c)
-        if not centroids:
+    """``(node, v, n, shard)``: clusters of about ``SHARD`` nodes, each node in ``overlap`` of them; none over ``MOST_SHARD``.
+
+    Shards that are crowded are clustered again, all of them in one job; what clustering cannot divide in
+    ``DEPTHS`` rounds is divided by hash, and left to the search across shards.
+    """
+    rows = nodes.select("node", "v", "n", F.size("v").cast("long").alias("shard"))  # one shard per dimension
+    for depth in range(DEPTHS + 1):
+        most = MOST_SHARD if depth else SHARD
+        sizes = materialise(rows.groupBy("shard").count().where(F.col("count") > most), "vector-crowded")
+        if sizes.isEmpty():
             break
-        rows = materialise(_assign(rows, centroids, overlap if depth == 0 else 2).dropDuplicates(["node", "shard"]), "vector-shards")
+        crowded = rows.join(sizes, "shard")
+        if depth < DEPTHS:
+            share = overlap if depth == 0 else 1
+            wanted = F.least(F.lit(MOST_CENTROIDS), F.greatest(F.lit(2), F.ceil(F.col("count") * share / SHARD).cast("int")))
+            centroids = materialise(_fit_centroids(crowded.withColumn("k", wanted), seed + depth), "vector-centroids")
+            dealt = _assign(crowded, centroids, overlap if depth == 0 else 2)
+        else:
+            piece = F.pmod(F.xxhash64("node", F.lit(seed)), F.least(F.lit(MOST_CENTROIDS), F.ceil(F.col("count") / SHARD)))
+            dealt = crowded.select("node", "v", "n", (F.col("shard") * SPREAD + 1 + piece).cast("long").alias("shard"))
+        calm = rows.join(sizes, "shard", "left_anti").select("node", "v", "n", (F.col("shard") * SPREAD).alias("shard"))
+        rows = materialise(calm.unionByName(dealt), "vector-shards")
     return rows
 
 

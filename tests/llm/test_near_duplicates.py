@@ -156,6 +156,19 @@ def test_short_audits_end_in_an_exact_comparison(spark, monkeypatch):
     assert out.n_links.tolist() == count and out.component_id.tolist() == label and (out.audited_recall == 1).all()
 
 
+def test_no_shard_stays_crowded(spark, monkeypatch):
+    monkeypatch.setattr(vectors, "SHARD", 20)
+    monkeypatch.setattr(vectors, "MOST_SHARD", 40)
+    monkeypatch.setattr(vectors, "MOST_VISITS", 64)
+    rng = np.random.default_rng(12)
+    flat = np.ones(16) + 1e-9 * rng.normal(size=(300, 16))  # too alike for any centroid to divide evenly
+    x = [*rng.normal(size=(200, 16)), *flat, *rng.normal(size=(90, 5))]
+    nodes = spark.createDataFrame([(i, [float(a) for a in v], 1) for i, v in enumerate(x)], "node long, v array<double>, n long")
+    out = vectors.overlapping_shards(nodes, 3).toPandas()
+    assert out.groupby("shard").size().max() <= 60 and set(out.node) == set(range(len(x)))
+    assert not out.duplicated(["node", "shard"]).any() and (out.groupby("shard").v.agg(lambda v: v.map(len).nunique()) == 1).all()
+
+
 def test_empty_vectors(spark):
     assert vectors.near_duplicate_vectors(embeddings(spark, [])).count() == 0
 
