@@ -31,23 +31,58 @@ def ship_package(spark: SparkSession) -> None:
 def shared_folder(spark: SparkSession) -> str:
     """Folder that all executors see: ``spark.checkpoint.dir`` of the session.
 
-    Only where the session has none (tests on one machine) a temporary folder is set.
+    Only on one machine (``local[...]``) is a temporary folder set where the session has none; on a cluster it would be
+    a folder that the other machines do not see, so there it is an error.
     """
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = tempfile.mkdtemp(prefix="lanes-checkpoint-")
         atexit.register(shutil.rmtree, folder, ignore_errors=True)
         spark.conf.set("spark.checkpoint.dir", folder)
     return folder.rstrip("/")
 
 
+#: What was written and not deleted yet, by application: folder, and the table's name if it is one.
+_WRITTEN: dict[str, dict[str, str | None]] = {}
+
+
+def _noted(df: DataFrame, path: str, table: str | None = None) -> DataFrame:
+    _WRITTEN.setdefault(df.sparkSession.sparkContext.applicationId, {})[path] = table
+    df._lanes_path = path
+    return df
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    table = _WRITTEN.get(spark.sparkContext.applicationId, {}).pop(path, None)
+    if table:
+        spark.sql(f"DROP TABLE IF EXISTS {table}")
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def release(*frames: DataFrame | None) -> None:
+    """Delete what ``materialise`` or ``bucketed`` wrote for these frames; nothing may read them any more."""
+    for df in frames:
+        if df is not None and getattr(df, "_lanes_path", None):
+            _delete(df.sparkSession, df._lanes_path)
+
+
+def forget(spark: SparkSession) -> None:
+    """Delete all intermediate folders and tables of this application. Results that were not written yet need them."""
+    for path in list(_WRITTEN.get(spark.sparkContext.applicationId, {})):
+        _delete(spark, path)
+
+
 def materialise(df: DataFrame, label: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
     ship_package(spark)
     path = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return _noted(spark.read.schema(df.schema).parquet(path), path)
 
 
 def bucketed(df: DataFrame, key: str, parts: int, label: str, placed: bool = False) -> DataFrame:
@@ -58,6 +93,7 @@ def bucketed(df: DataFrame, key: str, parts: int, label: str, placed: bool = Fal
     """
     spark = df.sparkSession
     name = f"lanes_{label}_{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/{name}"
     rows = df if placed else df.repartition(parts, key)
-    rows.write.bucketBy(parts, key).sortBy(key).option("path", f"{shared_folder(spark)}/{name}").saveAsTable(name)
-    return spark.table(name)
+    rows.write.bucketBy(parts, key).sortBy(key).option("path", path).saveAsTable(name)
+    return _noted(spark.table(name), path, name)

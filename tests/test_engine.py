@@ -1,5 +1,7 @@
 """Systems, layouts and schemes on Spark, against dense numpy."""
 
+from pathlib import Path
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -252,3 +254,23 @@ def test_clock_deadline(spark, ring, inputs):
     system = systems.restart_walk_system(ring)
     state, steps = engine.run_until(system, system.forcing(inputs), systems.initial_state(system, [0, 1]), 2, 0.05)
     assert steps.count() == 2 and steps.agg(F.min("steps")).first()[0] >= 1 and state.count() == 16
+
+
+def test_intermediate_tables_are_deleted_and_a_cluster_needs_a_shared_folder(spark, monkeypatch, tmp_path):
+    from softlanes.sources import session
+
+    a, b = session.materialise(spark.range(3), "gone"), session.bucketed(spark.range(5), "id", 2, "gone")
+    assert a.count() == 3 and b.count() == 5
+    table, paths = session._WRITTEN[spark.sparkContext.applicationId][b._lanes_path], [a._lanes_path, b._lanes_path]
+    session.release(a, None, b, spark.range(1))
+    assert not spark.catalog.tableExists(table) and not any(Path(p.removeprefix("file:")).exists() for p in paths)
+
+    class Far:
+        class conf:
+            get = staticmethod(lambda key, default: default)
+
+        class sparkContext:
+            master = "spark://host:7077"
+
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        session.shared_folder(Far())
