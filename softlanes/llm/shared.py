@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from softlanes.sources.session import materialise, shared_folder, ship_package
+from softlanes.sources.session import materialise, release, shared_folder, ship_package
 
 __all__ = ["connected_components", "held_out_fold", "load", "located", "materialise", "shared_folder", "smallest_row", "text_crc32"]
 
@@ -84,7 +84,8 @@ def connected_components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
             .unionByName(low2.select("u", F.col("m").alias("v")))
             .distinct()
         )
-        cur = materialise(small, "cc")
+        before, cur = cur, materialise(small, "cc")
+        release(before)
         now = digest(cur)
         if now == seen:
             break
