@@ -131,6 +131,22 @@ def soft_decode(state: DataFrame, g: np.ndarray, steps: list[int], tau: np.ndarr
     return apply_decode(state, g, decode_matrix(g, om, solver))
 
 
+def decode_wide(lanes: DataFrame, g: np.ndarray, r: np.ndarray) -> DataFrame:
+    """``(i, x, im_leak)``, arrays over the problems, from ``lanes(i, x)`` over real columns: a product inside each
+    node's row, so nothing is shuffled."""
+    from softlanes.operators.engine import matmul_wide
+
+    re, im = real_decode(g, r)
+    k = re.shape[1]
+    both = matmul_wide(lanes, np.hstack([re, im]))
+    return both.select("i", F.slice("x", 1, k).alias("x"), F.slice("x", k + 1, k).alias("im_leak"))
+
+
+def soft_decode_wide(lanes: DataFrame, g: np.ndarray, steps: list[int], tau: np.ndarray, solver: str = "auto") -> DataFrame:
+    """The weighted decoder on the wide layout."""
+    return decode_wide(lanes, g, decode_matrix(g, noise_weights(tau, steps), solver))
+
+
 def conjugate_partner(n: int, q: int) -> int:
     return (n - q) % n
 
@@ -141,3 +157,16 @@ def conjugate_complete(steps: list[int]) -> tuple[list[int], list[int]]:
     n = len(steps)
     source = [q if steps[q] >= steps[conjugate_partner(n, q)] else conjugate_partner(n, q) for q in range(n)]
     return source, [steps[s] for s in source]
+
+
+def complete_conjugates(state: DataFrame, g: np.ndarray, steps: list[int]) -> tuple[DataFrame, list[int]]:
+    """``state(i, p = real column, v)`` of a Fourier code over real inputs where the slower lane of each conjugate pair
+    takes the conjugate of the faster one's state, and the step counts after that."""
+    _, owner = real_columns(g)
+    columns = {}
+    for c, q in enumerate(owner):
+        columns.setdefault(q, []).append(c)
+    source, after = conjugate_complete(steps)
+    moves = [(columns[s][part], columns[q][part], -1.0 if part and s != q else 1.0) for q, s in enumerate(source) for part in range(len(columns[q]))]
+    table = state.sparkSession.createDataFrame(moves, "p int, into int, sign double")
+    return state.join(F.broadcast(table), "p").select("i", F.col("into").alias("p"), (F.col("v") * F.col("sign")).alias("v")), after

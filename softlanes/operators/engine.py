@@ -7,7 +7,9 @@ share the operator. Layouts:
 * ``wide``: one row per node with the columns as an array. The operator carries a row per node for itself,
   with the forcing and a flag, so a step is one join and one aggregation: running columns add products and
   forcing, frozen ones copy themselves. Operator and state are bucketed by node, the lineage is cut every few
-  steps by writing the state in the same buckets, and only partial sums are shuffled.
+  steps by writing the state in the same buckets, and only partial sums are shuffled. Columns of very many entries
+  (hub nodes) are kept apart in files of even size and meet the few hub rows of the state broadcast, so that no
+  bucket holds a hub's column.
 * ``lane``: every task has the whole operator and iterates its columns alone, for operators of a checked size.
 * ``block``: two-dimensional blocks of the operator meet blocks of the state, cogrouped.
 * ``snapshot``: by linearity, the un-encoded problems are run once and every lane is mixed from their iterates
@@ -27,20 +29,27 @@ from pyspark.sql import functions as F
 
 from softlanes.operators.codes import real_columns, to_df
 from softlanes.operators.systems import AffineSystem, multiply_terms
-from softlanes.sources.session import bucketed, materialise
+from softlanes.sources.session import bucketed, materialise, release
 
 LANE_EDGES = 20_000_000
+LANE_NODES = 5_000_000
 CHUNK = 64
 BUCKET_ENTRIES = 100_000
+ROUND_OFF, SLACK = 4e-16, 1e-12
+HOT_ENTRIES = 200_000  # a column with more is a hub's ...
+MOST_HOT = 10_000  # ... but no more columns than these are
+
+
+class NotConverged(RuntimeError):
+    """The iteration cap was reached while entries still changed."""
 
 
 @dataclass
 class LaneResult:
-    """``state(i, p, v)`` over real columns, and the lane table it was run by."""
+    """What a run left: ``state(i, p = real column, v)``, distributed, and how many steps each column made."""
 
     state: DataFrame
     steps: list[int]
-    lanes: list[int]  # lane of each real column
 
 
 # ---- encoding
@@ -93,13 +102,13 @@ def run_lanes(system: AffineSystem, forcing: DataFrame, start: DataFrame, steps:
     ``forcing`` is K times the encoded inputs, ``start`` the encoded starting points.
     """
     if layout == "auto":
-        layout = choose_layout(system.op)
+        layout = choose_layout(system.op, system.nodes)
     return {"long": _run_long, "wide": _run_wide, "lane": _run_lane, "block": _run_block}[layout](system, forcing, start, list(steps), cut)
 
 
-def choose_layout(op: DataFrame, most: int = LANE_EDGES) -> str:
-    """``lane`` where the whole operator fits each task, else ``wide``; counts no further than the bound."""
-    return "lane" if op.limit(most + 1).count() <= most else "wide"
+def choose_layout(op: DataFrame, nodes: DataFrame, most: int = LANE_EDGES, most_nodes: int = LANE_NODES) -> str:
+    """``lane`` where operator and nodes fit each task, else ``wide``; counts no further than the bounds."""
+    return "lane" if op.limit(most + 1).count() <= most and nodes.limit(most_nodes + 1).count() <= most_nodes else "wide"
 
 
 def _column_steps(spark, steps):
@@ -124,32 +133,70 @@ def _run_long(system, forcing, start, steps, cut):
 
 
 def _run_wide(system, forcing, start, steps, cut):
+    out = None
+    for first, state in wide_lanes(system, forcing, start, steps, cut):
+        part = to_long(state).select("i", (F.col("p") + first).cast("int").alias("p"), "v")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def _hubs(op: DataFrame, entries: int) -> DataFrame | None:
+    """``(j)``: nodes whose column has very many entries, at most ``MOST_HOT`` of them; None where there is none."""
+    most = max(HOT_ENTRIES, entries // MOST_HOT)
+    if entries <= most:
+        return None
+    hot = materialise(op.groupBy("j").count().where(F.col("count") > most).select("j"), "hubs")
+    return None if hot.isEmpty() else hot
+
+
+def wide_lanes(system: AffineSystem, forcing: DataFrame, start: DataFrame, steps: list[int], cut: int = 4) -> list[tuple[int, DataFrame]]:
+    """(first column, ``(i, x)``) of each run of at most ``CHUNK`` columns; the operator is written once for all.
+
+    Each state is partitioned by node in the same way, so that runs join without a shuffle.
+    """
     spark = system.op.sparkSession
+    size = system.op.count()
     # as many buckets as shuffles have partitions, so that sums meet them in place; fewer for a small operator
-    parts = min(int(spark.conf.get("spark.sql.shuffle.partitions")), 1 + system.op.count() // BUCKET_ENTRIES)
-    nodes = system.nodes.select("i")
-    out = None
-    for a in range(0, len(steps), CHUNK):  # few enough columns for one generated aggregation
+    parts = min(int(spark.conf.get("spark.sql.shuffle.partitions")), 1 + size // BUCKET_ENTRIES)
+    nodes, width = system.nodes.select("i"), len(steps)
+    op, hubs, heavy = system.op.select("j", "i", "w"), _hubs(system.op, size), None
+    if hubs is not None:
+        heavy = materialise(op.join(F.broadcast(hubs), "j", "left_semi").repartition(parts), "heavy")
+        op = op.join(F.broadcast(hubs), "j", "left_anti")
+        cut = 1  # the state is read twice a step, so it is written every step
+    own_rows = to_wide(forcing, nodes, width).select(F.col("i").alias("j"), "i", F.lit(0.0).alias("w"), F.col("x").alias("f"))
+    entries = bucketed(op.withColumn("f", F.lit(None).cast("array<double>")).unionByName(own_rows), "j", parts, "operator")
+    out = []
+    for a in range(0, width, CHUNK):  # few enough columns for one generated aggregation
         own = steps[a : a + CHUNK]
-        width = len(own)
-        pick = lambda v: v.where((F.col("p") >= a) & (F.col("p") < a + width)).select("i", (F.col("p") - a).alias("p"), "v")  # noqa: B023, E731
-        own_rows = to_wide(pick(forcing), nodes, width).select(F.col("i").alias("j"), "i", F.lit(0.0).alias("w"), F.col("x").alias("f"))
-        entries = system.op.select("j", "i", "w", F.lit(None).cast("array<double>").alias("f")).unionByName(own_rows)
-        entries = bucketed(entries, "j", parts, "operator")
-        state = bucketed(to_wide(pick(start), nodes, width), "i", parts, "state")
+        pick = start.where((F.col("p") >= a) & (F.col("p") < a + len(own))).select("i", (F.col("p") - a).alias("p"), "v")
+        state = written = bucketed(to_wide(pick, nodes, len(own)), "i", parts, "state")
         for t in range(1, max(own) + 1):
-            joined = entries.join(state.select(F.col("i").alias("k"), "x"), F.col("j") == F.col("k")).select("i", "w", "f", "x")
+            known = state.select(F.col("i").alias("k"), "x")
+            joined = entries.join(known, F.col("j") == F.col("k")).select("i", "w", "f", "x")
+            if hubs is not None:
+                few = F.broadcast(known.join(F.broadcast(hubs), known["k"] == hubs["j"], "left_semi"))
+                joined = joined.unionByName(heavy.join(few, F.col("j") == F.col("k")).select("i", "w", F.lit(None).cast("array<double>").alias("f"), "x"))
             mine = F.col("f").isNotNull()
             sums = [
-                F.sum(F.col("w") * F.get("x", F.lit(c)) + F.coalesce(F.get("f", F.lit(c)), F.lit(0.0))) if own[c] >= t
+                F.sum(F.col("w") * F.get("x", F.lit(c)) + F.coalesce(F.get("f", F.lit(a + c)), F.lit(0.0))) if own[c] >= t
                 else F.sum(F.when(mine, F.get("x", F.lit(c))))
-                for c in range(width)
+                for c in range(len(own))
             ]
-            state = joined.groupBy("i").agg(*[s.alias(f"c{c}") for c, s in enumerate(sums)]).select("i", F.array(*[f"c{c}" for c in range(width)]).alias("x"))
+            state = joined.groupBy("i").agg(*[x.alias(f"c{c}") for c, x in enumerate(sums)]).select("i", F.array(*[f"c{c}" for c in range(len(own))]).alias("x"))
             if t % cut == 0 and t < max(own):
                 state = bucketed(state, "i", parts, "state", placed=True)
-        part = to_long(state).select("i", (F.col("p") + a).cast("int").alias("p"), "v")
-        out = part if out is None else out.unionByName(part)
+                release(written)
+                written = state
+        out.append((a, state))
+    return out
+
+
+def joined_lanes(chunks: list[tuple[int, DataFrame]]) -> DataFrame:
+    """``(i, x)`` with all columns of ``wide_lanes`` side by side."""
+    out = chunks[0][1]
+    for _, state in chunks[1:]:
+        out = out.join(state.select("i", F.col("x").alias("more")), "i").select("i", F.concat("x", "more").alias("x"))
     return out
 
 
@@ -158,7 +205,9 @@ def csr(op: DataFrame, nodes: DataFrame, most: int = LANE_EDGES) -> tuple[np.nda
     pdf = op.select("i", "j", "w").limit(most + 1).toPandas()
     if len(pdf) > most:
         raise ValueError(f"over {most} entries: the whole operator does not go to every task; use layout 'wide' or 'block'")
-    ids = np.sort(nodes.select("i").toPandas()["i"].to_numpy())
+    ids = np.sort(nodes.select("i").limit(LANE_NODES + 1).toPandas()["i"].to_numpy())
+    if len(ids) > LANE_NODES:
+        raise ValueError(f"over {LANE_NODES} nodes: the state does not go to every task; use layout 'wide' or 'block'")
     row, col = np.searchsorted(ids, pdf["i"].to_numpy()), np.searchsorted(ids, pdf["j"].to_numpy())
     order = np.argsort(row, kind="stable")
     starts = np.searchsorted(row[order], np.arange(len(ids) + 1))
@@ -189,8 +238,8 @@ def _block_of(pdf, ids, cols):
     return x
 
 
-def _run_lane(system, forcing, start, steps, cut, deadline: float | None = None):
-    """One task per group of columns that share a step count; each holds the operator and iterates alone."""
+def _run_lane(system, forcing, start, steps, cut):
+    """One task for every eight columns, in order of their step counts; each holds the operator and iterates alone."""
     spark = system.op.sparkSession
     shared = spark.sparkContext.broadcast(csr(system.op, system.nodes))
     tagged = start.select("i", "p", "v", F.lit(0).alias("kind")).unionByName(forcing.select("i", "p", "v", F.lit(1).alias("kind")))
@@ -209,8 +258,9 @@ def _run_lane(system, forcing, start, steps, cut, deadline: float | None = None)
             x[:, run] = csr_apply(matrix, x[:, run]) + f[:, run]
         return pd.DataFrame({"i": np.repeat(ids, len(cols)), "p": np.tile(np.array(cols, np.int32), len(ids)), "v": x.ravel()})
 
-    grouped = tagged.unionByName(every).withColumn("g", F.floor(F.col("p") / 8))
-    return grouped.groupBy("g").applyInPandas(work, "i long, p int, v double")
+    by_steps = sorted(range(len(steps)), key=lambda c: (limits[c], c))
+    groups = F.broadcast(spark.createDataFrame([(c, n // 8) for n, c in enumerate(by_steps)], "p int, g int"))
+    return tagged.unionByName(every).join(groups, "p").groupBy("g").applyInPandas(work, "i long, p int, v double")
 
 
 def _run_block(system, forcing, start, steps, cut, side: int = 4):
@@ -279,23 +329,27 @@ def lanes_from_snapshots(shots: dict[int, DataFrame], g: np.ndarray, steps: list
     return out
 
 
-def solve_converged(system: AffineSystem, inputs: DataFrame, problems: int, tol: float = 1e-12, most: int = 400, every: int = 20) -> DataFrame:
-    """Iterate from zero until no entry changes by more than ``tol`` in a step."""
+def solve_converged(system: AffineSystem, inputs: DataFrame, problems: int, tol: float = 1e-12, most: int = 2000, every: int = 20) -> DataFrame:
+    """Iterate from zero until no entry changes by more than ``tol`` in a step, or by more than round-off of the
+    largest entry; after ``most`` steps changes of a millionth millionth of that are taken, larger ones are NotConverged."""
     force = materialise(system.forcing(inputs), "forcing")
     state = materialise(force, "truth")
     for _ in range(0, most, every):
-        state = materialise(run_lanes(system, force, state, [every] * problems), "truth")
+        before, state = state, materialise(run_lanes(system, force, state, [every] * problems), "truth")
+        release(before)
         after = run_lanes(system, force, state, [1] * problems)
-        change = state.join(after.withColumnRenamed("v", "n"), ["i", "p"], "full").agg(
-            F.max(F.abs(F.coalesce("v", F.lit(0.0)) - F.coalesce("n", F.lit(0.0)))).alias("d")
-        ).first().d
-        if change is None or change <= tol:
-            break
+        r = state.join(after.withColumnRenamed("v", "n"), ["i", "p"], "full").agg(
+            F.max(F.abs(F.coalesce("v", F.lit(0.0)) - F.coalesce("n", F.lit(0.0)))).alias("d"), F.max(F.abs("v")).alias("top")
+        ).first()
+        if r.d is None or r.d <= max(tol, ROUND_OFF * (r.top or 0.0)):
+            return state
+    if r.d > SLACK * (r.top or 0.0):
+        raise NotConverged(f"entries still change by {r.d} after {most} steps")
     return state
 
 
-def run_until(system: AffineSystem, forcing: DataFrame, start: DataFrame, columns: int, deadline_s: float) -> tuple[DataFrame, DataFrame]:
-    """Iterate each group of columns until the clock passes the deadline: (state, ``(p, steps)``).
+def run_until(system: AffineSystem, forcing: DataFrame, start: DataFrame, columns: int, deadline_s: float) -> LaneResult:
+    """Iterate each group of columns until the clock passes the deadline; the step counts are what came out.
 
     Not reproducible by nature: for timing, not for comparison with SQL. Needs an operator that goes to tasks.
     """
@@ -315,4 +369,5 @@ def run_until(system: AffineSystem, forcing: DataFrame, start: DataFrame, column
         return pd.DataFrame({"i": np.repeat(ids, len(cols)), "p": np.tile(np.array(cols, np.int32), len(ids)), "v": x.ravel(), "steps": t})
 
     out = materialise(tagged.withColumn("g", F.floor(F.col("p") / 8)).groupBy("g").applyInPandas(work, "i long, p int, v double, steps int"), "clock")
-    return out.select("i", "p", "v"), out.select("p", "steps").distinct()
+    made = {r.p: r.steps for r in out.groupBy("p").agg(F.max("steps").alias("steps")).collect()}  # columns
+    return LaneResult(out.select("i", "p", "v"), [made.get(c, 0) for c in range(columns)])

@@ -40,7 +40,7 @@ def error_blocks(system: AffineSystem, inputs: DataFrame, problems: int, most: i
     An operator too large for each task runs on the wide layout.
     """
     spark = system.op.sparkSession
-    if engine.choose_layout(system.op) != "lane":
+    if engine.choose_layout(system.op, system.nodes) != "lane":
         return _wide_error_blocks(system, inputs, problems, most, start_value, tol, converge)
     matrix = csr(system.op, system.nodes)
     shared = spark.sparkContext.broadcast(matrix)
@@ -57,10 +57,11 @@ def error_blocks(system: AffineSystem, inputs: DataFrame, problems: int, most: i
             new = csr_apply(m, x) + f
             if t <= most:
                 kept.append(new)
-            done = t > most and np.abs(new - x).max(initial=0) <= tol
-            x = new
-            if done:
+            change, x = np.abs(new - x).max(initial=0), new
+            if t > most and change <= max(tol, engine.ROUND_OFF * np.abs(x).max(initial=0)):
                 break
+        if change > engine.SLACK * np.abs(x).max(initial=0):
+            raise engine.NotConverged(f"entries still change by {change} after {converge} steps")
         e = np.stack([*(k - x for k in kept), x])
         blocks = range(0, len(m[0]), BLOCK)
         return pd.DataFrame({"b": [a // BLOCK for a in blocks], "g": key[0], "data": [e[:, a : a + BLOCK].tobytes() for a in blocks]})

@@ -34,7 +34,7 @@ def tau_monte_carlo(system: AffineSystem, probes: DataFrame, most: int, layout:
     """
     spark = system.op.sparkSession
     if layout == "auto":
-        layout = "lane" if engine.choose_layout(system.op) == "lane" else "long"
+        layout = "lane" if engine.choose_layout(system.op, system.nodes) == "lane" else "long"
     if layout == "long":
         state, parts = materialise(probes, "probe"), []
         m = max(1, probes.select("p").distinct().count())
@@ -67,7 +67,7 @@ def psi_monte_carlo(system: AffineSystem, probes: DataFrame, most: int) -> DataF
     An operator too large for each task is applied step by step, and the residuals of all steps meet by node and probe.
     """
     spark = system.op.sparkSession
-    if engine.choose_layout(system.op) != "lane":
+    if engine.choose_layout(system.op, system.nodes) != "lane":
         state = materialise(probes.select("i", "p", "v"), "probe")
         m, every = max(1, state.select("p").distinct().count()), state.select("i", "p", "v", F.lit(0).alias("l"))
         for l in range(1, most + 1):

@@ -115,7 +115,7 @@ def test_large_operators_run_without_being_collected(spark, ring, inputs, monkey
     def refuse(*a):
         raise ValueError("collected")
 
-    monkeypatch.setattr(engine, "choose_layout", lambda op: "wide")
+    monkeypatch.setattr(engine, "choose_layout", lambda *a: "wide")
     for module in (engine, scoring, weights):
         monkeypatch.setattr(module, "csr", refuse)
     for got, right in zip(results(), want):
@@ -252,8 +252,65 @@ def test_time_slices_give_the_global_order(spark, small):
 
 def test_clock_deadline(spark, ring, inputs):
     system = systems.restart_walk_system(ring)
-    state, steps = engine.run_until(system, system.forcing(inputs), systems.initial_state(system, [0, 1]), 2, 0.05)
-    assert steps.count() == 2 and steps.agg(F.min("steps")).first()[0] >= 1 and state.count() == 16
+    got = engine.run_until(system, system.forcing(inputs), systems.initial_state(system, [0, 1]), 2, 0.05)
+    assert len(got.steps) == 2 and min(got.steps) >= 1 and got.state.count() == 16
+
+
+def test_caps_are_errors(spark, ring, inputs):
+    system = systems.restart_walk_system(ring)
+    with pytest.raises(engine.NotConverged):
+        engine.solve_converged(system, inputs, 2, tol=0.0, most=20)
+    with pytest.raises(Exception, match="still change"):
+        scoring.error_blocks(system, inputs, 2, 4, converge=10).count()
+
+
+def test_node_and_entry_bounds_choose_the_wide_layout(spark, ring, monkeypatch):
+    system = systems.restart_walk_system(ring)
+    assert engine.choose_layout(system.op, system.nodes) == "lane"
+    assert engine.choose_layout(system.op, system.nodes, most_nodes=7) == engine.choose_layout(system.op, system.nodes, most=16) == "wide"
+    monkeypatch.setattr(engine, "LANE_NODES", 7)
+    with pytest.raises(ValueError, match="nodes"):
+        engine.csr(system.op, system.nodes)
+
+
+def test_hub_columns_are_kept_out_of_buckets(spark, monkeypatch):
+    star = spark.createDataFrame([(a, 0, 1.0) for a in range(1, 30)] + [(0, a, 1.0) for a in range(1, 30)] + [(a, a + 1, 1.0) for a in range(1, 29)], schemas.EDGE)
+    system = systems.restart_walk_system(materialise(star, "star"))
+    r = spark.createDataFrame([(3, 0, 1.0), (0, 1, 1.0), (7, 2, 1.0)], "i long, p int, v double")
+    start, steps = systems.initial_state(system, [0, 1, 2]), [5, 0, 7]
+    want = frame(engine.run_lanes(system, system.forcing(r), start, steps, "lane"))
+    monkeypatch.setattr(engine, "HOT_ENTRIES", 10)
+    monkeypatch.setattr(engine, "MOST_HOT", 1000)
+    monkeypatch.setattr(engine, "CHUNK", 2)
+    assert [x.j for x in engine._hubs(system.op, system.op.count()).collect()] == [0]
+    assert np.allclose(frame(engine.run_lanes(system, system.forcing(r), start, steps, "wide")), want, atol=1e-14)
+
+
+def test_wide_decoding_equals_the_long_one_without_a_shuffle(spark, ring, inputs, monkeypatch):
+    monkeypatch.setattr(engine, "CHUNK", 3)
+    system, g, steps = systems.restart_walk_system(ring), codes.dft_code(5, 2), [4, 1, 6, 3, 2]
+    _, owner = codes.real_columns(g)
+    forcing, start = system.forcing(engine.encode_columns(inputs, g)), engine.encode_columns(systems.initial_state(system, [0, 1]), g)
+    chunks = engine.wide_lanes(system, forcing, start, [steps[q] for q in owner])
+    assert len(chunks) == 3
+    tau = weights.tau_geometric(0.85, 6)
+    lanes = engine.joined_lanes(chunks)
+    got = decode.soft_decode_wide(lanes, g, steps, tau)
+    want = frame(decode.soft_decode(engine.run_lanes(system, forcing, start, [steps[q] for q in owner], "lane"), g, steps, tau))
+    for r in got.collect():
+        assert np.allclose(r.x, want.loc[r.i].to_numpy(), atol=1e-12) and np.abs(r.im_leak).max() < 1
+    stored = materialise(lanes, "lanes")
+    assert "Exchange" not in decode.soft_decode_wide(stored, g, steps, tau)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_slower_lane_of_a_pair_takes_the_conjugate(spark, ring, inputs):
+    system, g, steps = systems.restart_walk_system(ring), codes.dft_code(5, 2), [4, 1, 6, 3, 2]
+    _, owner = codes.real_columns(g)
+    forcing, start = system.forcing(engine.encode_columns(inputs, g)), engine.encode_columns(systems.initial_state(system, [0, 1]), g)
+    run = lambda s: engine.run_lanes(system, forcing, start, [s[q] for q in owner], "lane")
+    state, after = decode.complete_conjugates(run(steps), g, steps)
+    assert after == [4, 2, 6, 6, 2]
+    assert np.allclose(frame(state), frame(run(after)), atol=1e-14)
 
 
 def test_intermediate_tables_are_deleted_and_a_cluster_needs_a_shared_folder(spark, monkeypatch, tmp_path):
