@@ -5,6 +5,9 @@ Operations are multiply-adds counted once each as two; complex codes double what
 
 from __future__ import annotations
 
+import time
+from contextlib import contextmanager
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -47,3 +50,39 @@ def weight_cost(spark, entries: int, n_nodes: int, probes: int, most: int, conve
         ("probe_solves", None, 2.0 * entries * converge * probes), ("tau_sweep", None, 2.0 * entries * most * probes),
         ("psi_products", None, float(probes) * (most + 1) ** 2 * n_nodes),
     ], schemas.COST)
+
+
+class PhaseCounters:
+    """What Spark did in named phases: seconds, stages, tasks, shuffled bytes and task seconds.
+
+        counters = PhaseCounters(spark)
+        with counters.phase("encode"):
+            ...
+        counters.table()
+    """
+
+    def __init__(self, spark):
+        self.spark, self.rows = spark, []
+
+    def _stages(self) -> dict:
+        scala = self.spark._jsc.sc()
+        scala.listenerBus().waitUntilEmpty()  # counters arrive with the events
+        store = scala.statusStore()
+        default = [getattr(store, f"stageList$default${n}")() for n in range(2, 6)]
+        found = store.stageList(None, *default)
+        stages = [found.apply(i) for i in range(found.size())]
+        return {(s.stageId(), s.attemptId()): s for s in stages if s.status().toString() == "COMPLETE"}
+
+    @contextmanager
+    def phase(self, name: str):
+        before, began = set(self._stages()), time.monotonic()
+        yield
+        seconds = time.monotonic() - began
+        new = [s for k, s in self._stages().items() if k not in before]
+        self.rows.append((
+            name, seconds, len(new), sum(s.numCompleteTasks() for s in new), sum(s.shuffleWriteBytes() for s in new),
+            sum(s.inputBytes() for s in new), sum(s.executorRunTime() for s in new) / 1000.0,
+        ))
+
+    def table(self) -> DataFrame:
+        return self.spark.createDataFrame(self.rows, "phase string, seconds double, stages int, tasks int, shuffle_bytes long, input_bytes long, task_seconds double")

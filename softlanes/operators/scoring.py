@@ -15,7 +15,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from softlanes.operators import baselines, codes, decode, engine
+from softlanes.operators import baselines, codes, decode, engine, weights
 from softlanes.operators.engine import _block_of, csr, csr_apply
 from softlanes.operators.systems import AffineSystem
 from softlanes.sources.session import materialise
@@ -106,25 +106,30 @@ def _assembled(pdf: pd.DataFrame, problems: int, marks: int) -> np.ndarray:
 
 
 def moments(blocks: DataFrame, problems: int, most: int, probes: list[int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(tau, tau of own parts, psi of the common part) from the probes' residuals: (most+1) or its square of numbers."""
-    marks = most + 1
+    """(tau, tau of own parts, psi of the common part) from the probes' residuals: (most+1) or its square of numbers.
+
+    Different probes share only the common part, so psi is the mean product of residuals over pairs of different
+    probes, which has no share of the own parts, and those are what is left of tau.
+    """
+    marks, m = most + 1, len(probes)
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         e = _assembled(pdf, problems, marks + 1)[:marks, :, probes]
-        common = e.mean(axis=2)
-        own = e - common[:, :, None]
-        psi = common @ common.T
-        a, b = np.indices(psi.shape)
-        kinds = np.concatenate([np.zeros(marks), np.ones(marks), np.full(psi.size, 2)]).astype(np.int32)
-        value = np.concatenate([(e * e).sum(axis=(1, 2)) / len(probes), (own * own).sum(axis=(1, 2)) / max(1, len(probes) - 1), psi.ravel()])
-        at = np.concatenate([np.arange(marks), np.arange(marks), a.ravel() * marks + b.ravel()])
+        total = e.sum(axis=2)
+        same = np.einsum("anp,bnp->ab", e, e)
+        pairs = (total @ total.T - same) / max(1, m * (m - 1))
+        a, b = np.indices(same.shape)
+        kinds = np.concatenate([np.zeros(marks), np.full(same.size, 1)]).astype(np.int32)
+        value = np.concatenate([np.diag(same) / m, pairs.ravel()])
+        at = np.concatenate([np.arange(marks), a.ravel() * marks + b.ravel()])
         return pd.DataFrame({"kind": kinds, "at": at, "value": value})
 
     rows = blocks.groupBy("b").applyInPandas(work, "kind int, at long, value double").groupBy("kind", "at").agg(F.sum("value").alias("value")).collect()
-    out = [np.zeros(marks), np.zeros(marks), np.zeros(marks * marks)]
+    tau, psi = np.zeros(marks), np.zeros(marks * marks)
     for r in rows:
-        out[r.kind][r.at] = r.value
-    return out[0], out[1], out[2].reshape(marks, marks)
+        (tau, psi)[r.kind][r.at] = r.value
+    psi = weights.nearest_positive(psi.reshape(marks, marks))
+    return tau, np.maximum(tau - np.diag(psi), 1e-6 * tau), psi
 
 
 def score(blocks: DataFrame, problems: int, most: int, plans: list[Plan], names: list[str]) -> DataFrame:

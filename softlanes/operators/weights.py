@@ -118,13 +118,37 @@ def square_of(psi: DataFrame) -> np.ndarray:
     return out
 
 
+def nearest_positive(psi: np.ndarray) -> np.ndarray:
+    """The nearest symmetric matrix without negative eigenvalues: an estimate of moments may have small ones."""
+    value, vector = np.linalg.eigh((psi + psi.T) / 2)
+    return (vector * np.maximum(value, 0.0)) @ vector.T
+
+
+def stationary_weights(system: AffineSystem, own: DataFrame, common: DataFrame, rho: float, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """(own, psi) for problems that mix ``1 - rho`` of their own part with ``rho`` of a common one.
+
+    ``own`` and ``common`` are initial errors ``vec(i, p, v)`` of probes with only one of the parts (``error_probes``).
+    What all own parts share, their mean, counts as common: a draw of the common part is ``rho`` times a common
+    probe plus ``1 - rho`` times that mean. The mean of m probes carries an m-th of their spread, which is taken off.
+    """
+    m = max(2, own.select("p").distinct().count())
+    mean, spread = moments_from_data(own)
+    mixed = common.select("i", "p", F.col("v") * rho).toDF("i", "p", "v")
+    ps = F.broadcast(common.select("p").distinct())
+    shared = mean.select("i", (F.col("v") * (1 - rho)).alias("v")).crossJoin(ps).select("i", "p", "v")
+    draws = materialise(mixed.unionByName(shared).groupBy("i", "p").agg(F.sum("v").alias("v")), "common")
+    left = materialise(spread.select("i", "p", (F.col("v") * ((1 - rho) * (m / (m - 1)) ** 0.5)).alias("v")), "own")
+    cross = square_of(psi_monte_carlo(system, left, most))
+    return np.diag(cross).copy(), nearest_positive(square_of(psi_monte_carlo(system, draws, most)) - cross / m)
+
+
 def tau_variance_bound(b: np.ndarray, steps: int, fourth_moment: float, probes: int) -> float:
     """Upper bound of the variance of the Monte-Carlo estimate: ‖B^l‖_F⁴ E‖a‖⁴ / m."""
     return float(np.linalg.norm(np.linalg.matrix_power(b, steps), "fro") ** 4 * fourth_moment / probes)
 
 
 def moments_from_data(states: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Experimental: common part and own parts estimated from the problems' residuals ``vec(i, p, v)``: (mean over
+    """Common part and own parts estimated from the problems' residuals ``vec(i, p, v)``: (mean over
     problems, deviations from it)."""
     common = states.groupBy("i").agg(F.avg("v").alias("v"))
     own = states.join(common.withColumnRenamed("v", "m"), "i").select("i", "p", (F.col("v") - F.col("m")).alias("v"))

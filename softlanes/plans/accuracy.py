@@ -75,6 +75,10 @@ QUERIES["erasure_or_fail"] = (
     lambda spark, sf_dir: _r9(baselines.erasure_or_fail(coded_lanes(spark, sf_dir, graphs.in_segment(spark, sf_dir, PAIR), codes.parity_code(2), TOY)[0], codes.parity_code(2), TOY, 6)),
     with_(walk_ctes(), select="SELECT i, p::INT AS p, NULL::DOUBLE AS v FROM nodes, range(2) t(p)"),
 )
+QUERIES["erasure_done"] = (  # two of the three lanes are done, which is enough
+    lambda spark, sf_dir: _r9(baselines.erasure_or_fail(coded_lanes(spark, sf_dir, graphs.in_segment(spark, sf_dir, PAIR), codes.parity_code(2), TOY)[0], codes.parity_code(2), TOY, 4)),
+    with_(*_TOY, _WIDE, select="SELECT i, 0 AS p, round(y0, 9) AS v FROM wide UNION ALL SELECT i, 1, round(y2 - y0, 9) FROM wide"),
+)
 
 
 # ---- errors of schemes on the toy: two problems, three lanes
@@ -122,10 +126,11 @@ def _profile_ctes(steps, tag=""):
     ]
 
 
-def _toy_ctes():
-    plain = ranking_start(graphs.segment_sql(PAIR))
-    coded = [x.replace("r AS", "rc AS", 1).replace("f AS", "fz AS", 1).replace("s0 AS", "z0 AS", 1).replace("FROM r JOIN", "FROM rc r JOIN") for x in coded_start(graphs.segment_sql(PAIR), parity_gen(2))]
-    return [*walk_ctes(), *plain, *unroll(TRUTH), *coded]
+def _toy_ctes(own: str | None = None, graph: str = "purchase"):
+    own = own or graphs.segment_sql(PAIR)
+    plain = ranking_start(own)
+    coded = [x.replace("r AS", "rc AS", 1).replace("f AS", "fz AS", 1).replace("s0 AS", "z0 AS", 1).replace("FROM r JOIN", "FROM rc r JOIN") for x in coded_start(own, parity_gen(2))]
+    return [*walk_ctes(graph), *plain, *unroll(TRUTH), *coded]
 
 
 def _coded_unroll(most):

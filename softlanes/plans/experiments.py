@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import time
 from functools import reduce
 
 import numpy as np
@@ -10,9 +9,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from softlanes.functions.hashing import hash_uniform
-from softlanes.operators import codes, decode, engine, metrics, scoring, systems, theory, weights
+from softlanes.operators import codes, cost, decode, engine, metrics, scoring, systems, theory, weights
 from softlanes.operators.stragglers import draw_steps
-from softlanes.plans import ranking
+from softlanes.plans import accuracy, ranking, sqlgen
 from softlanes.sources import graphs
 from softlanes.sources.session import materialise
 from softlanes.sources.tables import load
@@ -38,17 +37,14 @@ class Bench:
         return scoring.score(self.blocks, self.problems, self.most, plans, names)
 
     def scores(self, plans, names) -> DataFrame:
-        by = [n for n in names if n != "draw"]
-        draw = self.profile(plans, names).groupBy(*names).agg(F.avg("sse").alias("mse"))
-        return draw.groupBy(*by).agg(F.avg("mse").alias("mse_problem"), F.median("mse").alias("median_mse"), (F.avg("mse") / self.n_nodes).alias("mse_entry"))
+        return mean_scores(self.profile(plans, names), names, self.n_nodes)
 
 
-def taste(spark, sf_dir, k):
-    """Tastes of the first customers that have orders, numbered 0..k-1."""
-    t = materialise(graphs.in_taste(spark, sf_dir, k + 5), "taste")
-    found = sorted(r.p for r in t.select("p").distinct().collect())[:k]  # parameter-sized
-    number = spark.createDataFrame([(p, n) for n, p in enumerate(found)], "p int, n int")
-    return t.join(F.broadcast(number), "p").select("i", F.col("n").alias("p"), "v")
+def mean_scores(profile: DataFrame, names: list[str], n_nodes: int) -> DataFrame:
+    """Mean and median over draws of the error for each problem, and its mean for each entry."""
+    by = [n for n in names if n != "draw"]
+    draw = profile.groupBy(*names).agg(F.avg("sse").alias("mse"))
+    return draw.groupBy(*by).agg(F.avg("mse").alias("mse_problem"), F.median("mse").alias("median_mse"), (F.avg("mse") / n_nodes).alias("mse_entry"))
 
 
 def supply_bench(spark, sf_dir, k=100, most=40):
@@ -57,7 +53,7 @@ def supply_bench(spark, sf_dir, k=100, most=40):
 
 
 def purchase_bench(spark, sf_dir, k=100, most=40):
-    return Bench(spark, ranking.walk(spark, sf_dir), taste(spark, sf_dir, k + PROBES), k, most)
+    return Bench(spark, ranking.walk(spark, sf_dir), materialise(graphs.in_taste(spark, sf_dir, k + PROBES), "taste"), k, most)
 
 
 def random_bench(spark, k=200, most=20):
@@ -90,8 +86,8 @@ def x3(spark, sf_dir):
 
 
 def x4(spark, sf_dir):
-    """Four code families."""
-    bench = purchase_bench(spark, sf_dir, most=20)
+    """Four code families, smaller graph."""
+    bench = supply_bench(spark, sf_dir, most=20)
     plans = []
     for name, make in FAMILIES.items():
         g = make(120, 100)
@@ -101,19 +97,25 @@ def x4(spark, sf_dir):
 
 
 def x5(spark, sf_dir):
-    """Correlated inputs: the plain decoder and the one for a common part."""
-    system = ranking.walk(spark, sf_dir)
-    g, out = codes.dft_code(120, 100), []
+    """Correlated inputs, smaller graph: the plain decoder and the one for a common part, whose cross moments come from
+    probes of the common part alone."""
+    system, k, most = ranking.walk(spark, sf_dir, "supply"), 100, 20
+    tastes = materialise(graphs.in_taste(spark, sf_dir, k + PROBES), "taste")
+    topics = materialise(graphs.in_topics(spark, sf_dir, 1 + PROBES), "topics")
+    probe = lambda inputs, first: inputs.where(F.col("p") >= first).select("i", (F.col("p") - first).alias("p"), "v")
+    own = materialise(weights.error_probes(system, probe(tastes, k), PROBES), "own-probes")
+    common = materialise(weights.error_probes(system, probe(topics, 1), PROBES), "common-probes")
+    every = F.broadcast(spark.range(k).select(F.col("id").cast("int").alias("q")))
+    topic = topics.where("p = 0").crossJoin(every).select("i", F.col("q").alias("p"), "v")  # the batch's own topic
+    g, out = codes.dft_code(120, k), []
     for rho in (0.0, 0.5, 0.8):
-        own = taste(spark, sf_dir, 100 + PROBES)
-        _, popular = graphs.in_common(spark, sf_dir, rho, 1)
-        spread = popular.crossJoin(F.broadcast(spark.range(100 + PROBES).select(F.col("id").cast("int").alias("q")))).select("i", F.col("q").alias("p"), (F.col("v") * rho).alias("v"))
-        mixed = own.select("i", "p", (F.col("v") * (1 - rho)).alias("v")).unionByName(spread).groupBy("i", "p").agg(F.sum("v").alias("v"))
-        bench = Bench(spark, system, mixed, 100, 20)
-        plans = []
+        mixed = tastes.where(F.col("p") < k).withColumn("v", F.col("v") * (1 - rho)).unionByName(topic.withColumn("v", F.col("v") * rho)).groupBy("i", "p").agg(F.sum("v").alias("v"))
+        blocks = scoring.error_blocks(system, mixed, k, most)
+        spread, psi = weights.stationary_weights(system, own, common, rho, most)
+        tau, plans = spread + np.diag(psi), []
         for d in range(3):
-            plans += scoring.scheme_plans(g, draw_steps("uniform", 120, 100 + d), bench.tau, (rho, d), ("uncoded", "soft", "soft_correlated"), bench.own, bench.psi)
-        out.append(bench.scores(plans, ["scheme", "rho", "draw"]))
+            plans += scoring.scheme_plans(g, draw_steps("uniform", 120, 100 + d), tau, (rho, d), ("uncoded", "twins_best", "soft", "soft_correlated"), spread, psi)
+        out.append(mean_scores(scoring.score(blocks, k, most, plans, ["scheme", "rho", "draw"]), ["scheme", "rho", "draw"], system.nodes.count()))
     return reduce(lambda a, b: a.unionByName(b), out)
 
 
@@ -147,23 +149,46 @@ def x8(spark, sf_dir):
         F.round(F.regr_r2("n", "s"), 6).alias("r2"), F.round(F.regr_slope("n", "s") * 86400, 6).alias("per_day"))
 
 
-def x9(spark, sf_dir):
-    """Seconds to encode, iterate and decode 12 lanes on the larger graph: timings, not reproducible values."""
-    g = codes.dft_code(12, 10)
-    inputs = taste(spark, sf_dir, 10)
-    system = ranking.walk(spark, sf_dir)
-    marks = [time.monotonic()]
-    forcing = materialise(system.forcing(engine.encode_columns(inputs, g)), "forcing")
-    start = materialise(engine.encode_columns(systems.initial_state(system, list(range(10))), g), "start")
-    marks.append(time.monotonic())
+def x9(spark, sf_dir, n: int = 12, k: int = 10):
+    """Time and Spark's counters of encoding, iterating and decoding ``n`` lanes on the larger graph: not reproducible."""
+    g = codes.dft_code(n, k)
+    inputs = materialise(graphs.in_taste(spark, sf_dir, k), "taste")
+    system, counters = ranking.walk(spark, sf_dir), cost.PhaseCounters(spark)
+    with counters.phase("encode"):
+        forcing = materialise(system.forcing(engine.encode_columns(inputs, g)), "forcing")
+        start = materialise(engine.encode_columns(systems.initial_state(system, list(range(k))), g), "start")
     _, owner = codes.real_columns(g)
-    steps = draw_steps("uniform", 12, 100).tolist()
-    state = materialise(engine.run_lanes(system, forcing, start, [steps[q] for q in owner]), "lanes")
-    marks.append(time.monotonic())
-    materialise(decode.soft_decode(state, g, steps, weights.tau_geometric(0.85, 20)), "decoded")
-    marks.append(time.monotonic())
-    rows = [(n, b - a) for n, a, b in zip(["encode", "iterate", "decode"], marks, marks[1:])]
-    return spark.createDataFrame(rows, "phase string, seconds double")
+    steps = draw_steps("uniform", n, 100).tolist()
+    with counters.phase("iterate"):
+        state = materialise(engine.run_lanes(system, forcing, start, [steps[q] for q in owner]), "lanes")
+    with counters.phase("decode"):
+        materialise(decode.soft_decode(state, g, steps, weights.tau_geometric(0.85, 20)), "decoded")
+    return counters.table()
+
+
+def x16(spark, sf_dir, deadline_s: float = 3.0, n: int = 12, k: int = 10):
+    """A run against the clock: lanes iterate on the larger graph until the deadline, then what they have is decoded.
+    Steps of the slowest and fastest lane, and how much of the time went into encoding and decoding: not reproducible."""
+    g = codes.dft_code(n, k)
+    inputs = materialise(graphs.in_taste(spark, sf_dir, k), "taste")
+    system, counters = ranking.walk(spark, sf_dir), cost.PhaseCounters(spark)
+    with counters.phase("encode"):
+        forcing = materialise(system.forcing(engine.encode_columns(inputs, g)), "forcing")
+        start = materialise(engine.encode_columns(systems.initial_state(system, list(range(k))), g), "start")
+    m, owner = codes.real_columns(g)
+    with counters.phase("iterate"):
+        ran = engine.run_until(system, forcing, start, m.shape[1], deadline_s)
+    steps = [min(s for s, o in zip(ran.steps, owner) if o == q) for q in range(n)]
+    with counters.phase("decode"):
+        found = materialise(decode.soft_decode(ran.state, g, steps, weights.tau_geometric(0.85, max(steps))), "decoded")
+    truth = engine.solve_converged(system, inputs, k)
+    error = metrics.per_problem(found, truth).agg(F.avg("sse")).first()[0]
+    seconds = {r[0]: r[1] for r in counters.rows}
+    share = (seconds["encode"] + seconds["decode"]) / sum(seconds.values())
+    updates = system.op.count() * sum(ran.steps)
+    row = (deadline_s, min(steps), max(steps), seconds["encode"], seconds["iterate"], seconds["decode"], share, updates / seconds["iterate"], error)
+    return spark.createDataFrame([row], "deadline_s double, fewest_steps int, most_steps int, encode_s double, iterate_s double, decode_s double, "
+                                 "overhead_share double, edge_updates_per_s double, mse_problem double")
 
 
 def x11(spark, sf_dir):
@@ -181,14 +206,14 @@ def x11(spark, sf_dir):
 
 
 def x12(spark, sf_dir):
-    """Exponents: measured slopes of the error over the deadline beside the predicted ones."""
-    bench = purchase_bench(spark, sf_dir, k=20, most=60)
-    speeds = np.array([1 + 0.5 * -np.log1p(-u) for u in [_u(q) for q in range(24)]])
+    """Exponents: measured slopes of the error over the deadline beside the predicted ones, 100 problems on 120 lanes."""
+    bench = purchase_bench(spark, sf_dir, most=60)
+    speeds = np.array([1 + 0.5 * -np.log1p(-u) for u in [_u(q) for q in range(120)]])
     plans = []
     for t in (10.0, 20.0, 30.0, 40.0, 50.0, 60.0):
-        plans += scoring.scheme_plans(codes.dft_code(24, 20), np.ceil(t / speeds).astype(int), bench.tau, (t,), ("uncoded", "twins_best", "soft"))
+        plans += scoring.scheme_plans(codes.dft_code(120, 100), np.ceil(t / speeds).astype(int), bench.tau, (t,), ("uncoded", "twins_best", "soft"))
     curve = bench.profile(plans, ["scheme", "deadline"]).groupBy("scheme", "deadline").agg(F.avg("sse").alias("mse"))
-    coded, plain = theory.error_exponents(speeds, 24, 20, 0.85)
+    coded, plain = theory.error_exponents(speeds, 120, 100, 0.85)
     predicted = spark.createDataFrame([("soft", coded), ("uncoded", plain), ("twins_best", plain)], "scheme string, predicted double")
     return metrics.measured_exponent(curve, "scheme").join(predicted, "scheme")
 
@@ -199,40 +224,45 @@ def _u(q, seed=77):
     return hash_uniform_value(q, seed)
 
 
-def x13(spark, sf_dir):
-    """Gain of each spare lane as lanes grow, against the limit and against what replication can save."""
+def x13(spark, sf_dir, draws: int = 40):
+    """Gain of each spare lane as lanes grow, against the limit and against what replication can save; draws are tasks."""
     law = np.zeros(21)
     law[5], law[20] = 0.1, 0.9
     tau = weights.tau_geometric(0.85, 20)
     value = tau[[5, 20]]
-    rng = np.random.default_rng(4)
-    rows = []
-    for n in (32, 64, 128, 256, 512):
-        spare = int(n**0.4)
-        k = n - spare
-        h = np.exp(-2j * np.pi * np.outer(np.arange(k, n), np.arange(n)) / n) / np.sqrt(n)
-        gains = []
-        for _ in range(40):
-            w = rng.choice(value, size=n, p=[0.1, 0.9])
-            j4 = (h * w) @ h.conj().T
-            cross = (h * w**2) @ h.conj().T - j4 @ j4
-            gains.append(float(np.trace(np.linalg.solve(j4, cross)).real) / spare)
-        rows.append((n, k, float(np.mean(gains)), theory.asymptotic_gain(tau, law), float(law @ tau), theory.heavy_tail_rho(tau, law)))
-    return spark.createDataFrame(rows, "n int, k int, gain_per_spare double, limit double, replication_at_most double, rho double")
+
+    def work(batches):
+        for pdf in batches:
+            gains = []
+            for n, d in zip(pdf["n"], pdf["draw"]):
+                spare = int(n**0.4)
+                h = np.exp(-2j * np.pi * np.outer(np.arange(n - spare, n), np.arange(n)) / n) / np.sqrt(n)
+                w = np.random.default_rng([4, n, d]).choice(value, size=n, p=[0.1, 0.9])
+                j4 = (h * w) @ h.conj().T
+                gains.append(float(np.trace(np.linalg.solve(j4, (h * w**2) @ h.conj().T - j4 @ j4)).real) / spare)
+            yield pdf.assign(gain=gains)[["n", "gain"]]
+
+    sizes = [32, 64, 128, 256, 512, 1024]
+    every = spark.createDataFrame([(n, d) for n in sizes for d in range(draws)], "n int, draw int").repartition(2 * len(sizes), "n", "draw")
+    known = spark.createDataFrame([(n, n - int(n**0.4), theory.asymptotic_gain(tau, law), float(law @ tau), theory.heavy_tail_rho(tau, law)) for n in sizes],
+                                  "n int, k int, limit double, replication_at_most double, rho double")
+    gains = every.mapInPandas(work, "n int, gain double").groupBy("n").agg(F.avg("gain").alias("gain_per_spare"))
+    return gains.join(F.broadcast(known), "n").select("n", "k", "gain_per_spare", "limit", "replication_at_most", "rho")
 
 
 def x14(spark, sf_dir):
-    """Monte-Carlo weights against exact ones: error by number of probes."""
-    system = systems.restart_walk_system(graphs.nation_trade(spark, sf_dir), weighted=True)
+    """Monte-Carlo weights against exact ones on the transition graph: error by number of probes, and its bound."""
+    system = ranking.walk(spark, sf_dir, "transition")
     _, b = systems.dense(system.op)
-    system = systems.AffineSystem(materialise(system.op, "op"), system.drive, materialise(system.nodes, "nodes"))
-    exact = weights.tau_exact(b, np.eye(len(b)) / 12, 3)
+    n = len(b)
+    exact = weights.tau_exact(b, np.eye(n) / 12, 3)
+    fourth = n / 80 + n * (n - 1) / 144  # mean fourth power of the norm of n uniforms on (-1/2, 1/2)
     out = []
     for m in (1, 10, 100):
         ps = F.broadcast(spark.range(m).select(F.col("id").cast("int").alias("p")))
         probes = system.nodes.crossJoin(ps).select("i", "p", (hash_uniform(F.col("i"), F.col("p"), 9) - 0.5).alias("v"))
         got = weights.table_of(weights.tau_monte_carlo(system, probes, 3))
-        out += [(m, l, float(got[l]), float(exact[l]), weights.tau_variance_bound(b, l, (len(b) / 12) ** 2 * 1.2, m)) for l in range(4)]
+        out += [(m, l, float(got[l]), float(exact[l]), weights.tau_variance_bound(b, l, fourth, m)) for l in range(4)]
     return spark.createDataFrame(out, "probes int, l int, value double, exact double, variance_bound double")
 
 
@@ -246,10 +276,40 @@ def x15(spark, sf_dir):
     return bench.scores(plans, ["scheme", "p_slow", "draw"])
 
 
+# ---- the same schemes on two problems and three lanes, where SQL can follow every one of them
+
+def toy_scores(spark, sf_dir, sets: dict[str, list[int]], graph: str = "purchase"):
+    """``(setting, scheme, log_mse)`` of each set of step counts, by the scoring that the experiments use."""
+    system = ranking.walk(spark, sf_dir, graph)
+    inputs = materialise(graphs.in_segment(spark, sf_dir, ranking.PAIR) if graph == "purchase" else graphs.in_taste(spark, sf_dir, 2), "inputs")
+    most = max(map(max, sets.values()))
+    blocks = scoring.error_blocks(system, inputs, 2, most)
+    tau, g, plans = weights.tau_geometric(ranking.RHO, most), codes.parity_code(2), []
+    for name, steps in sets.items():
+        plans += scoring.scheme_plans(g, np.array(steps), tau, (name,))
+    profile = scoring.score(blocks, 2, most, plans, ["scheme", "setting"])
+    return profile.groupBy("setting", "scheme").agg(F.round(F.log10(F.avg("sse")), 6).alias("log_mse"))
+
+
+def toy_sql(sets: dict[str, list[int]], graph: str = "purchase") -> str:
+    own = graphs.segment_sql(ranking.PAIR) if graph == "purchase" else graphs.taste_sql(2)
+    parts = [accuracy._profile_ctes(steps, f"_{n}") for n, steps in enumerate(sets.values())]
+    rows = [f"SELECT '{name}' AS setting, scheme, round(log10(avg(sse)), 6) AS log_mse FROM prof_{n} GROUP BY 2" for n, name in enumerate(sets)]
+    return sqlgen.with_(accuracy._toy_ctes(own, graph), accuracy._coded_unroll(max(map(max, sets.values()))), *parts, select=" UNION ALL ".join(rows))
+
+
+_LANE_SPEEDS = [1.5, 3.0, 1.0]
+TOYS = {
+    "x1_toy_deadlines_smaller": ({f"deadline {t}": [int(np.ceil(t / v)) for v in _LANE_SPEEDS] for t in (6, 12, 18)}, "supply"),
+    "x3_toy_fastest_k": ({f"draw {d}": draw_steps("uniform", 3, 100 + d).tolist() for d in range(4)}, "purchase"),
+    "x7_toy_laws": ({law: draw_steps(law, 3, 100, 10.0).tolist() for law in ("exponential", "uniform", "two_point")}, "purchase"),
+    "x15_toy_degradation": ({f"{slow} slow": [5] * slow + [20] * (3 - slow) for slow in range(4)}, "purchase"),
+}
 X8_SQL = """WITH c AS (SELECT user_id, epoch_us(ts) / 1e6 - 1704067200.0 AS s, (count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING))::DOUBLE AS n FROM events)
     SELECT user_id, round(regr_r2(n, s), 6) AS r2, round(regr_slope(n, s) * 86400, 6) AS per_day FROM c GROUP BY 1"""
 QUERIES = {
     "x1_deadline_smaller": (x1, None), "x2_deadline_larger": (x2, None), "x3_fastest_k": (x3, None), "x4_codes": (x4, None), "x5_correlated": (x5, None),
     "x6_profile": (x6, None), "x7_laws": (x7, None), "x8_speed": (x8, X8_SQL), "x9_overhead": (x9, None), "x11_ridge": (x11, None),
-    "x12_exponents": (x12, None), "x13_heavy_tail": (x13, None), "x14_tau_quality": (x14, None), "x15_degradation": (x15, None),
+    "x16_clock": (x16, None), "x12_exponents": (x12, None), "x13_heavy_tail": (x13, None), "x14_tau_quality": (x14, None), "x15_degradation": (x15, None),
 }
+QUERIES |= {name: (lambda spark, sf_dir, a=args: toy_scores(spark, sf_dir, *a), toy_sql(*args)) for name, args in TOYS.items()}

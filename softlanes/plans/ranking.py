@@ -63,15 +63,39 @@ QUERIES["restart_nation_5"] = (
 )
 
 
+TASTES = 100
+
+
 def restart_taste(spark, sf_dir):
-    taste = materialise(graphs.in_taste(spark, sf_dir, 40), "taste")
-    ps = sorted(r.p for r in taste.select("p").distinct().collect())  # at most 40
+    """The batch of the experiments: 100 customers' tastes."""
+    taste = materialise(graphs.in_taste(spark, sf_dir, TASTES), "taste")
     system = walk(spark, sf_dir)
-    return _r9(engine.run_lanes(system, system.forcing(taste), systems.initial_state(system, ps), [5] * 40, "auto").join(
-        F.broadcast(spark.createDataFrame([(p,) for p in ps], "p int")), "p").select("i", "p", "v"))
+    return _r9(engine.run_lanes(system, system.forcing(taste), systems.initial_state(system, list(range(TASTES))), [5] * TASTES, "auto"))
+
 
+QUERIES["restart_taste_5"] = (restart_taste, with_(walk_ctes(), ranking_start(graphs.taste_sql(TASTES)), unroll(5), select=sqlgen.ROUND9.format("s5")))
 
-QUERIES["restart_taste_5"] = (restart_taste, with_(walk_ctes(), ranking_start(graphs.taste_sql(40)), unroll(5), select=sqlgen.ROUND9.format("s5")))
+
+def soft_decode_many(spark, sf_dir):
+    """100 problems on 120 lanes of a Fourier code by the distributed path, all lanes stopped at four steps: the decode
+    must give the problems' own iterates."""
+    g, steps = codes.dft_code(120, TASTES), [4] * 120
+    taste = materialise(graphs.in_taste(spark, sf_dir, TASTES), "taste")
+    system = walk(spark, sf_dir)
+    forcing = engine.encode_columns(taste, g)
+    start = engine.encode_columns(systems.initial_state(system, list(range(TASTES))), g)
+    _, owner = codes.real_columns(g)
+    chunks = engine.wide_lanes(system, materialise(system.forcing(forcing), "forcing"), materialise(start, "start"), [steps[q] for q in owner])
+    found = decode.soft_decode_wide(engine.joined_lanes(chunks), g, steps, weights.tau_geometric(0.85, 4))
+    rows = found.select("i", F.posexplode("x").alias("p", "v"))
+    return rows.groupBy("p").agg(F.count("*").alias("n"), F.round(F.sum("v"), 9).alias("total"), F.round(F.sum(F.col("v") * F.col("v")) * 1e3, 9).alias("square"),
+                                 F.round(F.sum(F.col("v") * F.pmod("i", F.lit(97))), 7).alias("mixed"))
+
+
+QUERIES["soft_decode_dft_120_100"] = (soft_decode_many, with_(
+    walk_ctes(), ranking_start(graphs.taste_sql(TASTES)), unroll(4),
+    select="SELECT p, count(*) AS n, round(sum(v), 9) AS total, round(sum(v * v) * 1e3, 9) AS square, round(sum(v * (i % 97)), 7) AS mixed FROM s4 GROUP BY p",
+))
 
 
 def restart_converged(spark, sf_dir):

@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from softlanes.functions.hashing import hash_uniform_sql
-from softlanes.operators import codes, cost, stragglers, theory
+from softlanes.operators import codes, cost, decode, stragglers, theory
 from softlanes.operators.encode_views import dft_gram, dft_table
 from softlanes.operators.systems import nodes_of, normalise_columns
 from softlanes.operators.weights import tau_geometric
@@ -159,6 +159,29 @@ QUERIES["bound_schur_one_spare"] = (
     f"""WITH m AS (SELECT avg(tau) AS m1, avg(tau * tau) AS m2 FROM {_tau_steps(6, 23)}), b AS (SELECT 5 * m1 - (m2 - m1 * m1) / m1 AS v FROM m)
     SELECT 'schur' AS name, round(v, 9) AS value FROM b UNION ALL SELECT 'direct', round(v, 9) FROM b""",
 )
+# Inputs with a common part, parity code: sigma times the own weights, plus u uT with u = (G'alpha) * rho^l.
+_ALPHA, _BETA, _STOPS = (1.0, 0.5), (2.0, 1.0), (4, 2, 6)
+
+
+def _scaled_weights() -> np.ndarray:
+    own, l = tau_geometric(RHO, 6), np.array(_STOPS)
+    return decode.correlated_weights(codes.parity_code(2), own[l], 0.3 * RHO ** (l[:, None] + l[None, :]), _ALPHA, _BETA)
+
+
+_SCALED_SQL = f"""l AS (SELECT * FROM (VALUES (0, {_STOPS[0]}, {_ALPHA[0]}), (1, {_STOPS[1]}, {_ALPHA[1]}), (2, {_STOPS[2]}, {_ALPHA[0] + _ALPHA[1]})) t(q, l, h)),
+    b AS (SELECT pow({_BETA[0]}, 2) AS x, pow({_BETA[1]}, 2) AS y), s AS (SELECT x + y + sqrt(pow(x - y, 2) + x * y) AS sigma FROM b),
+    w AS (SELECT q, sigma * pow({RHO}, 2.0 * l) AS d, sqrt(0.3) * h * pow({RHO}, l) AS u FROM l, s)"""
+QUERIES["weights_scaled_common"] = (
+    lambda spark, sf_dir: spark.createDataFrame([(a, b, float(v)) for (a, b), v in np.ndenumerate(_scaled_weights())], "a int, b int, v double").select("a", "b", F.round("v", 9).alias("v")),
+    f"WITH {_SCALED_SQL} SELECT m.q::INT AS a, n.q::INT AS b, round(m.u * n.u + CASE WHEN m.q = n.q THEN m.d ELSE 0 END, 9) AS v FROM w m, w n",
+)
+QUERIES["bound_correlated"] = (
+    lambda spark, sf_dir: _row(spark, ("correlated", theory.coded_bound_correlated(codes.parity_code(2), _scaled_weights()))),
+    f"""WITH {_SCALED_SQL}, c AS (SELECT 1 + sum(u * u / d) AS c FROM w),
+    inv AS (SELECT m.q AS a, n.q AS b, (CASE WHEN m.q = n.q THEN 1 / m.d ELSE 0 END) - m.u * n.u / (m.d * n.d * c) AS v FROM w m, w n, c),
+    e AS (SELECT sum(v) FILTER (a IN (0, 2) AND b IN (0, 2)) AS p, sum(v) FILTER (a IN (1, 2) AND b IN (1, 2)) AS s, sum(v) FILTER (a IN (0, 2) AND b IN (1, 2)) AS r FROM inv)
+    SELECT 'correlated' AS name, round((p + s) / (p * s - r * r), 9) AS value FROM e""",
+)
 _LAW = f"(SELECT l, power({RHO}, 2.0 * l) AS tau FROM range(1, 21) t(l))"
 QUERIES["replication_floor"] = (
     lambda spark, sf_dir: _row(spark, ("floor", theory.replication_lower_bound(tau_geometric(RHO, 20), _UNIFORM, 120, 100))),

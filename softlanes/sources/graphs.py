@@ -196,11 +196,18 @@ def in_nation(spark, sf_dir) -> DataFrame:
 
 
 def in_taste(spark, sf_dir, k: int = 100) -> DataFrame:
-    """Restart on the parts a customer bought, by quantity; the first ``k`` customers with orders are the problems' numbers."""
-    bought = _purchases(spark, sf_dir).where(F.col("o_custkey") < k).groupBy(
-        (F.col("l_partkey") * 2 + 1).alias("i"), F.col("o_custkey").cast("int").alias("p")
-    ).agg(F.sum("l_quantity").alias("v"))
-    return share(bought)
+    """Restart on the parts a customer bought, by quantity; the first ``k`` customers with orders are the problems, in order."""
+    bought = _purchases(spark, sf_dir)
+    found = bought.select("o_custkey").distinct().orderBy("o_custkey").limit(k).collect()  # the batch of problems
+    number = F.broadcast(spark.createDataFrame([(r.o_custkey, n) for n, r in enumerate(found)], "o_custkey long, p int"))
+    return share(bought.join(number, "o_custkey").groupBy((F.col("l_partkey") * 2 + 1).alias("i"), "p").agg(F.sum("l_quantity").alias("v")))
+
+
+def in_topics(spark, sf_dir, m: int) -> DataFrame:
+    """Popularity of parts in ``m`` separate shares of all orders, by hash of the order: draws of a common topic."""
+    sold = load(spark, sf_dir, "lineitem", "l_orderkey", "l_partkey", "l_quantity")
+    topic = F.floor(hash_uniform(F.col("l_orderkey"), F.lit(0), 13) * m).cast("int")
+    return share(sold.groupBy((F.col("l_partkey") * 2 + 1).alias("i"), topic.alias("p")).agg(F.sum("l_quantity").alias("v")))
 
 
 def in_common(spark, sf_dir, rho: float, k: int = 100) -> tuple[DataFrame, DataFrame]:
@@ -246,5 +253,6 @@ NATION_SQL = "SELECT c_custkey * 2 AS i, c_nationkey::INT AS p, 1.0 / count(*) O
 
 
 def taste_sql(k: int = 100) -> str:
-    return f"""SELECT i, p, v / sum(v) OVER (PARTITION BY p) AS v FROM (SELECT l_partkey * 2 + 1 AS i, o_custkey::INT AS p, sum(l_quantity) AS v
-        FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE o_custkey < {k} GROUP BY 1, 2)"""
+    return f"""SELECT i, p, v / sum(v) OVER (PARTITION BY p) AS v FROM (SELECT l_partkey * 2 + 1 AS i, p::INT AS p, sum(l_quantity) AS v
+        FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN (SELECT o_custkey, rank() OVER (ORDER BY o_custkey) - 1 AS p
+        FROM (SELECT DISTINCT o_custkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey)) USING (o_custkey) WHERE p < {k} GROUP BY 1, 2)"""
