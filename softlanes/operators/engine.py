@@ -172,7 +172,7 @@ def wide_lanes(system: AffineSystem, forcing: DataFrame, start: DataFrame, steps
         pick = start.where((F.col("p") >= a) & (F.col("p") < a + len(own))).select("i", (F.col("p") - a).alias("p"), "v")
         state = written = bucketed(to_wide(pick, nodes, len(own)), "i", parts, "state")
         for t in range(1, max(own) + 1):
-            known = state.select(F.col("i").alias("k"), "x")
+            known = state.select(F.col("i").alias("k"), "x").hint("shuffle_hash")  # a bucket of the state is small; the operator is not sorted
             joined = entries.join(known, F.col("j") == F.col("k")).select("i", "w", "f", "x")
             if hubs is not None:
                 few = F.broadcast(known.join(F.broadcast(hubs), known["k"] == hubs["j"], "left_semi"))

@@ -94,21 +94,30 @@ def stream_static_join(spark, sf_dir):
     return run_once(s, "append").select("event_id", "value")
 
 
+KEPT_BEATS = 4096
+STEPS_STATE = "done long, floor long, recent binary"
+
+
 def count_steps(key, batches, state):
-    """Stateful counter of one lane: distinct beats seen so far; the state is a count and the last beat's number."""
-    done, last = state.get if state.exists else (0, -1)
+    """Stateful counter of one lane: distinct beats seen so far, in whatever order they come.
+
+    The state is the count and the last ``KEPT_BEATS`` beat numbers; a beat older than all of those counts as a repeat.
+    """
+    done, floor, recent = state.get if state.exists else (0, -1, b"")
+    seen = np.frombuffer(bytes(recent), np.int64)
     for pdf in batches:
-        ids = np.unique(pdf["event_id"].to_numpy())
-        ids = ids[ids > last]
-        if len(ids):
-            done, last = done + len(ids), int(ids[-1])
-    state.update((int(done), int(last)))
+        ids = np.unique(pdf["event_id"].to_numpy().astype(np.int64))
+        new = np.setdiff1d(ids[ids > floor], seen, assume_unique=True)
+        done, seen = done + len(new), np.union1d(seen, new)
+    if len(seen) > KEPT_BEATS:
+        floor, seen = int(seen[-KEPT_BEATS - 1]), seen[-KEPT_BEATS:]
+    state.update((int(done), int(floor), seen.astype(np.int64).tobytes()))
     yield pd.DataFrame({"q": [key[0]], "steps": [int(done)]})
 
 
 def stream_stateful_steps(spark, sf_dir):
-    """Lane step counts by custom state: beats come numbered, and repeats of a number do not count."""
-    s = beats(spark, sf_dir).groupBy("user_id").applyInPandasWithState(count_steps, "q int, steps int", "done long, last long", "update", "NoTimeout")
+    """Lane step counts by custom state: beats come numbered, late ones count, repeats of a number do not."""
+    s = beats(spark, sf_dir).groupBy("user_id").applyInPandasWithState(count_steps, "q int, steps int", STEPS_STATE, "update", "NoTimeout")
     return latest(run_once(s, "update"), "q")
 
 
@@ -138,7 +147,7 @@ class AnytimeDecoder:
 
 
 def stream_anytime_decode(spark, sf_dir):
-    """Estimates after the beats of two weeks, one file each: error of the decode after each trigger."""
+    """Estimates as all beats of the lanes come in, three files of them: error of the decode after each trigger."""
     from softlanes.operators import codes, engine, metrics, systems
     from softlanes.plans.ranking import PAIR, walk
     from softlanes.sources import graphs
@@ -151,8 +160,8 @@ def stream_anytime_decode(spark, sf_dir):
     shots = engine.snapshots(system, forcing, start, 3, [0, 4, 8, 16, 32, 64])
     folder = f"{shared_folder(spark)}/anytime-{uuid.uuid4().hex}"
     decoder = AnytimeDecoder(g, 0.85 ** (2.0 * np.arange(65)), shots, f"{folder}/out")
-    events = load(spark, sf_dir, "events", "event_id", "ts", "user_id").where("user_id < 3")
-    for n, (a, b) in enumerate([("2024-01-01", "2024-01-08"), ("2024-01-08", "2024-01-22")]):
+    events = load(spark, sf_dir, "events", "event_id", "ts", "user_id").where("user_id < 3")  # the three lanes there are
+    for n, (a, b) in enumerate([("1970-01-01", "2024-01-08"), ("2024-01-08", "2024-01-22"), ("2024-01-22", "9999-01-01")]):
         part = events.where((F.col("ts") >= F.lit(a).cast("timestamp_ntz")) & (F.col("ts") < F.lit(b).cast("timestamp_ntz")))
         part.coalesce(1).write.parquet(f"{folder}/in/part={n}")
     stream = spark.readStream.schema("event_id long, ts timestamp_ntz, user_id long, part int").option("maxFilesPerTrigger", 1).parquet(f"{folder}/in").select(F.col("user_id").cast("int").alias("q"))

@@ -161,3 +161,26 @@ def test_scaled_common_weights_reduce_to_the_plain_ones():
     g, own = codes.dft_code(6, 4), np.arange(1.0, 7.0)
     psi = np.outer(own, own) / 50
     assert np.allclose(decode.correlated_weights(g, own, psi), decode.correlated_weights(g, own, psi, np.ones(4), np.ones(4)))
+
+
+def test_beats_count_in_any_order(monkeypatch):
+    import pandas as pd
+
+    from softlanes.streaming import heartbeats
+
+    class State:
+        exists, get = False, None
+
+        def update(self, value):
+            self.exists, self.get = True, value
+
+    monkeypatch.setattr(heartbeats, "KEPT_BEATS", 4)
+    state, counts = State(), []
+    for batch in ([5, 7, 7], [6, 5], [1], [9, 10, 11], [8], [5, 2]):  # 5, 7; then 6 late; 1 late; three new; 8 late; two too old
+        counts += [int(r.steps.iloc[0]) for r in heartbeats.count_steps((0,), [pd.DataFrame({"event_id": batch})], state)]
+    assert counts == [2, 3, 4, 7, 8, 8]
+
+
+def test_anytime_decoding_improves_with_every_trigger(run):
+    e = run("stream_anytime_decode").sort_values("trigger")
+    assert e.trigger.tolist() == [0, 1, 2] and e.sse.is_monotonic_decreasing
