@@ -6,7 +6,7 @@ numpy, by back-propagation through time, on a bounded sample of labelled documen
 of each of the ``most_languages`` commonest languages, three windows of each; documented bounds). Prediction covers every byte of every text.
 
 Edge cases: null texts and texts without a letter are ``und`` with score 0, and so is everything where
-nothing can be learnt; documents without an id are held out; repeated rows give repeated results; an
+nothing can be learnt (``keep_recognised`` then keeps every text with a letter); documents without an id are held out; repeated rows give repeated results; an
 empty table gives none; extra columns are kept by ``keep_recognised``.
 """
 
@@ -241,9 +241,11 @@ def predictions(df: DataFrame, net: Recurrent | None) -> DataFrame:
     )
 
 
-def keep_recognised(df: DataFrame, least: float = 0.3) -> DataFrame:
-    """``df`` without documents that have no letter or whose best language has a mean probability under ``least``."""
+def keep_recognised(df: DataFrame, over_chance: float = 1.2) -> DataFrame:
+    """``df`` without documents that have no letter or whose best language has a mean probability under ``over_chance``
+    times that of guessing among the learnt languages (0.3 where there are four)."""
     net = learn(df)
+    least = over_chance / max(2, len(net.languages)) if net else 0.0
 
     @F.pandas_udf("double")
     def best(texts):

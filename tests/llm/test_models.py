@@ -83,6 +83,7 @@ def test_language_odd_rows(spark):
     df = materialise(spark.createDataFrame([(i, t, k, None, None) for i, t, k in rows], DOCS), "d")
     got = language.predictions(df, language.learn(df)).collect()
     assert len(got) == 6 and all(r.lang_pred == "und" and r.score == 0 for r in got)
+    assert sorted(str(r.doc_id) for r in language.keep_recognised(df).collect()) == ["3", "3", "None"]
     trained = language.train(language.codes_of([b"aaaa", b"zzzz"] * 20, 8)[0], np.array([0, 1] * 20), ["a", "z"], rounds=30, batch=16)
     got = {r.doc_id: r.lang_pred for r in language.predictions(df, trained).collect()}
     assert got[0] == got[1] == got[2] == "und" and got[3] in "az"
