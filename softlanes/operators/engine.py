@@ -99,7 +99,8 @@ def matmul_wide(wide: DataFrame, m: np.ndarray) -> DataFrame:
 def run_lanes(system: AffineSystem, forcing: DataFrame, start: DataFrame, steps: list[int], layout: str = "auto", cut: int = 4) -> DataFrame:
     """Run every real column c from ``start`` for ``steps[c]`` iterations: ``vec(i, p = column, v)``.
 
-    ``forcing`` is K times the encoded inputs, ``start`` the encoded starting points.
+    ``forcing`` is K times the encoded inputs, ``start`` the encoded starting points; inputs at what is no node of the
+    system are left out.
     """
     if layout == "auto":
         layout = choose_layout(system.op, system.nodes)
@@ -107,8 +108,8 @@ def run_lanes(system: AffineSystem, forcing: DataFrame, start: DataFrame, steps:
 
 
 def choose_layout(op: DataFrame, nodes: DataFrame, most: int = LANE_EDGES, most_nodes: int = LANE_NODES) -> str:
-    """``lane`` where operator and nodes fit each task, else ``wide``; counts no further than the bounds."""
-    return "lane" if op.limit(most + 1).count() <= most and nodes.limit(most_nodes + 1).count() <= most_nodes else "wide"
+    """``lane`` where operator and nodes fit each task, else ``wide``. Counting written tables reads only their footers."""
+    return "lane" if op.count() <= most and nodes.count() <= most_nodes else "wide"
 
 
 def _column_steps(spark, steps):
@@ -119,7 +120,7 @@ def _run_long(system, forcing, start, steps, cut):
     spark = system.op.sparkSession
     lane = _column_steps(spark, steps)
     op = materialise(system.op.select("i", "j", "w"), "op")
-    force = materialise(forcing.select("i", "p", "v"), "forcing")
+    force = materialise(forcing.select("i", "p", "v").join(system.nodes.select("i"), "i", "left_semi"), "forcing")
     state, done = materialise(start.select("i", "p", "v"), "state"), None
     for t in range(1, max(steps, default=0) + 1):
         ended = state.join(lane.where(F.col("steps") == t - 1), "p").select("i", "p", "v")
@@ -202,16 +203,23 @@ def joined_lanes(chunks: list[tuple[int, DataFrame]]) -> DataFrame:
 
 def csr(op: DataFrame, nodes: DataFrame, most: int = LANE_EDGES) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(node ids, row starts, column places, weights) of an operator of a checked size."""
-    pdf = op.select("i", "j", "w").limit(most + 1).toPandas()
-    if len(pdf) > most:
+    if op.count() > most:
         raise ValueError(f"over {most} entries: the whole operator does not go to every task; use layout 'wide' or 'block'")
-    ids = np.sort(nodes.select("i").limit(LANE_NODES + 1).toPandas()["i"].to_numpy())
-    if len(ids) > LANE_NODES:
+    if nodes.count() > LANE_NODES:
         raise ValueError(f"over {LANE_NODES} nodes: the state does not go to every task; use layout 'wide' or 'block'")
-    row, col = np.searchsorted(ids, pdf["i"].to_numpy()), np.searchsorted(ids, pdf["j"].to_numpy())
+    entries = op.select("i", "j", "w").toArrow()
+    ids = np.sort(nodes.select("i").toArrow()["i"].to_numpy())
+    row, col, w = np.searchsorted(ids, entries["i"].to_numpy()), np.searchsorted(ids, entries["j"].to_numpy()), entries["w"].to_numpy()
     order = np.argsort(row, kind="stable")
     starts = np.searchsorted(row[order], np.arange(len(ids) + 1))
-    return ids, starts, col[order], pdf["w"].to_numpy()[order]
+    return ids, starts, col[order], w[order]
+
+
+def shared_csr(system: AffineSystem):
+    """``csr`` of the system's operator as a broadcast, made once for each system."""
+    if getattr(system, "_csr", None) is None:
+        system._csr = system.op.sparkSession.sparkContext.broadcast(csr(system.op, system.nodes))
+    return system._csr
 
 
 def csr_apply(matrix, x: np.ndarray) -> np.ndarray:
@@ -233,15 +241,17 @@ def csr_apply(matrix, x: np.ndarray) -> np.ndarray:
 def _block_of(pdf, ids, cols):
     x = np.zeros((len(ids), len(cols)))
     place = {c: k for k, c in enumerate(cols)}
-    if len(pdf):
-        x[np.searchsorted(ids, pdf["i"].to_numpy()), pdf["p"].map(place).to_numpy()] = pdf["v"].to_numpy()
+    if len(pdf) and len(ids):
+        at = np.minimum(np.searchsorted(ids, pdf["i"].to_numpy()), len(ids) - 1)
+        known = ids[at] == pdf["i"].to_numpy()  # rows at no node of the system are left out
+        x[at[known], pdf["p"].map(place).to_numpy()[known]] = pdf["v"].to_numpy()[known]
     return x
 
 
 def _run_lane(system, forcing, start, steps, cut):
     """One task for every eight columns, in order of their step counts; each holds the operator and iterates alone."""
     spark = system.op.sparkSession
-    shared = spark.sparkContext.broadcast(csr(system.op, system.nodes))
+    shared = shared_csr(system)
     tagged = start.select("i", "p", "v", F.lit(0).alias("kind")).unionByName(forcing.select("i", "p", "v", F.lit(1).alias("kind")))
     every = spark.createDataFrame([(-1, c, 0.0, 0) for c in range(len(steps))], "i long, p int, v double, kind int")
     limits = list(steps)
@@ -354,7 +364,7 @@ def run_until(system: AffineSystem, forcing: DataFrame, start: DataFrame, column
     Not reproducible by nature: for timing, not for comparison with SQL. Needs an operator that goes to tasks.
     """
     spark = system.op.sparkSession
-    shared = spark.sparkContext.broadcast(csr(system.op, system.nodes))
+    shared = shared_csr(system)
     tagged = start.select("i", "p", "v", F.lit(0).alias("kind")).unionByName(forcing.select("i", "p", "v", F.lit(1).alias("kind")))
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:

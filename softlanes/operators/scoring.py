@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from softlanes.operators import baselines, codes, decode, engine, weights
-from softlanes.operators.engine import _block_of, csr, csr_apply
+from softlanes.operators.engine import _block_of, csr_apply, shared_csr
 from softlanes.operators.systems import AffineSystem
 from softlanes.sources.session import materialise
 
@@ -42,9 +42,8 @@ def error_blocks(system: AffineSystem, inputs: DataFrame, problems: int, most: i
     spark = system.op.sparkSession
     if engine.choose_layout(system.op, system.nodes) != "lane":
         return _wide_error_blocks(system, inputs, problems, most, start_value, tol, converge)
-    matrix = csr(system.op, system.nodes)
-    shared = spark.sparkContext.broadcast(matrix)
-    s0 = 1.0 / max(1, len(matrix[0])) if start_value is None else start_value
+    shared = shared_csr(system)
+    s0 = 1.0 / max(1, len(shared.value[0])) if start_value is None else start_value
     every = spark.createDataFrame([(-1, p, 0.0) for p in range(problems)], "i long, p int, v double")
 
     def work(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from softlanes.operators import engine
-from softlanes.operators.engine import _block_of, csr, csr_apply, solve_converged
+from softlanes.operators.engine import _block_of, csr_apply, shared_csr, solve_converged
 from softlanes.operators.systems import AffineSystem, multiply
 from softlanes.sources.session import materialise
 
@@ -46,7 +46,7 @@ def tau_monte_carlo(system: AffineSystem, probes: DataFrame, most: int, layout:
         for p in parts[1:]:
             out = out.unionByName(p)
         return out
-    shared = spark.sparkContext.broadcast(csr(system.op, system.nodes))
+    shared = shared_csr(system)
 
     def sweep(pdf: pd.DataFrame) -> pd.DataFrame:
         matrix = shared.value
@@ -78,7 +78,7 @@ def psi_monte_carlo(system: AffineSystem, probes: DataFrame, most: int) -> DataF
             F.col("s.l").alias("a"), F.col("t.l").alias("b")).agg((F.sum(F.col("s.v") * F.col("t.v")) / m).alias("value"))
         grid = spark.createDataFrame([(a, b) for a in range(most + 1) for b in range(most + 1)], "a int, b int")
         return grid.join(pairs, ["a", "b"], "left").select("a", "b", F.coalesce("value", F.lit(0.0)).alias("value"))
-    shared = spark.sparkContext.broadcast(csr(system.op, system.nodes))
+    shared = shared_csr(system)
 
     def sweep(pdf: pd.DataFrame) -> pd.DataFrame:
         matrix = shared.value

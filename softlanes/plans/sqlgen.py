@@ -32,7 +32,7 @@ def unroll(steps: int, start: str = "s0", forcing: str = "f", op: str = "op", pr
 def ranking_start(inputs: str, d: float = D) -> list[str]:
     """Inputs ``r``, forcing ``f`` and the uniform start ``s0`` of every problem."""
     return [
-        f"r AS MATERIALIZED ({inputs})", f"f AS MATERIALIZED (SELECT i, p, {d} * v AS v FROM r)",
+        f"r AS MATERIALIZED ({inputs})", f"f AS MATERIALIZED (SELECT i, p, {d} * v AS v FROM r WHERE i IN (SELECT i FROM nodes))",
         "ps AS (SELECT DISTINCT p FROM r)", "s0 AS MATERIALIZED (SELECT i, p, 1.0 / (SELECT count(*) FROM nodes) AS v FROM nodes, ps)",
     ]
 
@@ -41,7 +41,7 @@ def coded_start(inputs: str, gen: str, d: float = D) -> list[str]:
     """The same with inputs mixed by ``gen(p, q, g)``: problems of the iteration are the lanes."""
     return [
         f"r AS MATERIALIZED ({inputs})", f"gen AS MATERIALIZED ({gen})",
-        f"f AS MATERIALIZED (SELECT r.i, g.q AS p, {d} * sum(r.v * g.g) AS v FROM r JOIN gen g ON r.p = g.p GROUP BY 1, 2)",
+        f"f AS MATERIALIZED (SELECT r.i, g.q AS p, {d} * sum(r.v * g.g) AS v FROM r JOIN gen g ON r.p = g.p WHERE r.i IN (SELECT i FROM nodes) GROUP BY 1, 2)",
         "s0 AS MATERIALIZED (SELECT i, q AS p, gs / (SELECT count(*) FROM nodes) AS v FROM nodes, (SELECT q, sum(g) AS gs FROM gen GROUP BY q))",
     ]
 

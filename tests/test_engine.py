@@ -117,7 +117,7 @@ def test_large_operators_run_without_being_collected(spark, ring, inputs, monkey
 
     monkeypatch.setattr(engine, "choose_layout", lambda *a: "wide")
     for module in (engine, scoring, weights):
-        monkeypatch.setattr(module, "csr", refuse)
+        monkeypatch.setattr(module, "shared_csr", refuse)
     for got, right in zip(results(), want):
         assert np.allclose(got, right, atol=1e-12)
 
@@ -331,3 +331,10 @@ def test_intermediate_tables_are_deleted_and_a_cluster_needs_a_shared_folder(spa
 
     with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
         session.shared_folder(Far())
+
+
+@pytest.mark.parametrize("layout", ["long", "wide", "lane", "block"])
+def test_inputs_at_no_node_are_left_out(spark, ring, inputs, layout):
+    system = systems.restart_walk_system(ring)
+    start, more = systems.initial_state(system, [0, 1]), inputs.unionByName(spark.createDataFrame([(99, 0, 0.5)], "i long, p int, v double"))
+    assert np.allclose(frame(engine.run_lanes(system, system.forcing(more), start, [2, 3], layout)), frame(engine.run_lanes(system, system.forcing(inputs), start, [2, 3], "wide")))

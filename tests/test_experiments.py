@@ -66,7 +66,7 @@ def test_counters_of_phases(run):
 
 def test_clock_run_decodes_what_the_deadline_left(spark, small):
     r = experiments.x16(spark, small, deadline_s=0.3).first()
-    assert 1 <= r.fewest_steps <= r.most_steps and 0 < r.overhead_share < 1 and r.mse_problem < 1 and r.edge_updates_per_s > 0
+    assert 1 <= r.fewest_steps <= r.most_steps and 0 < r.overhead_share < 1 and r.residual_problem < 1 and r.edge_updates_per_s > 0
 
 
 def test_ridge_schemes(run):
