@@ -24,10 +24,15 @@ def dft_code(n: int, k: int) -> np.ndarray:
     return np.exp(-2j * np.pi * p * q / n) / np.sqrt(n)
 
 
+def _hashed(what: str, k: int, n: int, seed: int, attempt: int) -> np.ndarray:
+    """Uniform numbers by problem and lane, the same in Spark and SQL."""
+    return np.array([[hash_uniform_value(what, seed, attempt, p, q) for q in range(n)] for p in range(k)]).reshape(k, n)
+
+
 def _redrawn(draw, k: int, what: str, tries: int = 200) -> np.ndarray:
-    """The first draw of full rank."""
-    for _ in range(tries):
-        g = draw()
+    """The first draw of full rank; draws are numbered from 0."""
+    for attempt in range(tries):
+        g = draw(attempt)
         if np.linalg.matrix_rank(g) == k:
             return g
     raise BadCode(f"no full-rank {what} in {tries} draws")
@@ -35,18 +40,18 @@ def _redrawn(draw, k: int, what: str, tries: int = 200) -> np.ndarray:
 
 def sign_code(n: int, k: int, seed: int = 0) -> np.ndarray:
     """Random signs, drawn again while rank deficient."""
-    rng = np.random.default_rng(seed)
-    return _redrawn(lambda: rng.choice([-1.0, 1.0], size=(k, n)), k, "sign code")
+    return _redrawn(lambda t: np.where(_hashed("sign", k, n, seed, t) < 0.5, -1.0, 1.0), k, "sign code")
 
 
 def sparse_code(n: int, k: int, density: float = 0.1, seed: int = 0) -> np.ndarray:
     """Random 0/1 generator, drawn again while rank deficient (every problem must be in some lane)."""
-    rng = np.random.default_rng(seed)
-    return _redrawn(lambda: (rng.random((k, n)) < density).astype(float), k, f"0/1 code of density {density}")
+    return _redrawn(lambda t: (_hashed("sparse", k, n, seed, t) < density).astype(float), k, f"0/1 code of density {density}")
 
 
 def gaussian_code(n: int, k: int, seed: int = 0) -> np.ndarray:
-    return np.random.default_rng(seed).normal(size=(k, n))
+    """Standard normal entries, from two uniform numbers each."""
+    radius, angle = _hashed("radius", k, n, seed, 0), _hashed("angle", k, n, seed, 0)
+    return np.sqrt(-2 * np.log(1 - radius)) * np.cos(2 * np.pi * angle)
 
 
 def parity_code(k: int) -> np.ndarray:

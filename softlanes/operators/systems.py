@@ -12,7 +12,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from softlanes.sources.session import materialise
+from softlanes.functions.hashing import hash_uniform
+from softlanes.sources.session import materialise, release
 
 EXACT_NODES = 5000
 
@@ -178,19 +179,24 @@ def safe_step(rows: DataFrame, lam: float, rounds: int = 20) -> float:
     return 1.0 / (contraction_estimate(gram(rows).select(F.col("i").cast("long").alias("i"), F.col("j").cast("long").alias("j"), "w"), rounds) * 1.05 + lam)
 
 
-def contraction_estimate(op: DataFrame, rounds: int = 20) -> float:
-    """Largest modulus of an eigenvalue, by power iteration; growth averaged over the second half of the rounds."""
-    x = op.select("i").distinct().select("i", F.lit(0).alias("p"), (1 + F.pmod(F.xxhash64("i"), F.lit(1000)) / 1000.0).alias("v"))
-    growth = []
-    for _ in range(rounds):
-        y = materialise(multiply(op, x), "power")
+def contraction_estimate(op: DataFrame, rounds: int = 20, cut: int = 5) -> float:
+    """Largest modulus of an eigenvalue, by power iteration; growth averaged over the second half of the rounds, the
+    vector written and scaled every ``cut`` of them."""
+    x = op.select("i").distinct().select("i", F.lit(0).alias("p"), (1 + hash_uniform(F.col("i"), "power")).alias("v"))
+    growth, before = [], None
+    for at in range(0, rounds, cut):
+        y = x
+        for _ in range(min(cut, rounds - at)):
+            y = multiply(op, y)
+        y = materialise(y, "power")
+        release(before)
         norm = y.agg(F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("n")).first().n
         if not norm:
             return 0.0
-        growth.append(norm)
-        x = y.withColumn("v", F.col("v") / norm)
+        growth.append((min(cut, rounds - at), np.log(norm)))
+        x, before = y.withColumn("v", F.col("v") / norm), y
     tail = growth[len(growth) // 2 :]
-    return float(np.exp(np.mean(np.log(tail))))
+    return float(np.exp(sum(g for _, g in tail) / sum(n for n, _ in tail)))
 
 
 def dense(op: DataFrame, columns: tuple[str, str, str] = ("i", "j", "w")) -> tuple[np.ndarray, np.ndarray]:
@@ -214,6 +220,32 @@ def solve_ridge_exact(m: np.ndarray, r: np.ndarray, lam: float) -> np.ndarray:
     return np.linalg.solve(m.T @ m + lam * np.eye(m.shape[1]), m.T @ r)
 
 
+def solve_square(matrix: DataFrame, inputs: DataFrame) -> DataFrame:
+    """Direct solutions of a small square system ``matrix(i, j, w)`` for every problem of ``inputs(i, p, v)``; the
+    number of nodes is checked, inputs at no node are left out."""
+    ids, m = dense(matrix)
+    spark = matrix.sparkSession
+    known = F.broadcast(spark.createDataFrame([(int(n), k) for k, n in enumerate(ids)], "i bigint, k int"))
+    rows = inputs.join(known, "i").groupBy("k", "p").agg(F.sum("v").alias("v")).collect()  # nodes of a checked size times problems
+    problems = sorted({r.p for r in rows})
+    place = {p: c for c, p in enumerate(problems)}
+    right = np.zeros((len(ids), len(problems)))
+    for r in rows:
+        right[r.k, place[r.p]] = r.v
+    x = solve_square_exact(m, right)
+    return spark.createDataFrame([(int(n), int(p), float(x[k, c])) for k, n in enumerate(ids) for c, p in enumerate(problems)], "i bigint, p int, v double")
+
+
+def solve_ridge(rows: DataFrame, inputs: DataFrame, lam: float) -> DataFrame:
+    """Direct ridge solutions over ``rows(row, col, v)``: the Gram matrix and the right-hand sides are distributed sums,
+    only they (columns of a checked number) reach the driver."""
+    g = gram(rows).select(F.col("i").cast("long").alias("i"), F.col("j").cast("long").alias("j"), "w")
+    ridge = rows.select(F.col("col").cast("long").alias("i")).distinct().select("i", F.col("i").alias("j"), F.lit(float(lam)).alias("w"))
+    m, r = rows.withColumnRenamed("v", "m"), inputs.select(F.col("i").alias("row"), "p", "v")
+    right = m.join(r, "row").groupBy(F.col("col").cast("long").alias("i"), "p").agg(F.sum(F.col("m") * F.col("v")).alias("v"))
+    return solve_square(g.unionByName(ridge), right)
+
+
 def propagate_error(op: DataFrame, error: DataFrame, steps: int, cut: int = 4) -> DataFrame:
     """``B**steps`` applied to ``error``."""
     for t in range(1, steps + 1):

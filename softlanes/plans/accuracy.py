@@ -197,12 +197,3 @@ QUERIES["measured_exponent"] = (measured_rate, with_(
     "c AS (" + " UNION ALL ".join(f"SELECT {t}.0 AS d, sum((a.v - b.v) * (a.v - b.v)) AS m FROM s{t} a JOIN s{TRUTH} b USING (i, p)" for t in (10, 14, 18, 22)) + ")",
     select="SELECT round(regr_slope(-ln(m), d), 4) AS exponent FROM c",
 ))
-
-
-def ranking_agreement(spark, sf_dir):
-    found, truth = toy_estimates(spark, sf_dir, TOY)
-    parts = [metrics.top_overlap(est, truth, 20).select(F.lit(name).alias("scheme"), "p", F.round("overlap", 6).alias("overlap")) for name, est in found.items()]
-    return reduce(lambda a, b: a.unionByName(b), parts)
-
-
-QUERIES["ranking_agreement"] = (ranking_agreement, None)

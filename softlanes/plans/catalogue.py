@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from softlanes.plans import accuracy, experiments, ranking, relational, structures
+from softlanes.plans import accuracy, experiments, identities, ranking, relational, structures
 from softlanes.streaming import heartbeats
 
-MODULES = [structures, ranking, accuracy, experiments, relational, heartbeats]
+MODULES = [structures, ranking, accuracy, identities, experiments, relational, heartbeats]
 
 
 def queries():
