@@ -40,3 +40,12 @@ def test_every_oracle_has_a_query():
 @pytest.mark.parametrize("name", NAMES)
 def test_query_matches_sql(spark, duck, small, name):
     assert rows(catalogue.queries()[name](spark, small).toPandas()) == rows(duck.sql(catalogue.oracle_sql()[name]).df())
+
+
+@pytest.mark.parametrize("name", [
+    "bound_uncoded", "bound_coded_parity", "bound_schur_one_spare", "bound_correlated", "code_complement", "code_dft", "code_dft_gram", "code_gaussian", "code_hartley",
+    "code_identity", "code_parity", "code_reports",
+])
+def test_bounds_and_codes_come_from_a_table(spark, tmp_path, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND|does not exist"):
+        catalogue.queries()[name](spark, str(tmp_path)).collect()
