@@ -3,8 +3,8 @@
 import numpy as np
 import pytest
 
-from softlanes.operators import codes, decode, scoring, weights
-from softlanes.plans import catalogue, experiments
+from softlanes.operators import codes, decode, engine, scoring, systems, weights
+from softlanes.plans import catalogue, experiments, identities
 from softlanes.sources import graphs, tables
 from softlanes.sources.session import materialise
 
@@ -184,3 +184,34 @@ def test_beats_count_in_any_order(monkeypatch):
 def test_anytime_decoding_improves_with_every_trigger(run):
     e = run("stream_anytime_decode").sort_values("trigger")
     assert e.trigger.tolist() == [0, 1, 2] and e.sse.is_monotonic_decreasing
+
+
+def test_weights_of_graphs_beyond_the_dense_bound(spark, small, monkeypatch):
+    want = experiments.x14(spark, small).toPandas()
+    system = experiments.ranking.walk(spark, small, "transition")
+    _, b = systems.dense(system.op)
+    power = [np.linalg.norm(np.linalg.matrix_power(b, l), "fro") ** 2 for l in range(4)]
+    assert weights.power_norms(system, 3, group=4) == pytest.approx(power)
+    monkeypatch.setattr(systems, "EXACT_NODES", 3)
+    assert experiments.x14(spark, small).toPandas().equals(want)
+
+
+def test_ridge_steps_shrink_as_vectors_grow(spark, tmp_path):
+    rng = np.random.default_rng(2)
+    rows = [(i, [float(x) for x in v / np.linalg.norm(v)], i % 10) for i, v in enumerate(rng.normal(size=(1500, 4)))]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label long").write.parquet(f"{tmp_path}/embeddings.parquet")
+    e = experiments.x11(spark, str(tmp_path)).toPandas().set_index("scheme").mse_problem
+    assert np.isfinite(e).all() and e.soft < e.uncoded
+
+
+def test_large_operators_are_never_collected(spark, small, monkeypatch):
+    def refused(*_):
+        raise ValueError("the whole operator does not go to every task")
+
+    monkeypatch.setattr(engine, "choose_layout", lambda *a: "wide")
+    monkeypatch.setattr(engine, "csr", refused)
+    r = experiments.x16(spark, small, deadline_s=0.1, n=3, k=2).first()
+    assert r.fewest_steps == r.most_steps >= 1 and r.residual_problem < 1 and r.edge_updates_per_s > 0
+    asked = []
+    monkeypatch.setattr(engine, "run_lanes", lambda system, forcing, start, steps, layout="auto": asked.append(layout) or start)
+    assert identities.error_recursion(spark, small).where("v <> 0").count() == 0 and asked == ["auto"]
