@@ -166,7 +166,7 @@ def stream_anytime_decode(spark, sf_dir):
         part.coalesce(1).write.parquet(f"{folder}/in/part={n}")
     stream = spark.readStream.schema("event_id long, ts timestamp_ntz, user_id long, part int").option("maxFilesPerTrigger", 1).parquet(f"{folder}/in").select(F.col("user_id").cast("int").alias("q"))
     stream.writeStream.foreachBatch(decoder.update).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
-    truth = materialise(engine.run_lanes(system, system.forcing(inputs), systems.initial_state(system, [0, 1]), [150, 150]), "truth")
+    truth = engine.solve_converged(system, inputs, 2, tol=1e-17)
     found = spark.read.schema("i long, p int, v double, trigger int").parquet(f"{folder}/out")
     joined = found.join(truth.withColumnRenamed("v", "t"), ["i", "p"])
     return joined.groupBy("trigger").agg(F.sum((F.col("v") - F.col("t")) ** 2).alias("sse"))

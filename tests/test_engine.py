@@ -338,3 +338,22 @@ def test_inputs_at_no_node_are_left_out(spark, ring, inputs, layout):
     system = systems.restart_walk_system(ring)
     start, more = systems.initial_state(system, [0, 1]), inputs.unionByName(spark.createDataFrame([(99, 0, 0.5)], "i long, p int, v double"))
     assert np.allclose(frame(engine.run_lanes(system, system.forcing(more), start, [2, 3], layout)), frame(engine.run_lanes(system, system.forcing(inputs), start, [2, 3], "wide")))
+
+
+def test_packed_blocks_equal_the_other_layouts(spark, small, monkeypatch):
+    """Blocks, chunks of columns and the accelerated solution, with every bound lowered."""
+    system = ranking.walk(spark, small)
+    inputs = materialise(graphs.in_segment(spark, small), "inputs")
+    forcing, start, steps = system.forcing(inputs), systems.initial_state(system, list(range(5))), [3, 0, 2, 5, 1]
+    want = frame(engine.run_lanes(system, forcing, start, steps, "lane"))
+    truth = frame(engine.run_lanes(system, forcing, start, [230] * 5, "lane"))
+    solved = frame(engine.solve_converged(system, inputs, 5, tol=1e-16))
+    monkeypatch.setattr(engine, "PACKED_ENTRIES", 900)
+    monkeypatch.setattr(engine, "PACKED_STATE", 800)
+    assert len(engine.packed(system).chunks(5)) == 3
+    assert np.allclose(frame(engine.run_lanes(system, forcing, start, steps, "packed")), want, atol=1e-15, rtol=0)
+    monkeypatch.setattr(engine, "choose_layout", lambda *a: "wide")
+    again = frame(engine.solve_converged(system, inputs, 5, tol=1e-16))
+    assert np.allclose(solved, truth, atol=1e-14, rtol=0) and np.allclose(again, truth, atol=1e-14, rtol=0)
+    with pytest.raises(engine.NotConverged):
+        engine.solve_converged(system, inputs, 5, tol=1e-16, most=5)
