@@ -357,3 +357,24 @@ def test_packed_blocks_equal_the_other_layouts(spark, small, monkeypatch):
     assert np.allclose(solved, truth, atol=1e-14, rtol=0) and np.allclose(again, truth, atol=1e-14, rtol=0)
     with pytest.raises(engine.NotConverged):
         engine.solve_converged(system, inputs, 5, tol=1e-16, most=5)
+
+
+def test_block_layout_cuts_large_operators_finer(spark, small, monkeypatch):
+    system = ranking.walk(spark, small)
+    inputs = materialise(graphs.in_segment(spark, small), "inputs")
+    forcing, start = system.forcing(inputs), systems.initial_state(system, list(range(5)))
+    want = frame(engine.run_lanes(system, forcing, start, [2, 0, 1, 2, 2], "lane"))
+    monkeypatch.setattr(engine, "BLOCK_ENTRIES", system.op.count() / 36)
+    seen, real = [], engine.materialise
+    monkeypatch.setattr(engine, "materialise", lambda df, label: seen.append(df.select("bi", "bj").distinct().count()) or real(df, label) if label == "blocks" else real(df, label))
+    assert np.allclose(frame(engine.run_lanes(system, forcing, start, [2, 0, 1, 2, 2], "block")), want, atol=1e-15, rtol=0) and 16 < seen[0] <= 36
+
+
+def test_sampled_weights_over_packed_blocks(spark, small, monkeypatch):
+    system = ranking.walk(spark, small)
+    drawn = ranking.probes(system, 4)
+    want = weights.table_of(weights.tau_monte_carlo(system, drawn, 3, "lane"))
+    monkeypatch.setattr(engine, "PACKED_STATE", 800)
+    monkeypatch.setattr(engine, "choose_layout", lambda *a: "wide")
+    monkeypatch.setattr(weights, "multiply", None)  # no join of rows and probes
+    assert np.allclose(weights.table_of(weights.tau_monte_carlo(system, drawn, 3)), want, rtol=1e-12)
