@@ -3,7 +3,7 @@
 import numpy as np
 import pytest
 
-from softlanes.operators import codes, decode, engine, scoring, systems, weights
+from softlanes.operators import codes, decode, engine, pieces, scoring, systems, weights
 from softlanes.plans import catalogue, experiments, identities
 from softlanes.sources import graphs, tables
 from softlanes.sources.session import materialise
@@ -215,3 +215,41 @@ def test_large_operators_are_never_collected(spark, small, monkeypatch):
     asked = []
     monkeypatch.setattr(engine, "run_lanes", lambda system, forcing, start, steps, layout="auto": asked.append(layout) or start)
     assert identities.error_recursion(spark, small).where("v <> 0").count() == 0 and asked == ["auto"]
+
+
+def _forest():
+    """Undirected edges of three components: a hub with leaves, a cycle with a chord, one link alone."""
+    pairs = [(100, 1000 + n) for n in range(40)] + [(7 + n, 7 + (n + 1) % 9) for n in range(9)] + [(7, 11), (5000, 5001)]
+    return [(a, b, 1.0) for a, b in pairs] + [(b, a, 1.0) for a, b in pairs]
+
+
+@pytest.mark.parametrize("dense", [False, True])
+def test_pieces_score_as_residual_blocks_do_and_write_none(spark, monkeypatch, dense):
+    edges = materialise(spark.createDataFrame(_forest(), "src long, dst long, weight double"), "edges")
+    system = experiments.ranking.walk_of(edges, "purchase")
+    rows = [(1003, 0, 0.5), (100, 0, 0.5), (1010, 1, 1.0), (8, 2, 0.25), (9, 2, 0.75), (8, 3, 1.0), (10, 4, 1.0), (99, 4, 9.0)]  # 99 is no node
+    inputs = pieces.HashInputs(5) if dense else spark.createDataFrame(rows, "i long, p int, v double")
+    table = graphs.in_hash(system.nodes, 5) if dense else inputs
+    blocks = scoring.error_blocks(system, table, 5, 6)
+    tau = scoring.moments(blocks, 5, 6, [3, 4])[0]
+    g, mix = codes.dft_code(4, 3), np.vstack([np.eye(3) * 0.7, np.full((1, 3), 0.3)])
+    plans = scoring.scheme_plans(g, np.array([1, 4, 2, 6]), tau, (), ("uncoded", "twins_best", "soft", "fastest_k"))
+    plans.append(scoring.Plan(("mixed",), g, np.array([2, 6, 1, 3]), plans[2].r, mix))
+    want = {(r.scheme, r.p): r.sse for r in scoring.score(blocks, 5, 6, plans, ["scheme"]).collect()}
+    for name, value in (("PIECE_ENTRIES", 10), ("RANGE_BYTES", 1500), ("LONG_ROW", 8), ("SOME_ROWS", 3), ("BLOCK_ENTRIES", 20)):
+        monkeypatch.setattr(pieces, name, value)
+    cut = pieces.cut(edges, 0.15, inputs)
+    assert cut.table.count() == 3 and cut.n_nodes == 52
+    assert cut.tau([3, 4], 6, 1e-17, 400) == pytest.approx(tau, rel=1e-9)
+    got = {(r.scheme, r.p): r.sse for r in scoring.labelled(cut.score(5, 6, plans, 1e-17, 400), plans, ["scheme"]).collect()}
+    assert set(got) == set(want) and all(got[k] == pytest.approx(want[k], rel=1e-9) for k in want)
+    monkeypatch.setattr(scoring, "error_blocks", None)
+    monkeypatch.setattr(graphs, "EDGES", {"purchase": lambda *_: edges})
+    assert experiments.Bench(spark, "", "purchase", inputs, 3, 6, probes=2).scores(plans[:3], ["scheme"]).count() == 3
+
+
+def test_graphs_with_a_component_beyond_a_task_are_not_cut(spark, monkeypatch):
+    edges = materialise(spark.createDataFrame(_forest(), "src long, dst long, weight double"), "edges")
+    assert pieces.cut(edges, 0.15, pieces.HashInputs(2)) is not None
+    monkeypatch.setattr(engine, "LANE_EDGES", 79)
+    assert pieces.cut(edges, 0.15, pieces.HashInputs(2)) is None
