@@ -253,3 +253,13 @@ def test_graphs_with_a_component_beyond_a_task_are_not_cut(spark, monkeypatch):
     assert pieces.cut(edges, 0.15, pieces.HashInputs(2)) is not None
     monkeypatch.setattr(engine, "LANE_EDGES", 79)
     assert pieces.cut(edges, 0.15, pieces.HashInputs(2)) is None
+
+
+def test_many_lanes_are_decoded_in_pieces_and_written_nowhere(spark, small, monkeypatch):
+    got = lambda: catalogue.queries()["soft_decode_dft_120_100"](spark, small).toPandas().sort_values("p").reset_index(drop=True)
+    with monkeypatch.context() as m:
+        m.setattr(pieces, "cut", lambda *_: None)
+        want = got()
+    monkeypatch.setattr(engine, "wide_lanes", None)
+    monkeypatch.setattr(pieces, "RANGE_BYTES", 200_000)
+    assert np.allclose(got(), want, rtol=0, atol=2e-7)
