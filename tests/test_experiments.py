@@ -3,6 +3,7 @@
 import numpy as np
 import pytest
 
+from softlanes.functions import hashing
 from softlanes.operators import codes, decode, engine, pieces, scoring, systems, weights
 from softlanes.plans import catalogue, experiments, identities
 from softlanes.sources import graphs, tables
@@ -248,6 +249,59 @@ def test_pieces_score_as_residual_blocks_do_and_write_none(spark, monkeypatch, d
     assert experiments.Bench(spark, "", "purchase", inputs, 3, 6, probes=2).scores(plans[:3], ["scheme"]).count() == 3
 
 
+def _shops(copies: int = 1, few: int = 4, many: int = 60):
+    """Undirected edges of ``few`` even nodes to ``many`` odd ones in every copy; the last two even nodes have the same neighbours."""
+    pairs = [(2 * (a + 10 * c), 2 * (b + 1000 * c) + 1) for c in range(copies) for a in range(few) for b in range(many) if (min(a, few - 2) + b) % 3 or b < 2]
+    return [(a, b, 1.0) for a, b in pairs] + [(b, a, 1.0) for a, b in pairs]
+
+
+@pytest.mark.parametrize("dense", [False, True])
+def test_pieces_with_a_small_side_are_folded_and_score_the_same(spark, monkeypatch, dense):
+    edges = materialise(spark.createDataFrame(_shops(2), "src long, dst long, weight double"), "edges")
+    system = experiments.ranking.walk_of(edges, "supply")
+    rows = [(1, 0, 0.5), (0, 0, 0.5), (7, 1, 1.0), (4, 2, 0.25), (9, 2, 0.75), (6, 3, 1.0), (11, 4, 1.0)]
+    inputs = pieces.HashInputs(5) if dense else spark.createDataFrame(rows, "i long, p int, v double")
+    blocks = scoring.error_blocks(system, graphs.in_hash(system.nodes, 5) if dense else inputs, 5, 6)
+    tau = scoring.moments(blocks, 5, 6, [3, 4])[0]
+    g, mix = codes.dft_code(4, 3), np.vstack([np.eye(3) * 0.7, np.full((1, 3), 0.3)])
+    plans = scoring.scheme_plans(g, np.array([1, 4, 0, 6]), tau, (), ("uncoded", "twins_best", "soft", "fastest_k"))
+    plans.append(scoring.Plan(("mixed",), g, np.array([2, 6, 1, 3]), plans[2].r, mix))
+    want = {(r.scheme, r.p): r.sse for r in scoring.score(blocks, 5, 6, plans, ["scheme"]).collect()}
+    monkeypatch.setattr(pieces, "PIECE_ENTRIES", 10)
+    cut = pieces.cut(edges, 0.15, inputs)
+    assert [r.small for r in cut.table.select("small").collect()] == [4, 4]
+    monkeypatch.setattr(pieces.Rows, "solve", None)  # no run over all links
+    assert cut.tau([3, 4], 6, 1e-17, 400) == pytest.approx(tau, rel=1e-9)
+    for most in (pieces.RANGE_BYTES, 1500):
+        monkeypatch.setattr(pieces, "RANGE_BYTES", most)
+        got = {(r.scheme, r.p): r.sse for r in scoring.labelled(cut.score(5, 6, plans, 1e-17, 400), plans, ["scheme"]).collect()}
+        assert set(got) == set(want) and all(got[k] == pytest.approx(want[k], rel=1e-9) for k in want)
+
+
+def test_sums_of_plans_stand_for_residuals_where_they_are_fewer(spark, monkeypatch):
+    edges = materialise(spark.createDataFrame(_forest(), "src long, dst long, weight double"), "edges")
+    cut, g = pieces.cut(edges, 0.15, pieces.HashInputs(11)), codes.dft_code(12, 10)
+    tau = cut.tau([10], 20, 1e-17, 400)
+    plans = scoring.scheme_plans(g, np.arange(4, 16), tau, (), ("uncoded", "soft"))
+    both = [sorted((r.plan, r.p, r.sse) for r in cut.score(10, 20, plans, 1e-17, 400).collect())]
+    monkeypatch.setattr(pieces, "TAME", 0.0)
+    both.append(sorted((r.plan, r.p, r.sse) for r in cut.score(10, 20, plans, 1e-17, 400).collect()))
+    assert [r[:2] for r in both[0]] == [r[:2] for r in both[1]]
+    assert [r[2] for r in both[0]] == pytest.approx([r[2] for r in both[1]], rel=1e-9)
+
+
+def test_digests_and_places_of_many_at_once():
+    from softlanes.functions.hashing import SPAN, hash_uniform_value
+
+    ids = np.array([0, 7, 10, 123, 99_999, 2_400_001, 10**12 + 1, 2**62])
+    got = pieces.HashInputs(12, seed=3).raw(ids) / SPAN
+    assert (got == [[hash_uniform_value(i, p, 3) for p in range(12)] for i in ids.tolist()]).all()
+    long = np.frombuffer(b"7" * 60 + b"8" * 60, np.uint8).reshape(2, 60)
+    assert (hashing.first_bits(long, b"-1") / SPAN).tolist() == [hash_uniform_value("7" * 60, 1), hash_uniform_value("8" * 60, 1)]
+    for known in (ids, np.array([0, 2, 3, 9]), np.array([-4, 2])):
+        assert pieces._places(known)(known[::-1]).tolist() == list(range(len(known)))[::-1]
+
+
 def test_graphs_with_a_component_beyond_a_task_are_not_cut(spark, monkeypatch):
     edges = materialise(spark.createDataFrame(_forest(), "src long, dst long, weight double"), "edges")
     assert pieces.cut(edges, 0.15, pieces.HashInputs(2)) is not None
