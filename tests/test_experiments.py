@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from softlanes.functions import hashing
 from softlanes.operators import codes, decode, engine, pieces, scoring, systems, weights
@@ -290,6 +291,25 @@ def test_sums_of_plans_stand_for_residuals_where_they_are_fewer(spark, monkeypat
     assert [r[2] for r in both[0]] == pytest.approx([r[2] for r in both[1]], rel=1e-9)
 
 
+@pytest.mark.parametrize("edges", ["_shops", "_forest"])
+def test_weights_of_mixes_come_from_moments_of_one_run(spark, edges):
+    edges = materialise(spark.createDataFrame(globals()[edges](), "src long, dst long, weight double"), "edges")
+    system = experiments.ranking.walk_of(edges, "supply")
+    table = materialise(graphs.in_hash(system.nodes, 6), "inputs")
+    probe = lambda first: table.where((F.col("p") >= first) & (F.col("p") < first + 3)).select("i", (F.col("p") - first).alias("p"), "v")
+    own, common = (materialise(weights.error_probes(system, probe(n), 3), "probes") for n in (0, 3))
+    moments = pieces.cut(edges, 0.15, table).moments([0, 1, 2], [3, 4, 5], 4, 1e-17, 400)
+    for rho in (0.0, 0.8):
+        want, got = weights.stationary_weights(system, own, common, rho, 4), weights.mixed_weights(moments, 3, rho)
+        assert got[0] == pytest.approx(want[0], rel=1e-6) and np.allclose(got[1], want[1], rtol=1e-6, atol=1e-9 * want[1].max())
+
+
+def test_tastes_skip_customers_without_lines(spark, tmp_path):
+    spark.createDataFrame([(n, n // 2) for n in range(80)] + [(900, None)], "o_orderkey long, o_custkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame([(n, n % 7, 2.0) for n in (3, 61, 70, 78, 900)], "l_orderkey long, l_partkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert sorted(map(tuple, graphs.in_taste(spark, str(tmp_path), 3).collect())) == [(1, 2, 1.0), (7, 0, 1.0), (11, 1, 1.0)]
+
+
 def test_digests_and_places_of_many_at_once():
     from softlanes.functions.hashing import SPAN, hash_uniform_value
 
