@@ -337,3 +337,34 @@ def test_many_lanes_are_decoded_in_pieces_and_written_nowhere(spark, small, monk
     monkeypatch.setattr(engine, "wide_lanes", None)
     monkeypatch.setattr(pieces, "RANGE_BYTES", 200_000)
     assert np.allclose(got(), want, rtol=0, atol=2e-7)
+
+
+def _market(few: int = 30, many: int = 50, seed: int = 9):
+    """One component between even and odd nodes, neither side small: ``(ids, links by node place)``."""
+    rng = np.random.default_rng(seed)
+    return {(2 * int(a), 2 * int(b) + 1) for a, b in zip(rng.integers(0, few, 6 * many), rng.integers(0, many, 6 * many))} | {
+        (2 * a, 2 * (a % many) + 1) for a in range(few)} | {(0, 2 * b + 1) for b in range(many)}
+
+
+@pytest.mark.parametrize("inputs_on", ["one side", "both sides"])
+@pytest.mark.parametrize("most", [7, 70])
+def test_a_component_of_two_sides_goes_by_sides_and_scores_the_same(spark, monkeypatch, inputs_on, most):
+    pairs = sorted(_market())
+    edges = materialise(spark.createDataFrame([(a, b, 1.0) for x, y in pairs for a, b in ((x, y), (y, x))], "src long, dst long, weight double"), "edges")
+    rng = np.random.default_rng(5)
+    ids = sorted({i for pair in pairs for i in pair if inputs_on == "both sides" or i % 2})
+    rows = [(i, p, float(rng.random() / len(ids))) for p in range(12) for i in ids if rng.random() < 0.3]
+    inputs = spark.createDataFrame(rows, "i long, p int, v double")
+    blocks = scoring.error_blocks(experiments.ranking.walk_of(edges, "purchase"), inputs, 12, most)
+    tau = scoring.moments(blocks, 12, most, [10, 11])[0]
+    g, steps = codes.dft_code(12, 10), np.array([most, 3, 5, 1, 2, 7, 4, 6, 2, 5, 7, most])
+    plans = scoring.scheme_plans(g, steps, tau, (), ("uncoded", "twins_best", "twins_weighted", "soft", "fastest_k"))
+    want = {(r.scheme, r.p): r.sse for r in scoring.score(blocks, 12, most, plans, ["scheme"]).collect()}
+    cut = pieces.cut(edges, 0.15, inputs)
+    assert [r.small for r in cut.table.select("small").collect()] == [pieces.SIDED]
+    assert cut.tau([10, 11], most, 1e-17, 400) == pytest.approx(tau, rel=1e-9)
+    for limit in (pieces.SIDES_BYTES, 20_000):
+        monkeypatch.setattr(pieces, "SIDES_BYTES", limit)
+        for some in (plans[:4], plans):  # summed by plan, and not
+            got = {(r.scheme, r.p): r.sse for r in scoring.labelled(cut.score(10, most, some, 1e-17, 400), some, ["scheme"]).collect()}
+            assert len(got) == 10 * len(some) and all(v == pytest.approx(want[k], rel=1e-8) for k, v in got.items())
