@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from softlanes.functions import hashing
-from softlanes.operators import codes, decode, engine, pieces, scoring, systems, weights
+from softlanes.operators import codes, decode, engine, halves, pieces, scoring, systems, weights
 from softlanes.plans import catalogue, experiments, identities
 from softlanes.sources import graphs, tables
 from softlanes.sources.session import materialise
@@ -329,6 +329,44 @@ def test_graphs_with_a_component_beyond_a_task_are_not_cut(spark, monkeypatch):
     assert pieces.cut(edges, 0.15, pieces.HashInputs(2)) is None
 
 
+@pytest.mark.parametrize("dense", [False, True])
+def test_one_component_beyond_a_task_is_scored_without_residual_blocks(spark, monkeypatch, dense):
+    edges = materialise(spark.createDataFrame(_shops(), "src long, dst long, weight double"), "edges")
+    system = experiments.ranking.walk_of(edges, "supply")
+    rows = [(1, 0, 0.5), (0, 0, 0.5), (7, 1, 1.0), (4, 2, 0.25), (9, 2, 0.75), (6, 3, 1.0), (11, 4, 1.0), (999, 4, 9.0)]  # 999 is no node
+    inputs = pieces.HashInputs(5) if dense else spark.createDataFrame(rows, "i long, p int, v double")
+    blocks = scoring.error_blocks(system, graphs.in_hash(system.nodes, 5) if dense else inputs, 5, 6)
+    tau = scoring.moments(blocks, 5, 6, [3, 4])[0]
+    g, mix = codes.dft_code(4, 3), np.vstack([np.eye(3) * 0.7, np.full((1, 3), 0.3)])
+    plans = scoring.scheme_plans(g, np.array([1, 4, 0, 6]), tau, (), ("uncoded", "twins_best", "soft", "fastest_k"))
+    plans.append(scoring.Plan(("mixed",), g, np.array([2, 6, 1, 3]), plans[2].r, mix))
+    want = {(r.scheme, r.p): r.sse for r in scoring.score(blocks, 5, 6, plans, ["scheme"]).collect()}
+    monkeypatch.setattr(engine, "LANE_EDGES", 10)
+    for name, value in (("ROWS", 16), ("LEVEL_BYTES", 3000), ("COLUMNS", 2)):
+        monkeypatch.setattr(halves, name, value)
+    cut = pieces.cut(edges, 0.15, inputs, halves.cut)
+    assert cut.tau([3, 4], 6, 1e-17, 400) == pytest.approx(tau, rel=1e-6)
+    assert cut._passes(5, [0, 1, 2, 3, 4, 6]) > 1  # in ranges
+    got = {(r.scheme, r.p): r.sse for r in scoring.labelled(cut.score(5, 6, plans, 1e-17, 400), plans, ["scheme"]).collect()}
+    assert set(got) == set(want) and all(got[k] == pytest.approx(want[k], rel=1e-6) for k in want)
+    monkeypatch.setattr(scoring, "error_blocks", None)
+    monkeypatch.setattr(graphs, "EDGES", {"supply": lambda *_: edges})
+    assert experiments.Bench(spark, "", "supply", inputs, 3, 6, probes=2).scores(plans[:3], ["scheme"]).count() == 3
+
+
+@pytest.mark.parametrize("name", ["x15_degradation"])
+def test_queries_agree_on_one_component_beyond_a_task(spark, small, monkeypatch, name):
+    run = lambda: experiments.QUERIES[name][0](spark, small).toPandas().query("scheme != 'fastest_k'")  # noqa: E731 - whose digits are lost either way
+    want = run()
+    for module, what, value in ((engine, "LANE_EDGES", 10), (scoring, "error_blocks", None)):
+        monkeypatch.setattr(module, what, value)
+    got, keys = run(), [c for c in want.columns if c in ("scheme", "deadline", "code", "p_slow")]
+    both = want.merge(got, on=keys, suffixes=("", "_got"))
+    assert len(both) == len(want) == len(got)
+    for c in set(want.columns) - set(keys):
+        assert both[f"{c}_got"].to_numpy() == pytest.approx(both[c].to_numpy(), rel=1e-6)
+
+
 def test_many_lanes_are_decoded_in_pieces_and_written_nowhere(spark, small, monkeypatch):
     got = lambda: catalogue.queries()["soft_decode_dft_120_100"](spark, small).toPandas().sort_values("p").reset_index(drop=True)
     with monkeypatch.context() as m:
