@@ -1,6 +1,7 @@
 """The behaviour the experiments must show, on the smallest tables: which scheme wins, how errors move with each parameter."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -406,3 +407,28 @@ def test_a_component_of_two_sides_goes_by_sides_and_scores_the_same(spark, monke
         for some in (plans[:4], plans):  # summed by plan, and not
             got = {(r.scheme, r.p): r.sse for r in scoring.labelled(cut.score(10, most, some, 1e-17, 400), some, ["scheme"]).collect()}
             assert len(got) == 10 * len(some) and all(v == pytest.approx(want[k], rel=1e-8) for k, v in got.items())
+
+
+def test_many_lanes_on_one_component_beyond_a_task_equal_those_of_pieces(spark, small, monkeypatch):
+    got = lambda: catalogue.queries()["soft_decode_dft_120_100"](spark, small).toPandas().sort_values("p").reset_index(drop=True)
+    want = got()
+    for module, name, value in ((engine, "LANE_EDGES", 10), (halves, "LEVEL_BYTES", 400_000), (engine, "wide_lanes", None)):
+        monkeypatch.setattr(module, name, value)
+    found = got()
+    assert len(found) == 100 and found["n"].equals(want["n"])
+    assert np.allclose(found, want, rtol=0, atol=2e-7)
+
+
+def test_lanes_of_dense_inputs_stop_at_their_own_steps(spark, monkeypatch):
+    edges = materialise(spark.createDataFrame(_shops(), "src long, dst long, weight double"), "edges")
+    m, r, steps = np.random.default_rng(3).normal(size=(3, 5)), np.random.default_rng(4).normal(size=(5, 3)), [2, 0, 3, 1, 3]
+
+    def values(ids, x):
+        return pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, 3)), pa.array(np.tile(np.arange(3, dtype=np.int32), len(ids))), pa.array(x.ravel())], names=["i", "p", "v"])
+
+    run = lambda cut: {(row.i, row.p): row.v for row in cut.decoded(m, r, steps, values, "i long, p int, v double").collect()}
+    want = run(pieces.cut(edges, 0.15, pieces.HashInputs(3)))
+    for module, name, value in ((engine, "LANE_EDGES", 10), (halves, "ROWS", 16), (halves, "COLUMNS", 2)):
+        monkeypatch.setattr(module, name, value)
+    got = run(pieces.cut(edges, 0.15, pieces.HashInputs(3), halves.cut))
+    assert set(got) == set(want) and all(got[k] == pytest.approx(want[k], rel=1e-9, abs=1e-15) for k in want)
