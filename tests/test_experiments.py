@@ -355,7 +355,7 @@ def test_one_component_beyond_a_task_is_scored_without_residual_blocks(spark, mo
     assert experiments.Bench(spark, "", "supply", inputs, 3, 6, probes=2).scores(plans[:3], ["scheme"]).count() == 3
 
 
-@pytest.mark.parametrize("name", ["x15_degradation", "x2_deadline_larger", "x3_fastest_k", "x12_exponents", "x1_deadline_smaller"])
+@pytest.mark.parametrize("name", ["x15_degradation", "x2_deadline_larger", "x3_fastest_k", "x12_exponents", "x1_deadline_smaller", "x4_codes"])
 def test_queries_agree_on_one_component_beyond_a_task(spark, small, monkeypatch, name):
     run = lambda: experiments.QUERIES[name][0](spark, small).toPandas().query("scheme != 'fastest_k'")  # noqa: E731 - whose digits are lost either way
     want = run()
